@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, line_dedup, secret_scan, simhash
+from . import bpe, license_scan, line_dedup, secret_scan, simhash
 from .common import read
 
 
@@ -26,8 +26,12 @@ def op7_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secret_scan.digest(secret_scan.scan_secrets(read(spark, sf_dir, "documents")))
 
 
+def op10_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_scan.digest(license_scan.scan_licenses(read(spark, sf_dir, "documents")))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op3_line_dedup, op5_bpe, op6_simhash, op7_secrets)}
+    return {f.__name__: f for f in (op3_line_dedup, op5_bpe, op6_simhash, op7_secrets, op10_licenses)}
 
 
 def oracle_sql() -> dict[str, str]:
