@@ -6,10 +6,18 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, license_scan, line_dedup, secret_scan, simhash
+from . import bpe, langid, license_scan, line_dedup, secret_scan, simhash, toxicity
 from .common import read
 
 
+def op2_langid(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.digest(langid.identify(read(spark, sf_dir, "documents")))
+
+
+def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.digest(toxicity.score_documents(read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels")))
+
+
 def op3_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup.digest(line_dedup.dedup_lines(read(spark, sf_dir, "documents")))
 
@@ -31,7 +39,7 @@ def op10_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op3_line_dedup, op5_bpe, op6_simhash, op7_secrets, op10_licenses)}
+    return {f.__name__: f for f in (op2_langid, op3_line_dedup, op4_toxicity, op5_bpe, op6_simhash, op7_secrets, op10_licenses)}
 
 
 def oracle_sql() -> dict[str, str]:
