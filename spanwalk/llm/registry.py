@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, langid, license_scan, line_dedup, secret_scan, simhash, toxicity
+from . import bpe, embedding_dedup, langid, license_scan, line_dedup, secret_scan, simhash, toxicity
 from .common import read
 
 
@@ -34,12 +34,16 @@ def op7_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secret_scan.digest(secret_scan.scan_secrets(read(spark, sf_dir, "documents")))
 
 
+def op9_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embedding_dedup.link_embeddings(read(spark, sf_dir, "embeddings"))
+
+
 def op10_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
     return license_scan.digest(license_scan.scan_licenses(read(spark, sf_dir, "documents")))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_langid, op3_line_dedup, op4_toxicity, op5_bpe, op6_simhash, op7_secrets, op10_licenses)}
+    return {f.__name__: f for f in (op2_langid, op3_line_dedup, op4_toxicity, op5_bpe, op6_simhash, op7_secrets, op9_embeddings, op10_licenses)}
 
 
 def oracle_sql() -> dict[str, str]:
