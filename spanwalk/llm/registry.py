@@ -6,10 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, embedding_dedup, langid, license_scan, line_dedup, secret_scan, simhash, toxicity
+from . import bpe, decontamination, embedding_dedup, langid, license_scan, line_dedup, secret_scan, simhash, toxicity
 from .common import read
 
 
+def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontamination.find_leaks(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark"))
+
+
 def op2_langid(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.digest(langid.identify(read(spark, sf_dir, "documents")))
 
@@ -43,7 +47,7 @@ def op10_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_langid, op3_line_dedup, op4_toxicity, op5_bpe, op6_simhash, op7_secrets, op9_embeddings, op10_licenses)}
+    return {f.__name__: f for f in (op1_decontamination, op2_langid, op3_line_dedup, op4_toxicity, op5_bpe, op6_simhash, op7_secrets, op9_embeddings, op10_licenses)}
 
 
 def oracle_sql() -> dict[str, str]:
