@@ -156,6 +156,8 @@ class SegmentIndex:
             best = np.minimum.accumulate(slope)
             source = np.maximum.accumulate(np.where(slope == best, steps, 0))
             row, start = np.minimum(best + steps, far), new_start[source]
+            if row.min() > e:
+                return None
         k = int(row.argmin())
         return (int(start[k]), int(len(text) + low + k), int(row[k])) if row[k] <= e else None
 
