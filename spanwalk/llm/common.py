@@ -78,7 +78,7 @@ def id_and_text(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
 
 
-def map_texts(docs: DataFrame, make: Callable[[], Callable[[list], dict]], schema: str) -> DataFrame:
+def map_texts(docs: DataFrame, make: Callable[[], Callable[[list], dict]], schema: str, key: str = "long") -> DataFrame:
     """Rows (doc_id, text) to rows (doc_id, columns of `schema`), one for one.
 
     `make()` runs once a task and gives a function from a list of texts (None for null) to
@@ -96,7 +96,7 @@ def map_texts(docs: DataFrame, make: Callable[[], Callable[[list], dict]], schem
                 columns = [out[n] for n in names]
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), *(c if isinstance(c, pa.Array) else pa.array(c) for c in columns)], ["doc_id", *names])
 
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id long, {schema}")
+    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {key}, {schema}")
 
 
 def pieces(batch: pa.RecordBatch, most_bytes: int = 4_000_000) -> Iterator[pa.RecordBatch]:

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import bpe, decontamination, embedding_dedup, langid, license_scan, line_dedup, secret_scan, simhash, toxicity
+from . import bpe, decontamination, embedding_dedup, html_extract, langid, license_scan, line_dedup, secret_scan, simhash, toxicity
 from .common import read
 
 
@@ -38,6 +38,10 @@ def op7_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secret_scan.digest(secret_scan.scan_secrets(read(spark, sf_dir, "documents")))
 
 
+def op8_html(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_extract.digest(html_extract.extract_pages(read(spark, sf_dir, "pages")))
+
+
 def op9_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
     return embedding_dedup.link_embeddings(read(spark, sf_dir, "embeddings"))
 
@@ -47,7 +51,7 @@ def op10_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_decontamination, op2_langid, op3_line_dedup, op4_toxicity, op5_bpe, op6_simhash, op7_secrets, op9_embeddings, op10_licenses)}
+    return {f.__name__: f for f in (op1_decontamination, op2_langid, op3_line_dedup, op4_toxicity, op5_bpe, op6_simhash, op7_secrets, op8_html, op9_embeddings, op10_licenses)}
 
 
 def oracle_sql() -> dict[str, str]:
