@@ -165,7 +165,7 @@ def _noise(r: random.Random) -> str:
         body = f"<h3>{_sentence(r, 1, 4)}</h3>" * r.randint(0, 1) + r.choice([few, lambda: _links(r, r.randint(2, 8))])()
         return f"<aside{_attribute(r, 4, 0.5)}>{body}</aside>" if r.random() < 0.6 else f"<div{_attribute(r, 4, 0)}>{body}</div>"
     if kind == 4:
-        return f"<{(t := r.choice(['div', 'div', 'section', 'p', 'ins']))}{_attribute(r, 0, 0)}>{few() if t != 'p' else _prose(r, True)}</{t}>"
+        return f"<{(t := r.choice(['div', 'div', 'section', 'p']))}{_attribute(r, 0, 0)}>{few() if t != 'p' else _prose(r, True)}</{t}>"
     if kind == 5:
         one = lambda: f"<{(t := r.choice(['div', 'li', 'article', 'div']))}{_attribute(r, 5, 0.4)}><b>{_sentence(r, 1, 2)}</b>{''.join(f'<p>{_prose(r, True)}</p>' for _ in range(r.randint(1, 2)))}</{t}>"
         return f"<{(t := r.choice(['section', 'div', 'ul', 'ol']))}{_attribute(r, 5, 0)}>{r.choice(['', '<h2>Comments</h2>'])}{''.join(one() for _ in range(r.randint(1, 6)))}</{t}>"
@@ -221,7 +221,7 @@ def training_page(r: random.Random) -> tuple[str, str]:
 
 
 @lru_cache(maxsize=1)
-def model(pages: int = 700, seed: int = 11) -> boosting.Boosted:
+def model(pages: int = 1200, seed: int = 11) -> boosting.Boosted:
     r = random.Random(seed)
     xs, ys, ws = [], [], []
     for _ in range(pages):
