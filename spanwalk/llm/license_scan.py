@@ -82,6 +82,11 @@ def build_index(counts: dict[str, int], n: int, rare: int = RARE) -> list[tuple]
     return out
 
 
+def _rarest(index: list[tuple], template: int, n: int = 3) -> list[str]:
+    own = sorted(((-p[5], p[4], p[3]) for p in index if p[0] == template))
+    return [w for _, _, w in own[:n]]
+
+
 def scan_licenses(docs: DataFrame, rare: int = RARE, agree: float = AGREE) -> DataFrame:
     """(doc_id, n_words, places, base_labels, labels, score); places are (start, label, kind, score)."""
     docs, spark = id_and_text(docs), docs.sparkSession
@@ -90,7 +95,10 @@ def scan_licenses(docs: DataFrame, rare: int = RARE, agree: float = AGREE) -> Da
     postings = spark.createDataFrame(index, "template int, label string, kind string, word string, place int, weight double, must boolean")
     indexed = sorted({p[3] for p in index})
     words = words_of(text_of())
-    hits = F.filter(F.transform(words, lambda w, i: F.when(w.isin(*indexed), F.struct(i.alias("i"), w.alias("w")))), lambda x: x.isNotNull())
+    # at AGREE above one half no placement can do without all three rarest words of its template
+    anchors = sorted({"license", *(w for k, _, kind, *_ in index if kind == "template" for w in _rarest(index, k))})
+    anchored = F.arrays_overlap(words, F.array(*map(F.lit, anchors)))
+    hits = F.when(~anchored, F.array().cast("array<struct<i:int,w:string>>")).otherwise(F.filter(F.transform(words, lambda w, i: F.when(w.isin(*indexed), F.struct(i.alias("i"), w.alias("w")))), lambda x: x.isNotNull()))
     rows = settle(docs.select("doc_id", F.struct(F.size(words).cast("long").alias("n_words"), hits.alias("hits")).alias("x")).select("doc_id", "x.*").withColumn("row", F.monotonically_increasing_id()))
     need = postings.groupBy("template").agg(F.sum("weight").alias("whole"), F.sum(F.col("must").cast("int")).alias("n_must"))
     # the index is of fixed size: a few hundred postings whatever the corpus
