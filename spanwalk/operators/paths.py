@@ -215,6 +215,6 @@ def exposure(graph: TemporalGraph, seeds: list[int], window: Window, predicate:
     if infectious is None:
         found = scalar_fixpoint(seed, lambda d: expand_forward(d, edges, predicate).select("source", F.col("dst").alias("v"), F.col("t_end").alias("label"))).select("v", "label")
     else:
-        step = lambda d: expand_forward(d, edges, predicate).where(F.col("t_start") <= F.col("label") + infectious).select("source", F.col("dst").alias("v"), F.col("t_end").alias("label"))
+        step = lambda d: expand_forward(d, edges, predicate).where(F.col("t_start") <= F.greatest("label", F.lit(window.start)) + infectious).select("source", F.col("dst").alias("v"), F.col("t_end").alias("label"))
         found = reach_fixpoint(seed, step, ["source", "v", "label"]).groupBy("v").agg(F.min("label").alias("label"))
     return found.select("v", F.greatest("label", F.lit(window.start).cast("long")).alias("exposed"))

@@ -325,7 +325,7 @@ def m13(spark, sf):
     return paths.exposure(g, s, w)
 
 
-@query("m13_exposure_infectious", f"""WITH RECURSIVE {t.base('relay', 0.05, 3)}, r(v, label) AS (SELECT source, ta - 1 FROM s, w UNION SELECT ew.dst, ew.t_end FROM r JOIN ew ON ew.src = r.v AND ew.t_start > r.label AND ew.t_start <= r.label + {240 * _HOUR})
+@query("m13_exposure_infectious", f"""WITH RECURSIVE {t.base('relay', 0.05, 3)}, r(v, label) AS (SELECT source, ta - 1 FROM s, w UNION SELECT ew.dst, ew.t_end FROM r JOIN ew ON ew.src = r.v AND ew.t_start > r.label AND ew.t_start <= greatest(r.label, (SELECT ta FROM w)) + {240 * _HOUR})
   SELECT v, greatest(min(label), any_value(ta)) AS exposed FROM r, w GROUP BY v""")
 def m13_infectious(spark, sf):
     g, w, s = setting(spark, sf, "relay", 0.05, 3)

@@ -97,7 +97,14 @@ def test_reachability_and_exposure(spark):
     assert {r.v for r in paths.reachable(g, [0], w, targets=[1, 6]).collect()} == {1, 6}
     assert {(r.v, r.exposed) for r in paths.exposure(g, [0], w).collect()} == {(0, 0), (1, 3), (2, 5), (3, 6), (4, 6), (5, 11), (6, 14)}
     short = {r.v for r in paths.exposure(g, [0], w, infectious=3).collect()}
-    assert short == {0, 1, 2, 3, 4, 5, 6}
+    seen, todo = {(0, -1)}, [(0, -1)]
+    while todo:
+        v, at = todo.pop()
+        for e in TINY:
+            if e[0] == v and at < e[2] <= max(at, 0) + 3 and (e[1], e[3]) not in seen:
+                seen.add((e[1], e[3]))
+                todo.append((e[1], e[3]))
+    assert short == {v for v, _ in seen}
 
 
 def test_edge_cases(spark):
