@@ -144,7 +144,7 @@ _KINDS = ["click", "error", "purchase", "signup", "view"]
 
 @query("o_pivot", "SELECT user_id, " + ", ".join(f"count(*) FILTER (WHERE event_type = '{k}') AS n_{k}" for k in _KINDS) + " FROM events GROUP BY user_id")
 def o_pivot(spark, sf):
-    p = _table(spark, sf, "events").groupBy("user_id").pivot("event_type", _KINDS).agg(F.count("*"))
+    p = _table(spark, sf, "events").groupBy("user_id").pivot("event_type", _KINDS).agg(F.count(F.lit(1)))
     return p.select("user_id", *[F.coalesce(k, F.lit(0)).alias(f"n_{k}") for k in _KINDS])
 
 
