@@ -29,10 +29,10 @@ from pyspark.sql import functions as F
 
 from .common import id_and_text, map_texts, ship
 
-WINDOW, STRIDE = 64, 48
+WINDOW, STRIDE = 96, 64
 #: Added to the curve's intercept: an ordinary text marked toxic costs more than one missed.
 CAUTION = -0.5
-PER_LABEL, DICTIONARY_BYTES = 1500, 6_000
+PER_LABEL, DICTIONARY_BYTES = 1500, 12_000
 _WORD = re.compile(r"[^\W\d_]+")
 
 
@@ -43,7 +43,7 @@ def windows(text: str | None) -> list[bytes]:
 
 
 def _parameters() -> zstd.ZstdCompressionParameters:
-    return zstd.ZstdCompressionParameters(window_log=14, chain_log=14, hash_log=15, search_log=6, min_match=5, target_length=64, strategy=zstd.STRATEGY_GREEDY, write_content_size=0, write_checksum=0, write_dict_id=0)
+    return zstd.ZstdCompressionParameters(window_log=15, chain_log=15, hash_log=15, search_log=6, min_match=5, target_length=64, strategy=zstd.STRATEGY_GREEDY, write_content_size=0, write_checksum=0, write_dict_id=0)
 
 
 @dataclass
