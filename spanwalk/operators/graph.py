@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
 from dataclasses import dataclass, field, replace
 
 from pyspark.sql import Column, DataFrame
@@ -134,5 +133,3 @@ def top_sources(edges: DataFrame, k: int) -> list[int]:
     """The k vertices of largest out-degree, ties by least id; k numbers reach the driver."""
     return [r.v for r in degrees(edges).orderBy(F.desc("m"), "v").limit(k).collect()]
 
-
-Step = Callable[[DataFrame], DataFrame]

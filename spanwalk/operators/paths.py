@@ -34,8 +34,8 @@ def _forward_labels(graph: TemporalGraph, sources, window: Window, predicate: Or
     finder = access_paths.finder(graph, window, predicate, access, plan)
     stop = None
     if targets is not None:
-        wanted = len(set(targets))
-        stop = lambda state: state.where(F.col("v").isin(*targets)).groupBy("source").agg(F.countDistinct("v").alias("n")).where(F.col("n") < wanted).isEmpty() and state.select("source").distinct().count() == state.where(F.col("v").isin(*targets)).select("source").distinct().count()
+        pairs = seeds.select("source").distinct().count() * len(set(targets))
+        stop = lambda state: state.where(F.col("v").isin(*targets)).select("source", "v").distinct().count() == pairs
     return scalar_fixpoint(seeds, lambda d: finder(d).select("source", F.col("dst").alias("v"), F.col("t_end").alias("label")), max_rounds=max_hops, stop=stop)
 
 

@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
+import os
 import tempfile
+import zipfile
+from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -33,3 +36,17 @@ def settle(df: DataFrame) -> DataFrame:
     """Materialise `df` in the shared folder; partitioning is kept, so later joins needn't move it."""
     shared_dir(df.sparkSession)
     return df.checkpoint()
+
+
+def ship(spark: SparkSession) -> None:
+    """Make this package importable in Python workers, whatever folder they start in."""
+    package = Path(__file__).resolve().parent
+    sc = spark.sparkContext
+    if str(package.parent) in os.environ.get("PYTHONPATH", "").split(os.pathsep) or getattr(sc, "_spanwalk_shipped", False):
+        return
+    path = Path(tempfile.mkdtemp(prefix="spanwalk-")) / "spanwalk_package.zip"
+    with zipfile.ZipFile(path, "w") as z:
+        for p in package.rglob("*.py"):
+            z.write(p, p.relative_to(package.parent))
+    sc.addPyFile(str(path))
+    sc._spanwalk_shipped = True

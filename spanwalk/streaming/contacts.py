@@ -4,8 +4,10 @@ from __future__ import annotations
 
 import uuid
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupStateTimeout
 
 from ..session import shared_dir
 
@@ -38,6 +40,27 @@ def two_hop_contacts(first: DataFrame, second: DataFrame, within: str = "1 hour"
     return a.join(b, F.expr(f"user_id = __u AND t1 > t0 AND t1 <= t0 + INTERVAL {within}")).drop("__u")
 
 
+def longest_gaps(events: DataFrame) -> DataFrame:
+    """(user_id, longest_gap): largest distance in microseconds between a user's successive events.
+
+    A key's state is its last time and its largest gap so far; micro-batches must be in time
+    order of their files, events inside a batch need not be.
+    """
+
+    def update(key, frames, state):
+        last, largest = state.get if state.exists else (None, -1)
+        times = sorted(t for f in frames for t in f["t"].tolist())
+        for t in times:
+            if last is not None:
+                largest = max(largest, t - last)
+            last = t
+        state.update((last, largest))
+        yield pd.DataFrame({"user_id": [key[0]], "longest_gap": [largest]}) if largest >= 0 else pd.DataFrame({"user_id": pd.Series([], dtype="int64"), "longest_gap": pd.Series([], dtype="int64")})
+
+    timed = events.select("user_id", F.unix_micros("ts").alias("t"))
+    return timed.groupBy("user_id").applyInPandasWithState(update, "user_id long, longest_gap long", "last long, largest long", "update", GroupStateTimeout.NoTimeout)
+
+
 def run_to_end(stream: DataFrame, mode: str = "append") -> DataFrame:
     """Process what the sources hold now and return the sink's rows."""
     spark = stream.sparkSession

@@ -224,7 +224,10 @@ def m06a(spark, sf):
     return components.mutual_reachability(g, w)
 
 
-@query("m06a_through_time_components")
+@query("m06a_through_time_components", f"""WITH RECURSIVE {t.base('relay', 0.02)},
+  r(source, v, label) AS (SELECT DISTINCT src, src, ta - 1 FROM ew, w UNION SELECT r.source, ew.dst, ew.t_end FROM r JOIN ew ON ew.src = r.v AND ew.t_start > r.label),
+  p AS (SELECT DISTINCT source AS a, v AS b FROM r WHERE source <> v), n AS (SELECT x.a, x.b FROM p AS x JOIN p AS y ON x.a = y.b AND x.b = y.a),
+  c(v, c) AS (SELECT DISTINCT a, a FROM n UNION SELECT n.b, c.c FROM c JOIN n ON n.a = c.v AND c.c < n.b) SELECT v, min(c) AS component FROM c GROUP BY v""")
 def m06a_components(spark, sf):
     g, w, _ = setting(spark, sf, "relay", 0.02)
     return components.reachability_components(g, w)
@@ -434,12 +437,12 @@ def x09(spark, sf):
     return h.cells.withColumnRenamed("by", "by_cell")
 
 
-def _estimate_sql(share: str) -> str:
+def _estimate_sql(share: str, digits: int = 4) -> str:
     left = "greatest(s0, least(s1, CAST(a AS DOUBLE)))"
     return f"""WITH {t.base('nations')}, {_HIST},
       c AS (SELECT v, m, n, ta AS a, tb AS b, s_lo + (s_hi - s_lo) * CAST(bx AS DOUBLE) / 100 AS s0, s_lo + (s_hi - s_lo) * CAST(bx + 1 AS DOUBLE) / 100 AS s1, d_lo + (d_hi - d_lo) * CAST(by_ AS DOUBLE) / 100 AS d0, d_lo + (d_hi - d_lo) * CAST(by_ + 1 AS DOUBLE) / 100 AS d1 FROM cells JOIN meta USING (v), w),
       q AS (SELECT *, {left} AS l, d1 - d0 AS h, greatest({left}, least(s1, b - d1)) AS u1, greatest({left}, least(s1, b - d0)) AS u2 FROM c)
-      SELECT v, a, b, m, round(sum(n * CAST({share} AS DOUBLE)), 4) AS k_hat FROM q GROUP BY v, a, b, m"""
+      SELECT v, a, b, m, round(sum(n * CAST({share} AS DOUBLE)), {digits}) AS k_hat FROM q GROUP BY v, a, b, m"""
 
 
 for _cell, _share in (("uniform", histogram.covered()), ("full", "CASE WHEN s1 >= a AND s0 + d0 <= b THEN 1.0 ELSE 0.0 END"), ("none", "CASE WHEN s0 >= a AND s1 + d1 <= b THEN 1.0 ELSE 0.0 END")):
@@ -517,10 +520,12 @@ def c06_sweep(spark, sf):
     return out
 
 
-@query("c07_estimate_error")
+@query("c07_estimate_error", f"""WITH {t.base('nations')}, k AS (SELECT src AS v, count(*) FILTER (WHERE t_start >= ta AND t_end <= tb) AS k FROM edges, w GROUP BY src)
+  SELECT e.v, e.m, k.k, round(e.k_hat, 3) AS k_hat, round(abs(e.k_hat - k.k) / e.m, 5) AS error, round(greatest(greatest(k.k, 1) / greatest(e.k_hat, 1), greatest(e.k_hat, 1) / greatest(k.k, 1)), 4) AS q_error FROM ({_estimate_sql(histogram.covered(), 12)}) AS e JOIN k ON k.v = e.v""")
 def c07(spark, sf):
     g, w, _ = setting(spark, sf, "nations", 0.05)
-    return metrics.estimate_error(g, access.plan_access(g, 1000), w)
+    rows = metrics.estimate_error(g, access.plan_access(g, 1000), w)
+    return rows.select("v", "m", "k", *[F.round(c, n).alias(c) for c, n in (("k_hat", 3), ("error", 5), ("q_error", 4))])
 
 
 @query("c08_edges_examined", f"WITH {t.base('nations', 0.02)}, k AS (SELECT src AS v, count(*) AS m, count(*) FILTER (WHERE t_start >= ta AND t_end <= tb) AS k FROM edges, w GROUP BY src HAVING count(*) >= 1000) SELECT v, m, k, TRUE AS at_least_matches, TRUE AS below_scan FROM k")

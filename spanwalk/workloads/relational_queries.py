@@ -10,7 +10,7 @@ from pyspark.sql import Window as W
 from ..functions import user_defined
 from ..functions.statistics import exact_percentile
 from ..operators.temporal_joins import asof_join, interval_join, sessions, top_per_key
-from ..session import settle, shared_dir
+from ..session import settle, shared_dir, ship
 from ..sources.files import read_edges, write_bucketed, write_edges
 from ..sources.graphs import graph_sql, load_graph
 from ..streaming import contacts
@@ -235,16 +235,19 @@ def o_sampling(spark, sf):
 
 @query("o_udf_scalar", "SELECT event_id, round(ln(1 + greatest(value, 0)), 6) AS l FROM events")
 def o_udf_scalar(spark, sf):
+    ship(spark)
     return _table(spark, sf, "events").select("event_id", F.round(user_defined.log_scale("value"), 6).alias("l"))
 
 
 @query("o_udaf_burstiness", f"WITH g AS ({_RELAY}), l AS (SELECT src, t_start - lag(t_start) OVER (PARTITION BY src ORDER BY t_start) AS gap FROM g) SELECT src AS v, round((stddev_pop(gap) - avg(gap)) / (stddev_pop(gap) + avg(gap)), 6) AS b FROM l GROUP BY src HAVING stddev_pop(gap) + avg(gap) > 0")
 def o_udaf_burstiness(spark, sf):
+    ship(spark)
     return load_graph(spark, sf, "relay").groupBy(F.col("src").alias("v")).agg(F.round(user_defined.burstiness("t_start"), 6).alias("b")).where("b is not null")
 
 
 @query("o_udtf_windows", "SELECT k::INTEGER AS k, 1000 - (k + 1) * 50 AS from_t, 1000 - k * 50 AS to_t FROM (SELECT unnest(range(5)) AS k) AS r")
 def o_udtf_windows(spark, sf):
+    ship(spark)
     user_defined.register(spark)
     return spark.sql("SELECT k, `start` AS from_t, `end` AS to_t FROM recent_windows(1000L, 50L, 5)")
 
@@ -289,3 +292,17 @@ def o_stream_join(spark, sf):
 def o_stream_static_join(spark, sf):
     rich = _table(spark, sf, "customer").where("c_acctbal > 0").select(F.col("c_custkey").alias("user_id"))
     return contacts.run_to_end(_stream(spark, sf).join(rich, "user_id").groupBy("event_type").agg(F.count("*").alias("n")), "complete")
+
+
+@query("o_stream_degrees", "SELECT user_id, count(*) AS m, max(value) AS largest FROM events GROUP BY user_id")
+def o_stream_degrees(spark, sf):
+    """Degrees of contact kept up to date by a stream."""
+    return contacts.run_to_end(_stream(spark, sf).groupBy("user_id").agg(F.count("*").alias("m"), F.max("value").alias("largest")), "complete")
+
+
+@query("o_stream_stateful", "SELECT user_id, max(gap) AS longest_gap FROM (SELECT user_id, epoch_us(ts) - lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts) AS gap FROM events) AS g GROUP BY user_id HAVING max(gap) IS NOT NULL")
+def o_stream_stateful(spark, sf):
+    """Longest silence of every user, from a custom state kept per key."""
+    ship(spark)
+    found = contacts.run_to_end(contacts.longest_gaps(_stream(spark, sf)), "update")
+    return found.groupBy("user_id").agg(F.max("longest_gap").alias("longest_gap"))
