@@ -1,4 +1,4 @@
 """Training-data operators: cleaning, deduplication, scanning and encoding of document corpora.
 
-Nothing else in the library imports this subpackage; it imports nothing from the graph engine.
+Nothing else in the library imports this subpackage; of the library it uses the session helpers alone.
 """

@@ -2,18 +2,17 @@
 
 from __future__ import annotations
 
-import os
-import tempfile
 import uuid
-import zipfile
 from collections.abc import Callable, Iterator
-from pathlib import Path
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-PACKAGE = Path(__file__).resolve().parent.parent
+from ..session import settle, shared_dir, ship
+
+__all__ = ["ASCII_SPACE", "id_and_text", "lower_ascii", "map_texts", "pieces", "read", "settle", "shared_dir", "ship", "store", "text_of"]
+
 #: The white space that several contracts strip or split at: [\x20\x09-\x0D].
 ASCII_SPACE = " \t\n\x0b\x0c\r"
 
@@ -22,25 +21,6 @@ def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share: the session's checkpoint folder.
-
-    Only where the session names none (tests on one machine) a temporary one is set.
-    """
-    found = spark.sparkContext.getCheckpointDir()
-    if found is None:
-        named = spark.conf.get("spark.checkpoint.dir", None)
-        spark.sparkContext.setCheckpointDir(named or tempfile.mkdtemp(prefix="spanwalk-"))
-        found = spark.sparkContext.getCheckpointDir()
-    return found
-
-
-def settle(df: DataFrame) -> DataFrame:
-    """Cut the lineage through the shared checkpoint folder; use for narrow, small rows."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint()
-
-
 def store(df: DataFrame, name: str) -> DataFrame:
     """Write `df` as Parquet in the shared folder and read it again (compact, columns prunable)."""
     spark = df.sparkSession
@@ -49,20 +29,6 @@ def store(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def ship(spark: SparkSession) -> None:
-    """Make this package importable in Python workers, whatever folder they start in."""
-    root = str(PACKAGE.parent)
-    sc = spark.sparkContext
-    if root in os.environ.get("PYTHONPATH", "").split(os.pathsep) or getattr(sc, "_spanwalk_shipped", False):
-        return
-    path = Path(tempfile.mkdtemp(prefix="spanwalk-")) / "spanwalk_package.zip"
-    with zipfile.ZipFile(path, "w") as z:
-        for p in PACKAGE.rglob("*.py"):
-            z.write(p, p.relative_to(PACKAGE.parent))
-    sc.addPyFile(str(path))
-    sc._spanwalk_shipped = True
-
-
 def text_of(column: str = "text") -> Column:
     return F.coalesce(F.col(column).cast("string"), F.lit(""))
 
