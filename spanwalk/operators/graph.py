@@ -92,6 +92,11 @@ class TemporalGraph:
         """Edges inside the window, or active at some time of it."""
         return replace(self, edges=self.edges.where(window.contains() if mode == "contained" else window.intersects()))
 
+    def create_views(self, prefix: str) -> None:
+        """Views <prefix>_edges and <prefix>_vertices for SQL."""
+        self.edges.createOrReplaceTempView(f"{prefix}_edges")
+        self.vertices.df.createOrReplaceTempView(f"{prefix}_vertices")
+
     def both_ways(self) -> DataFrame:
         """Every edge in both directions (twice for a self-loop)."""
         back = self.edges.withColumns({"src": F.col("dst"), "dst": F.col("src")})

@@ -23,8 +23,9 @@ from pyspark.sql import Window as W
 from ..functions.predicates import ThreeSided
 from ..operators.graph import degrees
 from ..session import settle
+from .shards import SHARD_ROWS, with_shards
 
-CUTOFF, BLOCK_ROWS, SHARD_ROWS, SHARDS = 2000, 64, 1_000_000, 64
+CUTOFF, BLOCK_ROWS = 2000, 64
 
 
 def select_indexed_vertices(edges: DataFrame, cutoff: int = CUTOFF, orientation: str = "out") -> DataFrame:
@@ -67,9 +68,7 @@ def build_index(edges: DataFrame, cutoff: int = CUTOFF, heap_axis: str = "t_star
     catalog = settle(select_indexed_vertices(edges, cutoff, orientation))
     weight = F.col("weight") if "weight" in edges.columns else F.lit(1.0)
     own = edges.select(F.col(v).alias("v"), F.col(nbr).alias("nbr"), "t_start", "t_end", weight.alias("weight")).join(catalog, "v")
-    hubs = own.where(F.col("m") > shard_rows).groupBy("v").agg(F.percentile_approx(tree_axis, [k / SHARDS for k in range(1, SHARDS)], 1000).alias("cuts"))
-    own = own.join(hubs, "v", "left").withColumn("shard", F.coalesce(F.size(F.filter("cuts", lambda c: c < F.col(tree_axis))), F.lit(0))).drop("cuts")
-    own = own.withColumn("key", sign * F.col(heap_axis)).repartition("v", "shard")
+    own = with_shards(own, tree_axis, shard_rows).withColumn("key", sign * F.col(heap_axis)).repartition("v", "shard")
     group = W.partitionBy("v", "shard")
     content = ["nbr", "weight"]
     ranked = own.withColumns({"size": F.count("*").over(group), "rank": F.row_number().over(group.orderBy(tree_axis, "key", *content)) - 1})

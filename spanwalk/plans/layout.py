@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from ..operators.graph import degrees
+from .shards import SHARD_ROWS, with_shards
 
 
 def csr_offsets(edges: DataFrame, orientation: str = "out", chunk: int = 100_000) -> DataFrame:
@@ -21,16 +22,18 @@ def csr_offsets(edges: DataFrame, orientation: str = "out", chunk: int = 100_000
     return deg.withColumn("within", within).join(before.select("chunk", "before"), "chunk").select("v", (F.col("before") + F.col("within")).cast("long").alias("first"), "m")
 
 
-def adjacency_blocks(edges: DataFrame, orientation: str = "out", block_rows: int = 4096) -> DataFrame:
-    """(v, block, n, t_start_min, t_end_max, nbr, t_start, t_end, weight): neighbours in start order.
+def adjacency_blocks(edges: DataFrame, orientation: str = "out", block_rows: int = 4096, shard_rows: int = SHARD_ROWS) -> DataFrame:
+    """(v, shard, block, n, t_start_min, t_end_max, nbr, t_start, t_end, weight): neighbours in start order.
 
-    The arrays hold the same edge in the same position; a hub is many rows of bounded length.
+    The arrays hold the same edge in the same position. A hub is many rows of bounded length,
+    and is numbered within ranges of start times rather than by one task.
     """
     v, nbr = ("src", "dst") if orientation == "out" else ("dst", "src")
-    order = W.partitionBy(v).orderBy("t_start", "t_end", nbr, "weight")
-    numbered = edges.withColumn("block", F.floor((F.row_number().over(order) - 1) / block_rows).cast("long"))
-    packed = numbered.groupBy(F.col(v).alias("v"), "block").agg(F.array_sort(F.collect_list(F.struct("t_start", "t_end", F.col(nbr).alias("nbr"), "weight"))).alias("e"))
-    return packed.select("v", "block", F.size("e").alias("n"), F.array_min("e.t_start").alias("t_start_min"), F.array_max("e.t_end").alias("t_end_max"), F.col("e.nbr").alias("nbr"), F.col("e.t_start").alias("t_start"), F.col("e.t_end").alias("t_end"), F.col("e.weight").alias("weight"))
+    own = edges.select(F.col(v).alias("v"), F.col(nbr).alias("nbr"), "t_start", "t_end", "weight").join(degrees(edges, orientation), "v")
+    order = W.partitionBy("v", "shard").orderBy("t_start", "t_end", "nbr", "weight")
+    numbered = with_shards(own, "t_start", shard_rows).withColumn("block", F.floor((F.row_number().over(order) - 1) / block_rows).cast("long"))
+    packed = numbered.groupBy("v", "shard", "block").agg(F.array_sort(F.collect_list(F.struct("t_start", "t_end", "nbr", "weight"))).alias("e"))
+    return packed.select("v", "shard", "block", F.size("e").alias("n"), F.array_min("e.t_start").alias("t_start_min"), F.array_max("e.t_end").alias("t_end_max"), F.col("e.nbr").alias("nbr"), F.col("e.t_start").alias("t_start"), F.col("e.t_end").alias("t_end"), F.col("e.weight").alias("weight"))
 
 
 def unpack_blocks(blocks: DataFrame, orientation: str = "out") -> DataFrame:

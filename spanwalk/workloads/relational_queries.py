@@ -9,6 +9,7 @@ from pyspark.sql import Window as W
 
 from ..functions import user_defined
 from ..functions.statistics import exact_percentile
+from ..operators.graph import TemporalGraph
 from ..operators.temporal_joins import asof_join, interval_join, sessions, top_per_key
 from ..session import settle, shared_dir, ship
 from ..sources.files import read_edges, write_bucketed, write_edges
@@ -252,6 +253,12 @@ def o_udtf_windows(spark, sf):
     return spark.sql("SELECT k, `start` AS from_t, `end` AS to_t FROM recent_windows(1000L, 50L, 5)")
 
 
+@query("o_sql_views", f"WITH g AS ({_RELAY}), v AS (SELECT src AS v FROM g UNION SELECT dst FROM g) SELECT v, count(t_end) AS m FROM v LEFT JOIN g ON src = v AND weight > 150 GROUP BY v")
+def o_sql_views(spark, sf):
+    TemporalGraph(load_graph(spark, sf, "relay")).create_views("relay")
+    return spark.sql("SELECT v, count(t_end) AS m FROM relay_vertices LEFT JOIN relay_edges ON src = v AND weight > 150 GROUP BY v")
+
+
 # ---- streams --------------------------------------------------------------------------------
 
 def _stream(spark, sf):

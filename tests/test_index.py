@@ -125,8 +125,8 @@ def test_accuracy_and_work(spark, edges):
 
 
 def test_layout(spark, edges):
-    blocks = layout.adjacency_blocks(edges, block_rows=50)
-    assert blocks.agg(F.max("n")).head()[0] <= 50
+    whole, blocks = layout.adjacency_blocks(edges, block_rows=50), layout.adjacency_blocks(edges, block_rows=50, shard_rows=200)
+    assert blocks.agg(F.max("n")).head()[0] <= 50 and blocks.agg(F.max("shard")).head()[0] > 0 == whole.agg(F.max("shard")).head()[0]
     assert sorted(map(tuple, layout.unpack_blocks(blocks).select("src", "dst", "t_start", "t_end").collect())) == sorted(map(tuple, edges.select("src", "dst", "t_start", "t_end").collect()))
     offsets = sorted((r.v, r.first, r.m) for r in layout.csr_offsets(edges, chunk=2).collect())
     at = 0
