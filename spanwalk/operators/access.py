@@ -103,7 +103,7 @@ def finder(graph: TemporalGraph, window: Window, predicate: Ordering, access: st
 
         return whole
     edges = window_edges(graph.restrict(window).walkable())
-    scan = lambda frontier: frontier.join(edges, F.col("v") == F.col("src")).where(follows()).select(*columns)
+    scan = lambda frontier: edges.meet(frontier).where(follows()).select(*columns)
     if access == "scan":
         return scan
     plan = plan or plan_access(graph)

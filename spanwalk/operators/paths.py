@@ -14,7 +14,7 @@ from ..functions.predicates import Ordering, Window
 from ..plans.fixpoint import pareto_fixpoint, reach_fixpoint, scalar_fixpoint
 from ..session import settle
 from . import access as access_paths
-from .edgemap import expand_backward, expand_edges, expand_forward, window_edges
+from .edgemap import FrontierEdges, expand_backward, expand_forward, expand_states, window_edges
 from .graph import TemporalGraph, with_edge_ids
 
 
@@ -57,25 +57,28 @@ def _with_source(found: DataFrame, spark: SparkSession, sources, own: dict) -> D
     return rest.unionByName(empty.select(*rest.columns))
 
 
-def _first_edges(graph: TemporalGraph, sources, edges: DataFrame) -> DataFrame:
-    return source_frame(graph.edges.sparkSession, sources).join(edges, F.col("source") == F.col("src"))
+def _first_edges(graph: TemporalGraph, sources, edges: FrontierEdges) -> DataFrame:
+    """(source, v, edge): the edges that leave the sources; v is the source."""
+    return edges.meet(source_frame(graph.edges.sparkSession, sources).withColumn("v", F.col("source"))).drop("v")
 
 
 def _arrival_pareto(graph: TemporalGraph, sources, window: Window, predicate: Ordering) -> DataFrame:
     """Overlaps in prose form: smaller start and smaller end of the last edge both help."""
     edges = window_edges(graph.restrict(window).walkable())
     seed = _first_edges(graph, sources, edges).select("source", F.col("dst").alias("v"), F.col("t_start").alias("x"), F.col("t_end").alias("y"))
-    step = lambda d: expand_edges(d.select("source", "v", F.col("x").alias("p_start"), F.col("y").alias("p_end")), edges, predicate).select("source", F.col("dst").alias("v"), F.col("t_start").alias("x"), F.col("t_end").alias("y"))
+    step = lambda d: expand_states(d.select("source", "v", F.col("x").alias("p_start"), F.col("y").alias("p_end")), edges, predicate).select("source", F.col("dst").alias("v"), F.col("t_start").alias("x"), F.col("t_end").alias("y"))
     found = pareto_fixpoint(seed, step).groupBy("source", "v").agg(F.min("y").alias("arrival"))
     return _with_source(found, graph.edges.sparkSession, sources, {"arrival": window.start})
 
 
 def edge_states(graph: TemporalGraph, sources, window: Window, predicate: Ordering, max_hops: int | None = None) -> tuple[DataFrame, DataFrame]:
     """States (source, edge_id, round) of all edges that end a valid path, and the window's edges with ids."""
-    edges = settle(with_edge_ids(graph.restrict(window).walkable().select("src", "dst", "t_start", "t_end")).repartition("src"))
-    seed = _first_edges(graph, sources, edges).select("source", "edge_id")
+    rows = settle(with_edge_ids(graph.restrict(window).walkable().select("src", "dst", "t_start", "t_end")))
+    laid = window_edges(rows, columns=("src", "dst", "t_start", "t_end", "edge_id"))
+    edges = laid.df.select("src", "dst", "t_start", "t_end", "edge_id")
+    seed = _first_edges(graph, sources, laid).select("source", "edge_id")
     ends = edges.select(F.col("edge_id").alias("last"), F.col("dst").alias("v"), F.col("t_start").alias("p_start"), F.col("t_end").alias("p_end"))
-    step = lambda d: expand_edges(d.select("source", F.col("edge_id").alias("last")).join(ends, "last"), edges, predicate).select("source", "edge_id")
+    step = lambda d: expand_states(d.select("source", F.col("edge_id").alias("last")).join(ends, "last"), laid, predicate).select("source", "edge_id")
     return reach_fixpoint(seed, step, ["source", "edge_id"], max_hops), edges
 
 
@@ -149,7 +152,7 @@ def temporal_bfs(graph: TemporalGraph, sources, window: Window, predicate: Order
     if mode == "window":
         edges = window_edges(graph.restrict(window).walkable())
         seed = source_frame(graph.edges.sparkSession, sources).select("source", F.col("source").alias("v"))
-        step = lambda d: d.join(edges, F.col("v") == F.col("src")).select("source", F.col("dst").alias("v"))
+        step = lambda d: edges.meet(d).select("source", F.col("dst").alias("v"))
         return reach_fixpoint(seed, step, ["source", "v"]).select("source", "v", (F.col("round") - 1).cast("long").alias("hops"))
     if predicate.one_sided:
         found = _forward_labels(graph, sources, window, predicate, "scan", None)
@@ -181,7 +184,7 @@ def arrival_paths(graph: TemporalGraph, sources, window: Window, predicate: Orde
     """
     predicate = predicate or graph.predicate
     labels = settle(_forward_labels(graph, sources, window, predicate, "scan", None))
-    edges = window_edges(graph.restrict(window).walkable())
+    edges = settle(graph.restrict(window).walkable().select("src", "dst", "t_start", "t_end"))
     tails = labels.select("source", F.col("v").alias("src"), F.col("label").alias("tail"), F.col("settled").alias("tail_round"))
     heads = labels.where("v <> source").select("source", F.col("v").alias("dst"), F.col("label").alias("t_end"), F.col("settled").alias("head_round"))
     fits = edges.join(tails, "src").where(predicate.follows_label(F.col("tail"), F.col("t_start"))).join(heads, ["source", "dst", "t_end"])

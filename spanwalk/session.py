@@ -38,6 +38,22 @@ def settle(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+def settle_partitioned(df: DataFrame, partitions: int, *keys: str) -> DataFrame:
+    """Materialise `df` hash-partitioned by `keys` so that joins on them don't move it again.
+
+    A plan made under adaptive execution doesn't report its partitioning, and a frame settled from
+    it would be shuffled by every later join; so this one job is planned without it.
+    """
+    spark = df.sparkSession
+    shared_dir(spark)
+    before = spark.conf.get("spark.sql.adaptive.enabled")
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    try:
+        return df.repartition(max(2, partitions), *keys).checkpoint()
+    finally:
+        spark.conf.set("spark.sql.adaptive.enabled", before)
+
+
 def ship(spark: SparkSession) -> None:
     """Make this package importable in Python workers, whatever folder they start in."""
     package = Path(__file__).resolve().parent

@@ -96,12 +96,12 @@ class OnlineArrival:
         return self.spark.read.schema("src long, dst long, t_start long, t_end long").parquet(f"{self.root}/edges")
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
-        from ..operators.edgemap import expand_forward
+        from ..operators.edgemap import expand_forward, window_edges
         from ..plans.fixpoint import scalar_fixpoint
 
         batch.select("src", "dst", "t_start", "t_end").write.mode("overwrite").parquet(f"{self.root}/edges/batch={batch_id}")
         old = self.labels(batch_id - 1)
-        edges = self.edges().drop("batch")
+        edges = window_edges(self.edges())
         # every vertex known so far may gain from the batch; later rounds follow only improvements
         found = scalar_fixpoint(old, lambda d: expand_forward(d, edges, self.predicate).select("source", F.col("dst").alias("v"), F.col("t_end").alias("label")))
         found.select("source", "v", "label").write.mode("overwrite").parquet(f"{self.root}/labels-{batch_id}")
