@@ -31,7 +31,7 @@ _SPACE = re.compile("[\t-\r \x85\xa0  -     　]+")
 _ODD = re.compile("[\x1c-\x1f]")
 #: Words of letters that Python's `re` and the tokenizer's pattern class alike (Latin up to U+017F).
 _PLAIN = re.compile("[!-~\xc0-\xd6\xd8-\xf6\xf8-įĲ-ſ]+")
-_REMEMBER = 150_000
+_REMEMBER = 100_000
 
 
 def _letter_table() -> dict[int, str]:
@@ -58,28 +58,27 @@ class ForcedSplitEncoder:
         self.library.no_truncation()
         self.library.no_padding()
         model = spec["model"]
-        self.vocab: dict[str, int] = model["vocab"]
+        vocab: dict[str, int] = model["vocab"]
         self.suffix: str = model["end_of_word_suffix"] or ""
-        merges = [tuple(m.split(" ")) if isinstance(m, str) else tuple(m) for m in model["merges"]]
         self.ending = self.library.model
-        self.inner = BPE(vocab=self.vocab, merges=merges)
+        self.inner = BPE(vocab=vocab, merges=[tuple(m.split(" ")) if isinstance(m, str) else tuple(m) for m in model["merges"]])
         self.added = {t["content"]: t["id"] for t in spec["added_tokens"]}
         self.specials = re.compile("(" + "|".join(map(re.escape, self.added)) + ")") if self.added else None
         self.letters = _letter_table()
-        n = max([*self.vocab.values(), *self.added.values()]) + 1
+        n = max([*vocab.values(), *self.added.values()]) + 1
         self.names = [""] * n
-        for token, k in [*self.vocab.items(), *self.added.items()]:
+        for token, k in [*vocab.items(), *self.added.items()]:
             self.names[k] = token
-        self.inside = self._pairs_inside_tokens()
+        self.inside = self._pairs_inside_tokens(vocab)
         self.word_pattern = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|\d|(?:[^\s\w]|_)+")
         self.fragments: dict[str, tuple[int, ...]] = {}
         self.chunks: dict[str, tuple[int, ...]] = {}
         self.older: dict[str, tuple[int, ...]] = {}  # the generation before, so that frequent chunks outlive a full table
 
-    def _pairs_inside_tokens(self) -> set[str]:
+    def _pairs_inside_tokens(self, vocab) -> set[str]:
         """Adjacent letters inside any token; all other pairs are certain cuts."""
         pairs = set()
-        for token in self.vocab:
+        for token in vocab:
             body = token.removesuffix(self.suffix) if self.suffix and token != self.suffix else token
             pairs.update(map("".join, zip(body, body[1:])))
         return pairs

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from ..session import settle, shared_dir, ship
 
-__all__ = ["ASCII_SPACE", "id_and_text", "lower_ascii", "map_texts", "pieces", "read", "settle", "shared_dir", "ship", "store", "text_of"]
+__all__ = ["ASCII_SPACE", "id_and_text", "lower_ascii", "map_texts", "pieces", "read", "settle", "shared_dir", "ship", "small_batches", "store", "text_of"]
 
 #: The white space that several contracts strip or split at: [\x20\x09-\x0D].
 ASCII_SPACE = " \t\n\x0b\x0c\r"
@@ -52,6 +52,7 @@ def map_texts(docs: DataFrame, make: Callable[[], Callable[[list], dict]], schem
     does not sit in memory at once.
     """
     ship(docs.sparkSession)
+    small_batches(docs.sparkSession)
     names = [x.split()[0] for x in schema.split(", ")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -65,6 +66,14 @@ def map_texts(docs: DataFrame, make: Callable[[], Callable[[list], dict]], schem
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {key}, {schema}")
 
 
+def small_batches(spark: SparkSession, most: int = 8 << 20) -> None:
+    """Bound the bytes that go to a Python worker at once; texts may be long and workers are many."""
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    now = spark.conf.get(key, None)
+    if now is None or not now.rstrip("b").isdigit() or int(now.rstrip("b")) > most:
+        spark.conf.set(key, f"{most}b")
+
+
 def pieces(batch: pa.RecordBatch, most_bytes: int = 4_000_000) -> Iterator[pa.RecordBatch]:
     rows, total = batch.num_rows, max(1, batch.nbytes)
     step = max(1, min(rows, rows * most_bytes // total))

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_and_text, pieces, ship
+from .common import id_and_text, pieces, ship, small_batches
 
 Q, RATE, SEGMENT, STEP, LEAST = 8, 0.08, 100, 50, 24
 #: Characters of benchmark text in one broadcast index.
@@ -199,6 +199,7 @@ def indexes(benchmark: DataFrame, block_chars: int = BLOCK_CHARS, **how) -> Iter
 def find_leaks(docs: DataFrame, benchmark: DataFrame, **how) -> DataFrame:
     """(doc_id, item_id, start, end, segments, edits): one row for each text and item that leaks into it."""
     ship(docs.sparkSession)
+    small_batches(docs.sparkSession)
     rows, out = id_and_text(docs), None
     for index in indexes(benchmark, **how):
         shared = docs.sparkSession.sparkContext.broadcast(index)
@@ -217,6 +218,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, **how) -> DataFrame:
 def clean_documents(docs: DataFrame, benchmark: DataFrame, **how) -> DataFrame:
     """The rows of `docs` into which nothing leaks; filtered where they stand, without a join."""
     ship(docs.sparkSession)
+    small_batches(docs.sparkSession)
     place = docs.columns.index("text")
     for index in indexes(benchmark, **how):
         shared = docs.sparkSession.sparkContext.broadcast(index)

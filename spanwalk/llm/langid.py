@@ -23,7 +23,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import id_and_text, map_texts, ship
+from .common import id_and_text, map_texts, ship, small_batches
 
 BINS, CENTROIDS, PER_LANGUAGE, MOST_LANGUAGES = 8192, 4, 400, 200
 #: A text is rejected below this share of the lowest training cosines of its language.
@@ -123,6 +123,7 @@ def identify(docs: DataFrame, model: Centroids | None = None) -> DataFrame:
     model = model or train(docs)
     spark: SparkSession = docs.sparkSession
     ship(spark)
+    small_batches(spark)
     shared = spark.sparkContext.broadcast(model)
 
     def make():
@@ -144,6 +145,7 @@ def accepted_documents(docs: DataFrame) -> DataFrame:
     spark = docs.sparkSession
     shared = spark.sparkContext.broadcast(train(docs))
     ship(spark)
+    small_batches(spark)
     import pyarrow as pa
 
     from .common import pieces
