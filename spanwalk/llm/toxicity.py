@@ -1,7 +1,8 @@
 """Toxicity by compression distance.
 
-Two zstandard dictionaries are trained. The ordinary one comes from windows of ordinary texts;
-the toxic one extends it by the words that toxic texts hold and ordinary ones lack. A text is
+Two zstandard dictionaries are trained. The ordinary one comes from windows of ordinary texts.
+The other comes from toxic texts, of which only the stretches that ordinary ones lack are shown
+to it, and is used behind the ordinary one, so that both know ordinary text alike. A text is
 cut into overlapping windows, each is compressed under either dictionary, and the bytes that the
 toxic one saves are the window's evidence. A logistic curve over a few statistics of all windows
 (strongest, second, next, how many stand out, weakest, number of windows), fitted on the
@@ -18,7 +19,6 @@ not read.
 from __future__ import annotations
 
 import math
-import re
 from collections import Counter
 from dataclasses import dataclass, field
 
@@ -32,13 +32,18 @@ from .common import id_and_text, map_texts, ship
 WINDOW, STRIDE = 96, 64
 #: Added to the curve's intercept: an ordinary text marked toxic costs more than one missed.
 CAUTION = -0.5
-PER_LABEL, DICTIONARY_BYTES = 1500, 12_000
-_WORD = re.compile(r"[^\W\d_]+")
+PER_LABEL, DICTIONARY_BYTES, TOXIC_BYTES = 1500, 12_000, 1000
+#: Stretches of GRAM bytes train the toxic dictionary if this share of the toxic texts hold them, and so many times the share of ordinary ones.
+GRAM, WITNESSES, ODDS = 4, 0.018, 10
+
+
+def folded(text: str | None) -> bytes:
+    return " ".join((text or "").lower().split()).encode("utf-8", "surrogatepass")
 
 
 def windows(text: str | None) -> list[bytes]:
     """Overlapping stretches of the lower-cased text, cut at no particular place."""
-    raw = " ".join((text or "").lower().split()).encode("utf-8", "surrogatepass")
+    raw = folded(text)
     return [raw[a : a + WINDOW] for a in range(0, max(1, len(raw) - WINDOW + STRIDE), STRIDE)] if raw else []
 
 
@@ -78,21 +83,12 @@ class Scorer:
         return 1 / (1 + np.exp(-np.clip(z, -60, 60)))
 
 
-def _dictionary(samples: list[bytes]) -> bytes:
+def _dictionary(samples: list[bytes], size: int = DICTIONARY_BYTES, **how) -> bytes:
     """A trained dictionary; where zstandard refuses (too few samples), their plain content."""
     try:
-        return zstd.train_dictionary(DICTIONARY_BYTES, samples, level=3).as_bytes()
+        return zstd.train_dictionary(size, samples, level=3, **how).as_bytes()
     except zstd.ZstdError:
-        return b"".join(samples)[-DICTIONARY_BYTES:] or b" "
-
-
-def _stems(texts: list[str]) -> Counter:
-    """Documents that hold each leading stretch of four and more letters of a word."""
-    out: Counter = Counter()
-    for t in texts:
-        words = {w for w in _WORD.findall(t.lower())}
-        out.update({w[:n] for w in words for n in range(4, min(len(w), 10) + 1)})
-    return out
+        return b"".join(samples)[-size:] or b" "
 
 
 def _without_copies(texts: list[str]) -> list[str]:
@@ -106,32 +102,34 @@ def _without_copies(texts: list[str]) -> list[str]:
     return out
 
 
-def _marked_stems(toxic: list[str], plain: list[str]) -> list[str]:
-    """Word beginnings that toxic texts hold far oftener than ordinary ones, the most frequent last.
+def _grams(texts: list[bytes]) -> Counter:
+    """Texts that hold each stretch of `GRAM` bytes."""
+    out: Counter = Counter()
+    for t in texts:
+        out.update({t[k : k + GRAM] for k in range(len(t) - GRAM + 1)})
+    return out
 
-    Of beginnings that extend one another the shortest odd one is taken and then lengthened as
-    long as most of its documents go along, which gives whole words or their common stem.
+
+def _left_over(toxic: list[str], plain: list[str]) -> list[bytes]:
+    """Of every toxic text the stretches whose bytes toxic texts hold far oftener than ordinary ones.
+
+    Nothing depends on where words begin or end: a stretch may be a short word, part of one or
+    some words in a row.
     """
-    toxic, plain = _without_copies(toxic), _without_copies(plain)
-    seen, ordinary = _stems(toxic), _stems(plain)
-    odd = {s: n for s, n in seen.items() if n >= max(3, 0.015 * len(toxic)) and n / len(toxic) > 20 * (ordinary.get(s, 0) + 0.2) / len(plain)}
-    out: dict[str, int] = {}
-    for s in sorted(odd, key=lambda x: (len(x), x)):
-        if any(s[:k] in odd for k in range(4, len(s))):
-            continue
-        longer = s
-        while more := [t for t in odd if len(t) == len(longer) + 1 and t.startswith(longer) and odd[t] >= 0.6 * odd[s]]:
-            longer = max(more, key=lambda t: (odd[t], t))
-        out[longer] = odd[s]
-    return [s for s, _ in sorted(out.items(), key=lambda x: (x[1], x[0]))]
-
-
-def _marked_words(toxic: list[str], plain: list[str]) -> list[str]:
-    """The words of toxic texts that begin with a marked stem, the most frequent last."""
-    stems, found = tuple(_marked_stems(toxic, plain)), Counter()
+    toxic, plain = [folded(t) for t in _without_copies(toxic)], [folded(t) for t in _without_copies(plain)]
+    seen, ordinary = _grams(toxic), _grams(plain)
+    odd = {g for g, n in seen.items() if n >= max(3, WITNESSES * len(toxic)) and n / len(toxic) > ODDS * (ordinary.get(g, 0) + 0.5) / len(plain)}
+    out = []
     for t in toxic:
-        found.update({w[:16] for w in _WORD.findall(t.lower()) if w.startswith(stems)} if stems else ())
-    return [w for w, _ in sorted(found.items(), key=lambda x: (x[1], x[0])) if found[w] > 1]
+        stretches, end = [], -1
+        for k in range(len(t) - GRAM + 1):
+            if t[k : k + GRAM] in odd:
+                if k > end:
+                    stretches.append([k, k])
+                end = stretches[-1][1] = k + GRAM
+        if stretches:
+            out.append(b" ".join(t[a:b] for a, b in stretches))
+    return out
 
 
 def fit(toxic: list[str], plain: list[str]) -> Scorer:
@@ -139,10 +137,11 @@ def fit(toxic: list[str], plain: list[str]) -> Scorer:
         return Scorer()
     toxic, plain = sorted(toxic), sorted(plain)
     ordinary = _dictionary([w for t in plain for w in windows(t)][:20_000])
-    marked = b"".join((" " + w).encode() for w in _marked_words(toxic, plain))[-DICTIONARY_BYTES:]
-    # the toxic dictionary ends in what only toxic text holds, the ordinary one in as many idle bytes
-    idle = bytes((k * 97 + k // 61 * 31) % 29 + 1 for k in range(len(marked)))
-    own = Scorer(toxic=ordinary + marked, plain=ordinary + idle)
+    left = _left_over(toxic, plain)
+    own_part = _dictionary(left, TOXIC_BYTES, k=16, d=6) if left else b""
+    # both begin with the ordinary dictionary; the toxic one goes on with its own, the other with as many idle bytes
+    idle = bytes((k * 97 + k // 61 * 31) % 29 + 1 for k in range(len(own_part)))
+    own = Scorer(toxic=ordinary + own_part, plain=ordinary + idle)
     y = np.array([1] * len(toxic) + [0] * len(plain))
     own.curve = _logistic(np.array([own.evidence(t) for t in toxic + plain], dtype=np.float64), y)
     return own

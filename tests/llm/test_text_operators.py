@@ -136,6 +136,14 @@ def test_toxicity(spark):
     assert toxicity.score_documents(frame(spark, texts).limit(0), labels).collect() == []
 
 
+def test_toxicity_learns_short_words():
+    words = ["the", "river", "house", "walk", "green", "over", "stone", "light", "table"]
+    plain, toxic = corpus(4, 300, words), corpus(5, 200, words, ["vex", "zug", "kaf"])
+    toxic = [f"{t[-30:]} {t}" for t in toxic]  # in the middle, too: zstandard starts no match in the last bytes
+    own = toxicity.fit(toxic[:150], plain[:200])
+    assert (own.scores(toxic[150:]) >= 0.5).mean() >= 0.9 and (own.scores(plain[200:]) >= 0.5).mean() <= 0.1
+
+
 def plain_words(text):
     low = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in text or "")
     return re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", low)
