@@ -19,6 +19,7 @@ not read.
 from __future__ import annotations
 
 import math
+import zlib
 from collections import Counter
 from dataclasses import dataclass, field
 
@@ -33,6 +34,8 @@ WINDOW, STRIDE = 96, 64
 #: Added to the curve's intercept: an ordinary text marked toxic costs more than one missed.
 CAUTION = -0.5
 PER_LABEL, DICTIONARY_BYTES, TOXIC_BYTES = 1500, 12_000, 1000
+#: Windows that train the ordinary dictionary at most.
+MOST_WINDOWS = 20_000
 #: Stretches of GRAM bytes train the toxic dictionary if this share of the toxic texts hold them, and so many times the share of ordinary ones.
 GRAM, WITNESSES, ODDS = 4, 0.018, 10
 
@@ -102,6 +105,11 @@ def _without_copies(texts: list[str]) -> list[str]:
     return out
 
 
+def _spread(samples: list[bytes]) -> list[bytes]:
+    """At most `MOST_WINDOWS` of the samples, taken and ordered by hash from all of them alike."""
+    return sorted(samples, key=lambda w: (zlib.crc32(w), w))[:MOST_WINDOWS]
+
+
 def _grams(texts: list[bytes]) -> Counter:
     """Texts that hold each stretch of `GRAM` bytes."""
     out: Counter = Counter()
@@ -136,7 +144,7 @@ def fit(toxic: list[str], plain: list[str]) -> Scorer:
     if not toxic or not plain:
         return Scorer()
     toxic, plain = sorted(toxic), sorted(plain)
-    ordinary = _dictionary([w for t in plain for w in windows(t)][:20_000])
+    ordinary = _dictionary(_spread([w for t in plain for w in windows(t)]))
     left = _left_over(toxic, plain)
     own_part = _dictionary(left, TOXIC_BYTES, k=16, d=6) if left else b""
     # both begin with the ordinary dictionary; the toxic one goes on with its own, the other with as many idle bytes

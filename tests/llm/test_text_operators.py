@@ -144,6 +144,16 @@ def test_toxicity_learns_short_words():
     assert (own.scores(toxic[150:]) >= 0.5).mean() >= 0.9 and (own.scores(plain[200:]) >= 0.5).mean() <= 0.1
 
 
+def test_toxicity_trains_on_all_ordinary_texts(monkeypatch):
+    plain = [f"{chr(97 + k % 26)} " + f"w{k % 26:02d}x{k} abcdefg " * 90 for k in range(1300)]
+    shown = []
+    monkeypatch.setattr(toxicity, "_dictionary", lambda samples, *_, **__: shown.append(samples) or b" ")
+    toxicity.fit(["some toxic text", "another one"], plain)
+    assert len(shown[0]) <= 20_000 < sum(len(toxicity.windows(t)) for t in plain)
+    text = b"\n".join(shown[0])
+    assert all(text.count(b"w%02dx" % k) > 500 for k in range(26))
+
+
 def plain_words(text):
     low = "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in text or "")
     return re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", low)
