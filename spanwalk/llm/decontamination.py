@@ -5,7 +5,10 @@ overlapping segments (short items are one segment), so that a passage of an item
 as the whole. A segment of m characters found with at most e edits shares at least
 m - q + 1 - q * e of its q-grams with the text, all on diagonals of a band e + 1 wide. Shared
 q-grams are therefore counted in overlapping bands of diagonals, bands that meet the bound are
-kept, and a banded alignment of the segment with the text around such a band decides.
+kept, and a banded alignment of the segment with the text around such a band decides. Of
+an item without a segment found, segments that start FINE characters apart are tried as well, so
+that any SEGMENT characters of it, unedited, are found, being within the edits of one of those;
+edits of the passage come on top of those that its offset takes.
 
 The index of a benchmark is broadcast in blocks of bounded size, however large the benchmark.
 
@@ -29,6 +32,8 @@ from pyspark.sql import functions as F
 from .common import id_and_text, pieces, ship, small_batches
 
 Q, RATE, SEGMENT, STEP, LEAST = 8, 0.08, 100, 50, 24
+#: Closer starts for items of which no segment is found: at most the edit budget of a segment apart.
+FINE = 8
 #: Characters of benchmark text in one broadcast index.
 BLOCK_CHARS = 32_000_000
 _MULT = np.uint64(0x9E3779B97F4A7C15)
@@ -55,37 +60,57 @@ def gram_hashes(folded: str, q: int) -> np.ndarray:
 
 
 class SegmentIndex:
-    """Postings of the q-grams of all segments of a block of benchmark items."""
+    """Postings of the q-grams, and the segments, of a block of benchmark items."""
 
     def __init__(self, items: list[tuple[int, str]], q: int = Q, rate: float = RATE, segment: int = SEGMENT, step: int = STEP, least: int = LEAST):
-        self.q, self.texts, self.items = q, [], []
+        self.q, self.wholes, self.names, self.bounds = q, [], [], [0]
+        starts, lengths = [], []
         for item, text in items:
             whole = fold(text or "")
             if len(whole) < max(least, q):
                 continue
             last = max(0, len(whole) - segment)
-            for at in sorted({*range(0, last, step), last}):
-                self.texts.append(whole[at : at + segment])
-                self.items.append(item)
-        lengths = np.array([len(t) for t in self.texts], dtype=np.int64)
+            own = sorted({*range(0, last, step), last})
+            self.wholes.append(whole)
+            self.names.append(item)
+            starts.extend(own)
+            lengths.extend([min(segment, len(whole))] * len(own))
+            self.bounds.append(len(starts))
+        self.starts, self.lengths = np.array(starts, dtype=np.int64), np.array(lengths, dtype=np.int64)
+        self.of = np.repeat(np.arange(len(self.wholes)), np.diff(self.bounds))
         # the most edits for which the lemma still asks for a shared q-gram
-        self.edits = np.minimum(np.floor(lengths * rate), np.maximum(0, (lengths - q) // q)).astype(np.int64)
-        self.need = lengths - q + 1 - q * self.edits
-        own = [gram_hashes(t, q) for t in self.texts]
+        self.edits = np.minimum(np.floor(self.lengths * rate), np.maximum(0, (self.lengths - q) // q)).astype(np.int64)
+        self.need = self.lengths - q + 1 - q * self.edits
+        # every place of an item is posted once, however many segments hold it
+        own = [gram_hashes(t, q) for t in self.wholes]
         h = np.concatenate([np.zeros(0, np.uint64), *own])
-        seg = np.repeat(np.arange(len(own)), [len(x) for x in own])
+        whole = np.repeat(np.arange(len(own)), [len(x) for x in own])
         pos = np.concatenate([np.zeros(0, np.int64), *(np.arange(len(x)) for x in own)])
-        order = np.lexsort((pos, seg, h))
-        self.seg, self.pos = seg[order], pos[order]
+        order = np.lexsort((pos, whole, h))
+        self.whole, self.pos = whole[order], pos[order]
         self.grams, first = np.unique(h[order], return_index=True)
         self.first = np.append(first, len(h))
         self.table = np.zeros(1 << _TABLE_BITS, dtype=bool)
         self.table[self.grams >> np.uint64(64 - _TABLE_BITS)] = True
         self.fewest = int(self.need.min()) if len(self.need) else 0
-        self.reach = int((lengths + 2 * self.edits).max()) if len(lengths) else 0
+        self.least_of = np.array([self.need[a:b].min() for a, b in zip(self.bounds, self.bounds[1:])], dtype=np.int64)
+        self.coarse = 2 * (int(self.edits.max()) + 1) if len(self.edits) else 2
+        self.reach = int((self.lengths + 2 * self.edits).max()) if len(self.lengths) else 0
 
-    def find(self, folded: str) -> list[tuple[int, int, int, int]]:
-        """(item, start, end, edits) of every segment found, places in the folded text."""
+    def text(self, s: int) -> str:
+        at = int(self.starts[s])
+        return self.wholes[self.of[s]][at : at + int(self.lengths[s])]
+
+    @property
+    def texts(self) -> list[str]:
+        return [self.text(s) for s in range(len(self.starts))]
+
+    @property
+    def items(self) -> list[int]:
+        return [self.names[k] for k in self.of]
+
+    def find(self, folded: str, fine: bool = False) -> list[tuple[int, int, int, int]]:
+        """(item, start, end, edits) of every segment found, places in the folded text; `fine` tries closer starts too."""
         h = gram_hashes(folded, self.q)
         if not len(self.grams) or len(h) < self.fewest:
             return []
@@ -106,28 +131,44 @@ class SegmentIndex:
         spots, at = spots[known], at[known]
         n = self.first[at + 1] - self.first[at]
         which = np.repeat(self.first[at] - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(n.sum())
-        seg, place = self.seg[which], np.repeat(spots, n)
-        diagonal = place - self.pos[which]
-        width = self.edits[seg] + 1
-        band = diagonal // width
-        keys = np.concatenate([np.stack([seg, band], 1), np.stack([seg, band - 1], 1)])
-        code = keys[:, 0] * (1 << 40) + (keys[:, 1] + (1 << 20))
-        found, counts = np.unique(code, return_counts=True)
-        seg_of = found >> 40
-        good = found[counts >= self.need[seg_of]]
-        out, done = [], {}
-        for c in good.tolist():
-            s, b = c >> 40, (c & ((1 << 40) - 1)) - (1 << 20)
-            e = int(self.edits[s])
-            hit = self._align(s, folded, b * (e + 1), (b + 2) * (e + 1) - 1, e)
-            if hit and (s, hit[0]) not in done:
-                done[s, hit[0]] = True
-                out.append((self.items[s], *hit))
+        whole, pos, place = self.whole[which], self.pos[which], np.repeat(spots, n)
+        # two neighbouring coarse bands hold any two neighbouring bands of any segment of the item
+        band = (place - pos) // self.coarse
+        found, counts = np.unique(np.concatenate([whole, whole]) * (1 << 40) + np.concatenate([band, band - 1]) + (1 << 20), return_counts=True)
+        out = []
+        for w in np.unique((found >> 40)[counts >= self.least_of[found >> 40]]).tolist():
+            own = np.flatnonzero(whole == w)
+            own = own[np.argsort(pos[own], kind="stable")]
+            places, diagonals = pos[own], (place - pos)[own]
+            a, b = self.bounds[w], self.bounds[w + 1]
+            tries = [(self.starts[a:b], int(self.lengths[a]), int(self.edits[a]), int(self.need[a]))]
+            if fine and b - a > 1:
+                tries.append((np.setdiff1d(np.arange(0, self.starts[b - 1], FINE), tries[0][0]), *tries[0][1:]))
+            for starts, length, e, need in tries:
+                hits = self._segments(w, starts, length, e, need, places, diagonals, folded)
+                out.extend((self.names[w], *hit) for hit in hits)
+                if hits:
+                    break
+        return out
+
+    def _segments(self, w: int, starts: np.ndarray, length: int, e: int, need: int, places: np.ndarray, diagonals: np.ndarray, folded: str) -> list[tuple[int, int, int]]:
+        """(start, end, edits) of the item's segments at `starts`, given its shared q-grams in order of `places`."""
+        out, done = [], set()
+        begins = np.searchsorted(places, starts)
+        ends = np.searchsorted(places, starts + length - self.q, side="right")
+        for k in np.flatnonzero(ends - begins >= need).tolist():
+            at = int(starts[k])
+            bands = (diagonals[begins[k] : ends[k]] + at) // (e + 1)
+            seen, counts = np.unique(np.concatenate([bands, bands - 1]), return_counts=True)
+            for band in seen[counts >= need].tolist():
+                hit = self._align(self.wholes[w][at : at + length], folded, band * (e + 1), (band + 2) * (e + 1) - 1, e)
+                if hit and (at, hit[0]) not in done:
+                    done.add((at, hit[0]))
+                    out.append(hit)
         return out
 
-    def _align(self, s: int, folded: str, low: int, high: int, e: int) -> tuple[int, int, int] | None:
+    def _align(self, text: str, folded: str, low: int, high: int, e: int) -> tuple[int, int, int] | None:
         """Best alignment of the whole segment along diagonals low..high, widened by e; within e edits or None."""
-        text = self.texts[s]
         low, high = low - e, high + e
         exact = folded.find(text, max(0, low), max(0, high) + len(text))
         if exact >= 0:
@@ -177,7 +218,7 @@ def leaks_of(text: str | None, index: SegmentIndex) -> list[tuple[int, int, int,
     if not text:
         return []
     found: dict[int, list] = {}
-    for item, a, b, e in index.find(fold(text)):
+    for item, a, b, e in index.find(fold(text), fine=True):
         found.setdefault(item, []).append((a, b, e))
     out = []
     for item, hits in sorted(found.items()):

@@ -138,6 +138,17 @@ def test_leaks_against_brute_force():
         assert set(found) == wanted
 
 
+def test_every_passage_of_a_segment_is_a_leak():
+    r = random.Random(16)
+    prose = lambda n: " ".join("".join(r.choice("aeionrstlhd") for _ in range(r.randint(1, 8))) for _ in range(n))
+    items = [(k, prose(70)) for k in range(5)]
+    index = decontamination.SegmentIndex(items)
+    for k, item in items:
+        for at in range(0, len(item) - decontamination.SEGMENT + 1, 23):
+            passage = item[at : at + decontamination.SEGMENT]
+            assert k in {x[0] for x in decontamination.leaks_of(f"{prose(10)} {passage} {prose(10)}", index)}, at
+
+
 def test_leaks(spark):
     r = random.Random(7)
     prose = lambda n: " ".join("".join(r.choice("aeionrstlhd") for _ in range(r.randint(1, 8))) for _ in range(n))
