@@ -118,31 +118,69 @@ def edited(r, s, n):
     return "".join(s)
 
 
+def test_gram_hashes_tell_rows_apart():
+    text = "abcabcabdabc\u00e9\U0001f600abcab"
+    for q in (1, 2, 3, 5, 8, 11):
+        h = decontamination.gram_hashes(decontamination._letters(text), q)
+        rows = [text[k : k + q] for k in range(len(text) - q + 1)]
+        assert [[a == b for b in rows] for a in rows] == (h[:, None] == h[None, :]).tolist()
+
+
 def test_leaks_against_brute_force():
     r = random.Random(6)
     prose = lambda n: " ".join("".join(r.choice("aeionrstlhd") for _ in range(r.randint(1, 8))) for _ in range(n))
     items = [(k, prose(r.randint(6, 60))) for k in range(12)]
-    index = decontamination.SegmentIndex(items)
-    for _ in range(120):
-        k = r.randrange(len(index.texts))
-        doc = f"{prose(20)} {edited(r, index.texts[k], r.randint(0, 12))} {prose(20)}"
+    index = decontamination.PassageIndex(items)
+    passages = {k: [t[at : at + 100] for at in range(max(1, len(t) - 99))] for k, t in items}
+    edits = {k: int(index.edits[index.names.index(k)]) for k, _ in items}
+    texts = []
+    for _ in range(30):
+        k = r.randrange(len(items))
+        texts.append(f"{prose(15)} {edited(r, r.choice(passages[k]), r.randint(0, 12))} {prose(15)}")
+    hits = 0
+    for doc, found in zip(texts, decontamination.leaks_in(texts, index)):
         folded = decontamination.fold(doc)
-        found = {}
-        for item, _, _, e in index.find(folded):
-            found.setdefault(item, []).append(e)
-        for s, text in enumerate(index.texts):
-            d = plain_distance(text, folded)
-            if d <= index.edits[s]:
-                assert d in found[index.items[s]]
-        wanted = {index.items[s] for s, text in enumerate(index.texts) if plain_distance(text, folded) <= index.edits[s]}
-        assert set(found) == wanted
+        near = {k: [plain_distance(p, folded) for p in own[:: decontamination.FINE]] for k, own in passages.items() if sum(folded.find(p[x : x + 8]) >= 0 for p in own[::8] for x in range(0, len(p) - 7, 4)) > 2}
+        got = {x[0]: x for x in found}
+        for k, d in near.items():
+            if min(d) <= edits[k]:
+                assert k in got
+        for k, x in got.items():
+            assert x[4] <= edits[k]
+            hits += 1
+            inside = folded[len(decontamination.fold(doc[: x[1]] + "|")) - 1 : ][: x[2] - x[1]]
+            assert min(plain_distance(p, inside) for p in passages[k]) <= x[4]
+    assert hits > 12
+
+
+def test_leaks_do_not_depend_on_runs_portions_or_parts(monkeypatch):
+    r = random.Random(26)
+    prose = lambda n: " ".join("".join(r.choice("aeionrstlhd") for _ in range(r.randint(1, 8))) for _ in range(n))
+    items = [(k, prose(200)) for k in range(4)] + [(9, "ab" * 200), (10, "short one")]
+    texts = [prose(30) + items[k % 4][1][30 * k : 30 * k + 140] + prose(200) for k in range(12)] + ["ab" * 700, None, "", "x\nShort  ONE \ny", "not a short one"]
+    want = [{x[0] for x in f} for f in decontamination.leaks_in(texts, decontamination.PassageIndex(items))]
+    assert want == [{k % 4} for k in range(12)] + [{9}, set(), set(), {10}, set()]
+    monkeypatch.setattr(decontamination, "RUN_CHARS", 300)
+    monkeypatch.setattr(decontamination, "PORTION", 50)
+    assert [{x[0] for x in f} for f in decontamination.leaks_in(texts, decontamination.PassageIndex(items, part=250))] == want
+
+
+def test_repetitive_texts_take_bounded_memory():
+    import tracemalloc
+
+    index = decontamination.PassageIndex([(1, "ab" * 60)])
+    tracemalloc.start()
+    (found,) = decontamination.leaks_of("ab" * 100_000, index)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert found[:3] == (1, 0, 200_000) and peak < 150e6
 
 
 def test_every_passage_of_a_segment_is_a_leak():
     r = random.Random(16)
     prose = lambda n: " ".join("".join(r.choice("aeionrstlhd") for _ in range(r.randint(1, 8))) for _ in range(n))
     items = [(k, prose(70)) for k in range(5)]
-    index = decontamination.SegmentIndex(items)
+    index = decontamination.PassageIndex(items)
     for k, item in items:
         for at in range(0, len(item) - decontamination.SEGMENT + 1, 23):
             passage = item[at : at + decontamination.SEGMENT]
@@ -152,21 +190,26 @@ def test_every_passage_of_a_segment_is_a_leak():
 def test_leaks(spark):
     r = random.Random(7)
     prose = lambda n: " ".join("".join(r.choice("aeionrstlhd") for _ in range(r.randint(1, 8))) for _ in range(n))
-    items = [(k, prose(50)) for k in range(5)] + [(8, None), (9, ""), (10, "tiny"), (None, prose(50))]
-    texts = [None, "", prose(300), f"{prose(9)}\n{items[0][1].upper()}  {prose(9)}", items[1][1].replace(" ", "\n\t"), items[2][1][:180] + prose(40), items[3][1][:50] + prose(60), (items[4][1] + " ") * 3, "İ" * 30 + items[0][1]]
+    items = [(k, prose(50)) for k in range(5)] + [(8, None), (9, ""), (10, "Tiny  one"), (None, prose(50))]
+    texts = [None, "", prose(300), f"{prose(9)}\n{items[0][1].upper()}  {prose(9)}", items[1][1].replace(" ", "\n\t"), items[2][1][:180] + prose(40), items[3][1][:50] + prose(60), (items[4][1] + " ") * 3, "İ" * 30 + items[0][1], "a\n tiny ONE\nb", "no tiny one"]
     docs = spark.createDataFrame([(k, t, 1, 1) for k, t in enumerate(texts)] + [(3, texts[3], 1, 1)], "doc_id long, text string, item_id long, start long")
     bench = spark.createDataFrame(items, "item_id long, text string")
     got = decontamination.find_leaks(docs, bench).collect()
-    assert sorted((x.doc_id, x.item_id) for x in got) == [(3, 0), (3, 0), (4, 1), (5, 2), (7, 4), (8, 0)]
+    assert sorted((x.doc_id, x.item_id) for x in got) == [(3, 0), (3, 0), (4, 1), (5, 2), (7, 4), (8, 0), (9, 10)]
     for x in got:
         inside = decontamination.fold(texts[x.doc_id][x.start : x.end])
         assert x.edits == 0 and inside in decontamination.fold(texts[x.doc_id])
-        if x.doc_id in (3, 4, 8):
+        if x.doc_id in (3, 4, 8, 9):
             assert inside == decontamination.fold(dict(items)[x.item_id])
     blocks = decontamination.find_leaks(docs, bench, block_chars=300).collect()
     assert sorted(map(tuple, blocks)) == sorted(map(tuple, got))
+    assert sorted(x.doc_id for x in decontamination.clean_documents(docs, bench, block_chars=300).collect()) == [0, 1, 2, 6, 10]
+    long_item = spark.createDataFrame([(1, prose(15_000))], "item_id long, text string")
+    piece = long_item.head().text[50_000:50_150]
+    one = spark.createDataFrame([(7, f"{prose(20)} {piece}")], "doc_id long, text string")
+    assert [(x.doc_id, x.item_id, x.edits) for x in decontamination.find_leaks(one, long_item).collect()] == [(7, 1, 0)]
     kept = decontamination.clean_documents(docs, bench)
-    assert kept.columns == docs.columns and sorted(x.doc_id for x in kept.collect()) == [0, 1, 2, 6]
+    assert kept.columns == docs.columns and sorted(x.doc_id for x in kept.collect()) == [0, 1, 2, 6, 10]
     assert decontamination.find_leaks(docs, bench.limit(0)).collect() == [] == decontamination.find_leaks(docs.limit(0), bench).collect()
 
 
@@ -273,7 +316,7 @@ def test_pipeline(spark, tmp_path):
     prints = {k: plain_fingerprint(t) for k, t in now.items()}
     comp = least_reachable(prints, [(a, b) for a in prints for b in prints if a < b and (prints[a] ^ prints[b]).bit_count() <= 3])
     now = {k: t for k, t in now.items() if comp[k] == k}
-    index = decontamination.SegmentIndex([(1, item)])
+    index = decontamination.PassageIndex([(1, item)])
     now = {k: t for k, t in now.items() if not decontamination.leaks_of(t, index)}
     enc = bpe.encoder(bpe.default_vocabulary())
     got = {x.doc_id: x.n_tokens for x in corpus_pipeline.run(spark, str(tmp_path)).collect()}
