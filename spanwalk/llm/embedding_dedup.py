@@ -10,10 +10,13 @@ vectors are folded first; buckets above `block` members are dealt out as pairs o
 `plan_tables` chooses bits by the number of vectors, and tables so that a pair at the threshold
 is found with the stated probability; closer pairs are found more surely.
 
-Defined results: vectors that are null, zero, of another length than the most common, or hold null or
-non-finite components, and rows with a null label, link with nothing (their own component);
-rows with a null vec_id are returned with no links and a null component; repeated rows of one
-vec_id count as one vector; extra columns are not read.
+Defined results: only vectors of one length are compared, each length with its own hyperplanes.
+Vectors that are null, zero, or hold null or non-finite components, and rows with a null label,
+link with nothing (their own component); vectors are scaled by their largest component before
+their length is taken, so tiny and huge ones link like others. Labels may be of any type and are
+compared as text. Rows with a null vec_id are returned with no links and a null component. A
+vec_id is one vector: if its rows hold several, the one of the least hash stands for it, and each
+of its rows gets the same result. Extra columns are not read.
 """
 
 from __future__ import annotations
@@ -43,6 +46,12 @@ def planes(width: int, bits: int, tables: int, seed: int = SEED) -> np.ndarray:
     return np.random.default_rng(seed).standard_normal((width, bits * tables))
 
 
+def unit_rows(x: np.ndarray) -> np.ndarray:
+    """Rows of length one; scaled first, so that squares neither vanish nor overflow."""
+    x = x / np.abs(x).max(axis=1, keepdims=True)
+    return x / np.linalg.norm(x, axis=1, keepdims=True)
+
+
 def sign_codes(x: np.ndarray, normals: np.ndarray, bits: int, tables: int) -> np.ndarray:
     signs = (x @ normals > 0).reshape(len(x), tables, bits)
     return signs @ (1 << np.arange(bits, dtype=np.int64))
@@ -112,7 +121,7 @@ class _Bucket:
 
 
 def _verify(batches: Iterator[pa.RecordBatch], threshold: float, bits: int, tables: int) -> Iterator[pa.RecordBatch]:
-    """Rows sorted by (label, t, code, pair); one bucket is held at a time."""
+    """Rows sorted by (space, width, t, code, pair); one bucket is held at a time."""
     held, held_key = [], None
     bucket, normals = _Bucket(threshold), None
 
@@ -121,19 +130,18 @@ def _verify(batches: Iterator[pa.RecordBatch], threshold: float, bits: int, tabl
         if len(rows[0]) < 2:
             return
         nonlocal normals
-        x = rows[2]
-        if normals is None or len(normals) != x.shape[1]:
-            normals = planes(x.shape[1], bits, tables)
-        unit = x / np.linalg.norm(x, axis=1, keepdims=True)
-        bucket.add(held_key[1], rows[0], rows[1], unit, sign_codes(unit, normals, bits, tables), rows[3])
+        unit = unit_rows(rows[2])
+        if normals is None or len(normals) != unit.shape[1]:
+            normals = planes(unit.shape[1], bits, tables)
+        bucket.add(held_key[2], rows[0], rows[1], unit, sign_codes(unit, normals, bits, tables), rows[3])
 
     for batch in batches:
         if not batch.num_rows:
             continue
-        keys = np.stack([np.asarray(batch.column(c)).astype(np.int64) for c in ("label", "t", "code", "pair")], axis=1)
+        keys = np.stack([np.asarray(batch.column(c)).astype(np.int64) for c in ("space", "width", "t", "code", "pair")], axis=1)
         node, copies, side = (np.asarray(batch.column(c)) for c in ("node", "copies", "side"))
-        lists = batch.column("embedding")
-        x = np.asarray(lists.flatten()).astype(np.float64).reshape(batch.num_rows, -1)
+        flat = np.asarray(batch.column("embedding").flatten())
+        places = np.concatenate([[0], np.cumsum(keys[:, 1])])
         new = np.flatnonzero((keys[1:] != keys[:-1]).any(axis=1)) + 1
         for a, b in zip([0, *new.tolist()], [*new.tolist(), len(keys)]):
             key = tuple(keys[a].tolist())
@@ -141,7 +149,7 @@ def _verify(batches: Iterator[pa.RecordBatch], threshold: float, bits: int, tabl
                 done()
                 held = []
             held_key = key
-            held.append((node[a:b], copies[a:b], x[a:b], side[a:b]))
+            held.append((node[a:b], copies[a:b], flat[places[a] : places[b]].reshape(b - a, -1), side[a:b]))
         if bucket.counts or bucket.links:
             yield bucket.rows()
     if held:
@@ -151,7 +159,7 @@ def _verify(batches: Iterator[pa.RecordBatch], threshold: float, bits: int, tabl
 
 def usable(vectors: DataFrame, id_col: str, vector_col: str, label_col: str) -> DataFrame:
     """(vec_id, label, embedding) of the rows that can link, components in double precision."""
-    rows = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(label_col).cast("int").alias("label"), F.col(vector_col).cast("array<double>").alias("embedding"))
+    rows = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(label_col).cast("string").alias("label"), F.col(vector_col).cast("array<double>").alias("embedding"))
     finite = F.forall("embedding", lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) < float("inf")))
     some = F.exists("embedding", lambda v: v != 0)
     return rows.where("vec_id is not null and label is not null and embedding is not null").where(finite & some)
@@ -163,38 +171,42 @@ def link_embeddings(vectors: DataFrame, id_col: str = "vec_id", vector_col: str
     ship(spark)
     good = usable(vectors, id_col, vector_col, label_col)
     # equal vectors of a label are one class: its smallest id stands for it, with its number of ids
-    sign = (F.xxhash64("label", "embedding").alias("h1"), F.xxhash64(F.lit("second"), "label", "embedding").alias("h2"))
-    members = good.select("vec_id", "label", "embedding", *sign)
-    ids = settle(members.select("vec_id", "h1", "h2").distinct())
-    classes = members.select("vec_id", "h1", "h2", "label", "embedding").groupBy("h1", "h2").agg(F.min("vec_id").alias("node"), F.first("label").alias("label"), F.first("embedding").alias("embedding"))
-    sizes = ids.groupBy("h1", "h2").agg(F.count("*").alias("copies"))
-    nodes = settle(classes.join(sizes, ["h1", "h2"]).select("h1", "h2", "node", "copies", "label", "embedding"))
-    widths = nodes.groupBy(F.size("embedding").alias("w")).agg(F.count("*").alias("n")).orderBy(F.desc("n"), "w").limit(1).collect()
-    width, n = (widths[0].w, widths[0].n) if widths else (1, 1)
-    bits, tables = plan_tables(n, threshold, recall)
+    sign = F.struct(F.xxhash64("label", "embedding").alias("h1"), F.xxhash64(F.lit("second"), "label", "embedding").alias("h2"))
+    members = good.withColumn("h", sign)
+    ids = settle(members.groupBy("vec_id").agg(F.min("h").alias("h")).select("vec_id", "h.h1", "h.h2"))
+    classes = members.groupBy("h").agg(F.first("label").alias("label"), F.first("embedding").alias("embedding")).select("h.h1", "h.h2", F.xxhash64("label").alias("space"), F.size("embedding").alias("width"), "embedding")
+    sizes = ids.groupBy("h1", "h2").agg(F.min("vec_id").alias("node"), F.count("*").alias("copies"))
+    nodes = settle(classes.join(sizes, ["h1", "h2"]).select("h1", "h2", "node", "copies", "space", "width", "embedding"))
+    bits, tables = plan_tables(nodes.count(), threshold, recall)
+    vectors_of = ["node", "space", "width"]
 
     def spread(batches):
-        normals = planes(width, bits, tables)
+        normals: dict[int, np.ndarray] = {}
         for batch in batches:
-            for at in range(0, batch.num_rows, 2000):
-                part = batch.slice(at, 2000)
-                x = np.asarray(part.column("embedding").flatten()).reshape(part.num_rows, -1)
-                codes = sign_codes(x / np.linalg.norm(x, axis=1, keepdims=True), normals, bits, tables)
-                yield pa.RecordBatch.from_arrays([*(part.column(c) for c in ("node", "label")), pa.array(list(codes), pa.list_(pa.int64()))], ["node", "label", "codes"])
-
-    wide = nodes.where(F.size("embedding") == width)
-    codes = settle(wide.select("node", "label", "embedding").mapInArrow(spread, "node long, label int, codes array<long>"))
-    keyed = codes.select("node", "label", F.posexplode("codes").alias("t", "code"))
-    heavy = keyed.groupBy("label", "t", "code").agg(F.count("*").alias("n")).where(F.col("n") > 1)
+            width = np.asarray(batch.column("width"))
+            for w in np.unique(width).tolist():
+                if w not in normals:
+                    normals = {w: planes(w, bits, tables)}  # one width's at a time
+                own = batch.filter(pa.array(width == w))
+                for at in range(0, own.num_rows, 2000):
+                    part = own.slice(at, 2000)
+                    codes = sign_codes(unit_rows(np.asarray(part.column("embedding").flatten()).reshape(part.num_rows, -1)), normals[w], bits, tables)
+                    lists = pa.ListArray.from_arrays(np.arange(0, len(codes) * tables + 1, tables, dtype=np.int32), pa.array(codes.ravel()))
+                    yield pa.RecordBatch.from_arrays([*(part.column(c) for c in vectors_of), lists], [*vectors_of, "codes"])
+
+    codes = settle(nodes.select(*vectors_of, "embedding").mapInArrow(spread, "node long, space long, width int, codes array<long>"))
+    keyed = codes.select(*vectors_of, F.posexplode("codes").alias("t", "code"))
+    heavy = keyed.groupBy("space", "width", "t", "code").agg(F.count("*").alias("n")).where(F.col("n") > 1)
     # buckets of one need no vectors; large ones are dealt out as pairs of blocks
     parts = F.ceil(F.col("n") / F.lit(block)).cast("int")
-    met = keyed.join(heavy, ["label", "t", "code"]).withColumn("parts", parts).withColumn("own", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int"))
+    met = keyed.join(heavy, ["space", "width", "t", "code"]).withColumn("parts", parts).withColumn("own", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int"))
     places = F.when(F.col("parts") == 1, F.array(F.struct(F.lit(0).alias("pair"), F.lit(0).alias("side")))).otherwise(
         F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda k: F.struct((F.least(k, F.col("own")) * F.col("parts") + F.greatest(k, F.col("own"))).cast("int").alias("pair"), F.when(k == F.col("own"), 0).when(F.col("own") < k, 1).otherwise(2).cast("int").alias("side")))
     )
-    dealt = met.select("node", "label", "t", "code", F.explode(places).alias("p")).select("node", "label", "t", "code", "p.pair", "p.side")
-    full = dealt.join(wide.select("node", "copies", "embedding"), "node").select("node", "copies", "label", "t", "code", "pair", "side", "embedding")
-    found = settle(full.repartition("label", "t", "code", "pair").sortWithinPartitions("label", "t", "code", "pair").mapInArrow(lambda it: _verify(it, threshold, bits, tables), "node long, links long, other long"))
+    dealt = met.select(*vectors_of, "t", "code", F.explode(places).alias("p")).select(*vectors_of, "t", "code", "p.pair", "p.side")
+    bucket = ["space", "width", "t", "code", "pair"]
+    full = dealt.join(nodes.select("node", "copies", "embedding"), "node").select("node", "copies", *bucket, "side", "embedding")
+    found = settle(full.repartition(*bucket).sortWithinPartitions(*bucket).mapInArrow(lambda it: _verify(it, threshold, bits, tables), "node long, links long, other long"))
     counts = found.where("links > 0").groupBy("node").agg(F.sum("links").alias("links"))
     groups = connected_components(found.where("node <> other").select(F.col("node").alias("a"), F.col("other").alias("b")))
     by_class = nodes.select("h1", "h2", "node", "copies").join(counts, "node", "left").join(groups, "node", "left").select("h1", "h2", (F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n_links"), F.coalesce("component", "node").alias("component_id"))
