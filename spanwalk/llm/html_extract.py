@@ -8,13 +8,16 @@ the choice of largest total evidence is found bottom-up.
 
 Defined results: a null or empty page and a page without main text give an empty text; broken
 and unclosed markup is repaired as far as `html_tree` goes, never refused; script, style and form
-controls hold no text; very long pages are processed whole; repeated rows repeat; extra columns
-are not read.
+controls hold no text, nor do drawings, formulas and fallback elements once they are closed; very
+long pages are processed whole, in time that grows with their length; repeated rows repeat; extra
+columns are not read.
 """
 
 from __future__ import annotations
 
 import random
+import zlib
+from collections.abc import Callable
 from functools import lru_cache
 
 import numpy as np
@@ -46,16 +49,28 @@ _WORD_GROUPS = (
 )
 _N_TAGS, _N_WORDS = len(_TAG_GROUPS), len(_WORD_GROUPS)
 _WORD_OF = {w: k for k, g in enumerate(_WORD_GROUPS) for w in g}
-WIDTH = _N_TAGS + 2 * _N_WORDS + _N_TAGS + 17
+#: Other words of the attributes are told apart by hash, in so many features.
+_N_HASHED = 16
+#: Nodes whose features are laid out at once, about.
+_NODES = 8192
+WIDTH = _N_TAGS + 2 * _N_WORDS + _N_HASHED + _N_TAGS + 18
 
 
-def features(page: Page) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(features of every node, characters of its own text, characters of its subtree)."""
+@lru_cache(maxsize=50_000)
+def _word_bit(word: str) -> int:
+    """A known word's group, or the hash of another one above all groups."""
+    known = _WORD_OF.get(word)
+    return 1 << known if known is not None else 1 << (_N_WORDS + zlib.crc32(word.encode("utf-8", "surrogatepass")) % _N_HASHED)
+
+
+def features(page: Page) -> tuple[Callable[[int, int], np.ndarray], np.ndarray, np.ndarray]:
+    """(features of the nodes from one place to another, characters of each one's own text, of its subtree)."""
     tag, parent = page.tag, page.parent
     n = len(tag)
     own, linked, marks, runs = [0] * n, [0] * n, [0] * n, [0] * n
+    hidden = page.hidden()
     for node, text, link in page.pieces:
-        if text is not None:
+        if text is not None and node not in hidden:
             size = len(text) if not text.isspace() else 0
             if size:
                 own[node] += size
@@ -71,9 +86,7 @@ def features(page: Page) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         p = parent[v]
         m = 0
         for w in page.words[v]:
-            k = _WORD_OF.get(w)
-            if k is not None:
-                m |= 1 << k
+            m |= _word_bit(w)
         mask[v] = m
         up[v] = up[p] | mask[p]
         tags_above[v] = tags_above[p] | (1 << group[p])
@@ -96,17 +109,19 @@ def features(page: Page) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     own_a, sub_a, parent_a = a(own), a(sub), np.array([max(0, p) for p in parent])
     siblings = a(children)[parent_a]
     total = max(1.0, float(sub[0]))
-    rest = np.stack(
-        [
-            a(depth), np.log1p(own_a), np.log1p(sub_a), sub_a / total, a(sub_link) / np.maximum(1, sub_a), a(below) / np.maximum(20, sub_a) * 100, np.log1p(a(below)),
-            a(place), a(place) / np.maximum(1, siblings), siblings, a(sub_marks) / np.maximum(30, sub_a) * 100, np.log1p(a(paragraphs)), a(p_chars) / np.maximum(1, sub_a),
-            sub_a / np.maximum(1, sub_a[parent_a]), np.log1p(sub_a[parent_a]) - np.log1p(sub_a), a(paragraphs)[parent_a], np.cumsum(own_a) / total,
-        ],
-        axis=1,
-    )
-    bits = lambda m, k: ((np.array(m)[:, None] >> np.arange(k)) & 1).astype(np.float64)
-    x = np.concatenate([np.eye(_N_TAGS)[group], bits(mask, _N_WORDS), bits(up, _N_WORDS), bits(tags_above, _N_TAGS), rest], axis=1)
-    return x, own_a, sub_a
+    rest = [
+        a(depth), np.log1p(own_a), np.log1p(sub_a), sub_a / total, a(sub_link) / np.maximum(1, sub_a), a(below) / np.maximum(20, sub_a) * 100, np.log1p(a(below)),
+        a(place), a(place) / np.maximum(1, siblings), siblings, a(sub_marks) / np.maximum(30, sub_a) * 100, np.log1p(a(paragraphs)), a(p_chars) / np.maximum(1, sub_a),
+        sub_a / np.maximum(1, sub_a[parent_a]), np.log1p(sub_a[parent_a]) - np.log1p(sub_a), a(paragraphs)[parent_a], np.cumsum(own_a) / total, a([len(w) for w in page.words]),
+    ]
+    group_a, mask_a, up_a, above_a = (np.array(v, dtype=np.int64) for v in (group, mask, up, tags_above))
+    bits = lambda m, k: ((m[:, None] >> np.arange(k)) & 1).astype(np.float64)
+
+    def rows(at: int, to: int) -> np.ndarray:
+        some = slice(at, to)
+        return np.concatenate([np.eye(_N_TAGS)[group_a[some]], bits(mask_a[some], _N_WORDS + _N_HASHED), bits(up_a[some], _N_WORDS), bits(above_a[some], _N_TAGS), np.stack([c[some] for c in rest], axis=1)], axis=1)
+
+    return rows, own_a, sub_a
 
 
 def decode(page: Page, logit: np.ndarray, own: np.ndarray, sub: np.ndarray) -> np.ndarray:
@@ -227,7 +242,8 @@ def model(pages: int = 1200, seed: int = 11) -> boosting.Boosted:
     for _ in range(pages):
         source, mark = training_page(r)
         page = Page(source)
-        x, own, sub = features(page)
+        rows, own, sub = features(page)
+        x = rows(0, len(own))
         main = np.zeros(len(own))
         for node, text, _ in page.pieces:
             if text and mark in text:
@@ -244,17 +260,22 @@ def model(pages: int = 1200, seed: int = 11) -> boosting.Boosted:
 def main_texts(sources: list[str | None], trees: boosting.Boosted) -> list[str]:
     pages = [Page(s) if s else None for s in sources]
     found = [features(p) if p else None for p in pages]
-    some = [f for f in found if f]
-    if not some:
-        return [""] * len(sources)
-    logits = np.split(trees.logit(np.concatenate([f[0] for f in some])), np.cumsum([len(f[0]) for f in some])[:-1])
-    out, k = [], 0
+    # nodes of all pages in one row, worked on in portions of bounded size
+    parts = [(f[0], at, min(at + _NODES, len(f[1]))) for f in found if f for at in range(0, len(f[1]), _NODES)]
+    logits, held, size = [np.zeros(0)], [], 0
+    for k, (rows, at, to) in enumerate(parts):
+        held.append(rows(at, to))
+        size += to - at
+        if size >= _NODES or k + 1 == len(parts):
+            logits.append(trees.logit(np.concatenate(held)))
+            held, size = [], 0
+    logit, at, out = np.concatenate(logits), 0, []
     for page, f in zip(pages, found):
         if page is None:
             out.append("")
             continue
-        out.append("\n".join(page.blocks(decode(page, logits[k], f[1], f[2]))))
-        k += 1
+        out.append("\n".join(page.blocks(decode(page, logit[at : at + len(f[1])], f[1], f[2]))))
+        at += len(f[1])
     return out
 
 

@@ -242,6 +242,18 @@ def test_embeddings(spark, block):
     assert embedding_dedup.link_embeddings(vectors.limit(0)).collect() == []
 
 
+def test_embeddings_of_any_length_scale_and_label(spark):
+    long = "label " * 40
+    rows = [(1, [1.0, 0.0], "x"), (2, [1.0, 0.01], "x"), (3, [1.0, 0.0, 0.0], "x"), (4, [1.0, 0.02, 0.0], "x"), (5, [3e-200, 4e-200, 0.0], long), (6, [3e200, 4.01e200, 0.0], long), (7, [3.0, 4.0, 0.0], "x")]
+    rows += [(8, [1.0, 0.0], "9999999999999"), (9, [1.0, 0.001], "9999999999999"), (10, [1.0, 0.0], "y"), (10, [0.0, 1.0], "y"), (11, [1.0, 0.0], "y"), (12, [0.0, 1.0], "y")]
+    got = embedding_dedup.link_embeddings(spark.createDataFrame(rows, "vec_id long, embedding array<double>, label string")).collect()
+    assert len(got) == len(rows)
+    comp = {x.vec_id: (x.n_links, x.component_id, x.kept) for x in got}
+    assert comp[1] == (1, 1, True) and comp[2] == (1, 1, False) and comp[4] == (1, 3, False) and comp[6] == (1, 5, False) and comp[7] == (0, 7, True) and comp[9] == (1, 8, False)
+    assert len({(x.n_links, x.component_id, x.kept) for x in got if x.vec_id == 10}) == 1
+    assert sorted([comp[11][1], comp[12][1]]) in ([10, 12], [10, 11]) and comp[10] == (1, 10, True)
+
+
 def test_table_plan():
     for n in (10, 10_000, 10**7, 10**10):
         bits, tables = embedding_dedup.plan_tables(n)
@@ -257,6 +269,55 @@ def test_tree():
         html_tree.Page(broken)
 
 
+def blocks_of(source):
+    page = html_tree.Page(source)
+    return page.blocks([True] * len(page.tag))
+
+
+def test_unclosed_elements_drop_nothing_else():
+    for name in ("svg", "noscript", "object", "canvas", "template", "math", "select"):
+        assert blocks_of(f"<p>a</p><{name}><x>hid</x></{name}><p>b</p>") == ["a", "b"]
+        assert "rest" in blocks_of(f"<p>a</p><{name}><path d='M1'/><p>rest</p>")
+    assert blocks_of("x<center>Foo</center>y") == ["x", "Foo", "y"]
+    assert blocks_of("a < b <3 <p title='>'>c</p><p class='x>y</p>z") == ["a < b <3", "c", "y", "z"]
+    assert blocks_of("&#" + "9" * 6000 + "; &#0000065;") == ["\ufffd A"]
+
+
+@pytest.mark.parametrize("source", ['<b ' * 350_000, '<a href="x' * 100_000, '<a "' * 250_000 + ">", '<a " > " ' * 110_000, "<div>" * 200_000, "<td><table>" + "<div>" * 70_000 + "<td></td>" * 70_000, "<!--" * 250_000, "<" * 300_000, "&" * 1_000_000, "<svg>" * 200_000])
+def test_hostile_pages_take_linear_time(source):
+    import time
+
+    def seconds(s):
+        began = time.process_time()
+        page = html_tree.Page(s)
+        page.blocks([True] * len(page.tag))
+        return time.process_time() - began
+
+    assert seconds(source) < 8  # a quadratic parser needs minutes and more
+
+
+def test_tokens_against_the_standard_parser():
+    from html.parser import HTMLParser
+
+    class Plain(HTMLParser):
+        def __init__(self):
+            super().__init__(convert_charrefs=False)
+            self.seen = []
+
+        def handle_starttag(self, tag, attrs):
+            self.seen.append(tag)
+
+        def handle_endtag(self, tag):
+            self.seen.append("/" + tag)
+
+    r = random.Random(31)
+    for _ in range(200):
+        source = "".join(r.choice(["<p>", "</p>", "<div class='a>b'>", '<a href="x">', "</a>", "text ", "<br>", "<!-- <p> -->", "1 < 2 ", "<h2 id=q>", "</h2>", "<!DOCTYPE html>", "<ul><li>x", "<script>if (a<b) '</p>'</script>"]) for _ in range(30))
+        plain = Plain()
+        plain.feed(source)
+        assert [n for _, n, _ in html_tree.tokens(source) if n] == [x for x in plain.seen if x != "/script"]
+
+
 @pytest.fixture(scope="module")
 def trees():
     return html_extract.model()
@@ -278,8 +339,8 @@ def test_hierarchy_never_contradicts(trees):
     for _ in range(60):
         source, mark = html_extract.training_page(r)
         page = html_tree.Page(source)
-        x, own, sub = html_extract.features(page)
-        kept = html_extract.decode(page, trees.logit(x), own, sub)
+        rows, own, sub = html_extract.features(page)
+        kept = html_extract.decode(page, trees.logit(rows(0, len(own))), own, sub)
         assert all(kept[page.parent[v]] for v in range(1, len(kept)) if kept[v])
         text = html_extract.main_texts([source], trees)[0]
         exact += text.count(mark) == source.count(mark) and all(mark in line for line in text.split("\n"))
