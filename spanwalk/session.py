@@ -4,12 +4,16 @@ from __future__ import annotations
 
 import os
 import tempfile
+import threading
 import zipfile
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 
 
+_planning = threading.RLock()
+
+
 def local_session(cores: int = 8, shuffle_partitions: int = 8) -> SparkSession:
     return (
         SparkSession.builder.master(f"local[{cores}]")
@@ -23,35 +27,61 @@ def local_session(cores: int = 8, shuffle_partitions: int = 8) -> SparkSession:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The checkpoint folder that all executors share; a temporary one only where none is named."""
-    found = spark.sparkContext.getCheckpointDir()
+    """The checkpoint folder that all executors share; where none is named, a temporary one on a local master only."""
+    sc = spark.sparkContext
+    found = sc.getCheckpointDir()
     if found is None:
         named = spark.conf.get("spark.checkpoint.dir", None)
-        spark.sparkContext.setCheckpointDir(named or tempfile.mkdtemp(prefix="spanwalk-"))
-        found = spark.sparkContext.getCheckpointDir()
+        if not named and not (sc.master or "").startswith("local"):
+            raise RuntimeError("name a folder that all executors share in spark.checkpoint.dir")
+        sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="spanwalk-"))
+        found = sc.getCheckpointDir()
     return found
 
 
 def settle(df: DataFrame) -> DataFrame:
-    """Materialise `df` in the shared folder; partitioning is kept, so later joins needn't move it."""
+    """Materialise `df` in the shared folder."""
     shared_dir(df.sparkSession)
     return df.checkpoint()
 
 
-def settle_partitioned(df: DataFrame, partitions: int, *keys: str) -> DataFrame:
-    """Materialise `df` hash-partitioned by `keys` so that joins on them don't move it again.
+def settle_laid(df: DataFrame) -> DataFrame:
+    """Materialise `df` with the partitioning and order its plan gives it, which later joins rely on.
 
     A plan made under adaptive execution doesn't report its partitioning, and a frame settled from
-    it would be shuffled by every later join; so this one job is planned without it.
+    it would be shuffled by every later join; so this one job is planned without it. The lock keeps
+    jobs of other threads from restoring the setting in between.
     """
     spark = df.sparkSession
     shared_dir(spark)
-    before = spark.conf.get("spark.sql.adaptive.enabled")
-    spark.conf.set("spark.sql.adaptive.enabled", "false")
-    try:
-        return df.repartition(max(2, partitions), *keys).checkpoint()
-    finally:
-        spark.conf.set("spark.sql.adaptive.enabled", before)
+    with _planning:
+        before = spark.conf.get("spark.sql.adaptive.enabled")
+        spark.conf.set("spark.sql.adaptive.enabled", "false")
+        try:
+            return df.checkpoint()
+        finally:
+            spark.conf.set("spark.sql.adaptive.enabled", before)
+
+
+def settle_partitioned(df: DataFrame, partitions: int, *keys: str) -> DataFrame:
+    """Materialise `df` hash-partitioned by `keys` so that joins on them don't move it again."""
+    return settle_laid(df.repartition(max(2, partitions), *keys))
+
+
+def release(*frames: DataFrame | None) -> None:
+    """Delete the files of settled frames that nothing will read any more."""
+    for df in frames:
+        if df is None:
+            continue
+        leaves = df._jdf.queryExecution().analyzed().collectLeaves()
+        for k in range(leaves.size()):
+            leaf = leaves.apply(k)
+            if leaf.getClass().getSimpleName() != "LogicalRDD":
+                continue
+            kept = leaf.rdd().getCheckpointFile()
+            if kept.isDefined():
+                path = df.sparkSession._jvm.org.apache.hadoop.fs.Path(kept.get())
+                path.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def ship(spark: SparkSession) -> None:
