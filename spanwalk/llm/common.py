@@ -9,9 +9,9 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..session import settle, shared_dir, ship
+from ..session import release, settle, settle_laid, shared_dir, ship
 
-__all__ = ["ASCII_SPACE", "id_and_text", "lower_ascii", "map_texts", "pieces", "read", "settle", "shared_dir", "ship", "small_batches", "store", "text_of"]
+__all__ = ["ASCII_SPACE", "id_and_text", "lower_ascii", "map_texts", "pieces", "read", "release", "settle", "settle_laid", "shared_dir", "ship", "small_batches", "store", "text_of"]
 
 #: The white space that several contracts strip or split at: [\x20\x09-\x0D].
 ASCII_SPACE = " \t\n\x0b\x0c\r"

@@ -1,10 +1,17 @@
 """Exact line deduplication over levelled sorted runs of line hashes.
 
-Lines of all texts are hashed once and dealt into batches by ascending doc_id. A batch's keys
-are merge-joined with the runs kept so far: keys that a run holds belong to an earlier
-document, keys that none holds are new and become a run of their own. When a level has `fanout`
-runs they are compacted into one run of the next level, so the number of runs to read stays
-logarithmic. Everything is DataFrame expressions; a key is identified by 128 bits of hash.
+Lines of all texts are hashed once and dealt into batches by ascending doc_id. A run holds
+distinct keys with the first doc_id of each, hash-partitioned and sorted by key; all runs share
+one number of partitions, so a batch's keys, grouped into the same partitions, are
+merge-anti-joined with every run without moving or sorting the run again. What is left is new and
+becomes a run of its own; when a level has `fanout` runs they are compacted into one run of the
+next level and deleted, so the number of runs to read stays logarithmic. After the last batch
+the runs say which document keeps a line: lines are anti-joined with them by key and doc_id
+together, so a line that a third of all documents hold is spread over as many partitions as any
+other rows. Everything is DataFrame expressions; a key is identified by 128 bits of hash.
+
+There are as many batches as the table has BATCH_BYTES, but four at least (so that levels are
+used at any size) and MOST_BATCHES at most (each batch reads the runs before it).
 
 Defined results: a null or empty text is one empty line; a key is counted once per doc_id, so
 repeated rows of one doc_id lose or keep their lines alike; rows with a null id are returned
@@ -13,14 +20,16 @@ whole; keys shorter than `least` code points never count; extra columns are not
 
 from __future__ import annotations
 
-import uuid
+import math
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ASCII_SPACE, id_and_text, lower_ascii, shared_dir, store, text_of
+from .common import ASCII_SPACE, id_and_text, lower_ascii, release, settle_laid, store, text_of
 
-LEAST, BATCHES, FANOUT = 10, 4, 3
+LEAST, FANOUT = 10, 2
+LEAST_BATCHES, MOST_BATCHES, BATCH_BYTES = 4, 12, 1 << 40
 
 
 def line_key(line: Column) -> Column:
@@ -28,39 +37,35 @@ def line_key(line: Column) -> Column:
 
 
 class LineRuns:
-    """Runs (k1, k2, owner), each sorted by key and holding distinct keys; owner is the first doc_id."""
+    """Runs (k1, k2, first), partitioned and sorted by key; no key is in two runs."""
 
-    def __init__(self, spark, fanout: int = FANOUT):
-        self.spark, self.fanout = spark, fanout
-        self.root = f"{shared_dir(spark)}/line-runs-{uuid.uuid4().hex}"
+    def __init__(self, fanout: int = FANOUT):
+        self.fanout = fanout
         self.levels: list[list[DataFrame]] = [[]]
-        self.written = 0
+        self.compacted = 0
 
-    def _write(self, keys: DataFrame) -> DataFrame:
-        path = f"{self.root}/{self.written}"
-        self.written += 1
-        keys.sortWithinPartitions("k1", "k2").write.parquet(path)
-        return self.spark.read.schema("k1 long, k2 long, owner long").parquet(path)
+    @property
+    def runs(self) -> list[DataFrame]:
+        return [run for level in self.levels for run in level]
 
-    def known(self) -> DataFrame | None:
-        """All keys of all runs; no key is in two runs."""
-        out = None
-        for run in (r for level in self.levels for r in level):
-            out = run if out is None else out.unionByName(run)
-        return out
+    def unknown(self, keys: DataFrame) -> DataFrame:
+        """The rows of `keys` that no run holds."""
+        for run in self.runs:
+            keys = keys.join(run.select("k1", "k2").hint("merge"), ["k1", "k2"], "left_anti")
+        return keys
 
     def add(self, keys: DataFrame, more: bool = True) -> None:
-        """Append a batch's new keys (k1, k2, owner) as a run; compact full levels if batches follow."""
-        self.levels[0].append(self._write(keys))
+        """Append a batch's new keys, grouped by (k1, k2), as a run; compact levels that are full if batches follow."""
+        self.levels[0].append(settle_laid(keys.sortWithinPartitions("k1", "k2")))
         at = 0
         while more and len(self.levels[at]) >= self.fanout:
-            merged = self.levels[at][0]
-            for run in self.levels[at][1:]:
-                merged = merged.unionByName(run)
             if at + 1 == len(self.levels):
                 self.levels.append([])
-            self.levels[at + 1].append(self._write(merged.repartition("k1", "k2")))
+            merged = reduce(DataFrame.unionByName, self.levels[at]).groupBy("k1", "k2").agg(F.min("first").alias("first"))
+            self.levels[at + 1].append(settle_laid(merged.sortWithinPartitions("k1", "k2")))
+            release(*self.levels[at])
             self.levels[at] = []
+            self.compacted += 1
             at += 1
 
 
@@ -71,30 +76,33 @@ def _lines(docs: DataFrame, least: int) -> DataFrame:
     return keyed.select("doc_id", "sign", "pos", F.xxhash64("key").alias("k1"), F.xxhash64(F.lit("second"), "key").alias("k2"))
 
 
-def repeated_lines(docs: DataFrame, least: int = LEAST, batches: int = BATCHES, fanout: int = FANOUT) -> DataFrame:
+def batch_cuts(docs: DataFrame, batches: int) -> list[int]:
+    """The last doc_id of every batch but the last."""
+    if batches < 2:
+        return []
+    return sorted(set(docs.agg(F.percentile_approx("doc_id", [k / batches for k in range(1, batches)], 1000).alias("c")).head().c or []))
+
+
+def batches_for(docs: DataFrame) -> int:
+    """From the size that the planner knows; a plan that knows none says 2^63 and more."""
+    size = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return LEAST_BATCHES if size >= 1 << 62 else min(MOST_BATCHES, max(LEAST_BATCHES, math.ceil(size / BATCH_BYTES)))
+
+
+def repeated_lines(docs: DataFrame, least: int = LEAST, batches: int | None = None, fanout: int = FANOUT, runs: LineRuns | None = None) -> DataFrame:
     """(doc_id, sign, pos) of the lines to drop."""
-    spark = docs.sparkSession
-    cuts = [c for c in (docs.agg(F.percentile_approx("doc_id", [k / batches for k in range(1, batches)], 1000).alias("c")).head().c or [])] if batches > 1 else []
-    batch = sum([F.when(F.col("doc_id") > c, 1).otherwise(0) for c in sorted(set(cuts))], F.lit(0))
+    cuts = batch_cuts(docs, batches or batches_for(docs))
+    batch = sum([F.when(F.col("doc_id") > c, 1).otherwise(0) for c in cuts], F.lit(0))
     lines = store(_lines(docs, least).withColumn("batch", batch), "lines")
-    runs, out = LineRuns(spark, fanout), None
-    for b in range(len(set(cuts)) + 1):
-        own = lines.where(F.col("batch") == b)
-        keys = own.groupBy("k1", "k2").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last"))
-        known = runs.known()
-        if known is None:
-            marked = keys.withColumn("owner", F.lit(None).cast("long"))
-        else:
-            marked = keys.join(known.hint("merge"), ["k1", "k2"], "left")
-        marked = store(marked.select("k1", "k2", F.coalesce("owner", "first").alias("owner"), F.col("owner").isNull().alias("new"), (F.col("owner").isNotNull() | (F.col("first") < F.col("last"))).alias("again")).where("new or again"), "line-keys")
-        drop = own.join(marked.where("again").select("k1", "k2", "owner"), ["k1", "k2"]).where("doc_id <> owner").select("doc_id", "sign", "pos")
-        out = drop if out is None else out.unionByName(drop)
-        if b < len(set(cuts)):
-            runs.add(marked.where("new").select("k1", "k2", "owner"), more=b + 1 < len(set(cuts)))
-    return out
-
-
-def dedup_lines(docs: DataFrame, least: int = LEAST, batches: int = BATCHES, fanout: int = FANOUT, keep: list[str] = ()) -> DataFrame:
+    runs = runs or LineRuns(fanout)
+    for b in range(len(cuts) + 1):
+        keys = lines.where(F.col("batch") == b).groupBy("k1", "k2").agg(F.min("doc_id").alias("first"))
+        runs.add(runs.unknown(keys), more=b < len(cuts))
+    keeps = reduce(DataFrame.unionByName, runs.runs).select("k1", "k2", F.col("first").alias("doc_id"))
+    return lines.select("doc_id", "sign", "pos", "k1", "k2").join(keeps.hint("merge"), ["doc_id", "k1", "k2"], "left_anti").select("doc_id", "sign", "pos")
+
+
+def dedup_lines(docs: DataFrame, least: int = LEAST, batches: int | None = None, fanout: int = FANOUT, keep: list[str] = ()) -> DataFrame:
     """(doc_id, columns of `keep`, kept_text, n_lines, n_dropped) of every row."""
     plain = id_and_text(docs)
     gone = repeated_lines(plain, least, batches, fanout).groupBy(F.col("doc_id").alias("__id"), F.col("sign").alias("__sign")).agg(F.array_sort(F.collect_set("pos")).alias("__gone"))

@@ -17,7 +17,7 @@ ODD = [None, "", " ", "\n", "\n\n", "\x00", "é", "a" * 5000, "Ünïcode İ ß 
 
 def frame(spark, texts, **more):
     """Documents with extra columns that clash with names used inside."""
-    rows = [(k if k % 7 else k, t, "l", "s", 1, 2, 3) for k, t in enumerate(texts)]
+    rows = [(k, t, "l", "s", 1, 2, 3) for k, t in enumerate(texts)]
     return spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, key long, row long, component_id long")
 
 
@@ -215,3 +215,24 @@ def test_lower_ascii(spark):
     texts = ["ABC", "ÀBC", "İX", "\u212a"]
     got = [r.l for r in spark.createDataFrame([(t,) for t in texts], "t string").select(lower_ascii(F.col("t")).alias("l")).collect()]
     assert got == ["abc", "Àbc", "İx", "\u212a"]
+
+
+def test_runs_are_compacted_and_not_moved_again(spark):
+    rows = [(k, f"line number {k % 9} of all\nown line {k} here\nshared by every text") for k in range(40)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    runs = line_dedup.LineRuns()
+    gone = line_dedup.repeated_lines(docs, runs=runs).collect()
+    assert runs.compacted == 1 and sorted(len(level) for level in runs.levels) == [1, 2]
+    assert len(gone) == 31 + 39
+    keys = line_dedup._lines(docs, 10).groupBy("k1", "k2").agg({"doc_id": "min"})
+    plan = runs.unknown(keys)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("SortMergeJoin") == 3 and plan.count("Exchange hashpartitioning") == 1 and plan.count("Sort [") == 1
+
+
+def test_batches_follow_the_size(spark, monkeypatch, tmp_path):
+    docs = spark.createDataFrame([(k, "text " * 50) for k in range(100)], "doc_id long, text string")
+    docs.write.parquet(str(tmp_path / "d"))
+    docs = spark.read.parquet(str(tmp_path / "d"))
+    assert line_dedup.batches_for(docs) == line_dedup.LEAST_BATCHES
+    monkeypatch.setattr(line_dedup, "BATCH_BYTES", 100)
+    assert line_dedup.batches_for(docs) == line_dedup.MOST_BATCHES
