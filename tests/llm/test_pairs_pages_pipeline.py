@@ -52,7 +52,8 @@ def test_fingerprints_and_spark_hash(spark):
     assert h % 2**64 == xxhash.xxh64_intdigest(b"a b c", 42)
 
 
-def test_near_links_lose_nothing(spark):
+@pytest.mark.parametrize("most", [4000, 9])
+def test_near_links_lose_nothing(spark, most):
     """Fingerprints around a few centres: components equal brute force, and buckets give forests only."""
     r = random.Random(2)
     bits = set()
@@ -64,8 +65,8 @@ def test_near_links_lose_nothing(spark):
                 x ^= 1 << b
             bits.add(x)
     bits = sorted(bits)
-    nodes = spark.createDataFrame([(b - (1 << 64) if b >> 63 else b, k) for k, b in enumerate(bits)], "bits long, node long")
-    links = simhash.near_links(nodes)
+    nodes = spark.createDataFrame([(b - (1 << 64) if b >> 63 else b, k) for k, b in enumerate(bits)], "b0 long, node long")
+    links = simhash.near_links(nodes, most=most)
     near = [(i, j) for i in range(len(bits)) for j in range(i) if (bits[i] ^ bits[j]).bit_count() <= 3]
     got = {x.node: x.component for x in components.connected_components(links).collect()}
     want = least_reachable(range(len(bits)), near)
@@ -88,12 +89,44 @@ def test_simhash_groups(spark):
     for x in got:
         assert x.component_id == (None if x.doc_id is None else want[x.doc_id])
         assert x.fingerprint == f"{plain_fingerprint(base[0]) if x.doc_id is None else prints[x.doc_id]:016x}"
-    kept = simhash.keep_one_of_each_group(docs)
+    kept = simhash.keep_one_of_each_group(docs, simhash.group_near_copies(docs))
     assert kept.columns == docs.columns
     assert {x.doc_id for x in kept.collect()} == {k for k, c in want.items() if k == c} | {None}
     assert simhash.group_near_copies(docs.limit(0)).collect() == []
 
 
+def shingles(text, width=5):
+    w = (text or "").lower().split()
+    return {" ".join(w[i : i + width]) for i in range(max(1, len(w) - width + 1))}
+
+
+def test_similar_texts(spark):
+    """Edited copies of similarity 0.9 and more are found, texts below 0.6 and others are left alone."""
+    r = random.Random(33)
+    words = [f"w{k}" for k in range(3000)]
+    rows, near, far = [], [], []
+    for k in range(40):
+        base = [r.choice(words) for _ in range(r.randint(120, 400))]
+        copy = base[:]
+        for _ in range(max(1, len(base) // (150 if k % 2 else 15))):
+            copy[r.randrange(len(copy))] = "edit"
+        rows += [(2 * k, " ".join(base)), (2 * k + 1, " ".join(copy))]
+        a, b = shingles(rows[-2][1]), shingles(rows[-1][1])
+        alike = len(a & b) / len(a | b)
+        near += [2 * k] if alike >= 0.9 else []
+        far += [2 * k] if alike < 0.6 else []
+    assert len(near) > 10 and len(far) > 10
+    rows += [(200, None), (201, "few words"), (202, "Few  WORDS"), (203, "few word"), (204, "")]
+    docs = spark.createDataFrame([(*x, 5) for x in rows] + [(0, "another text under the first id " * 3, 5)], "doc_id long, text string, b0 int")
+    got = {(x.doc_id, x.sign): x.component_id for x in simhash.group_similar(docs).collect()}
+    comp = {k: c for (k, _), c in got.items() if k}
+    assert sum(comp[k + 1] == k for k in near) >= 0.9 * len(near)
+    assert all(comp[k + 1] == k + 1 for k in far)
+    assert comp[202] == 201 and comp[203] == 203 and comp[204] == 200
+    kept = simhash.keep_one_of_each_group(docs)
+    assert kept.columns == docs.columns and sum(x.doc_id == 0 for x in kept.collect()) == 2
+
+
 def plain_distance(pattern, text):
     """Fewest edits between the pattern and any stretch of the text."""
     prev = [0] * (len(text) + 1)
@@ -374,8 +407,10 @@ def test_pipeline(spark, tmp_path):
         for line in t.split("\n"):
             holders.setdefault(line.strip().lower(), set()).add(k)
     now = {k: "\n".join(x for x in t.split("\n") if len(x.strip()) < 10 or min(holders[x.strip().lower()]) == k) for k, t in now.items()}
-    prints = {k: plain_fingerprint(t) for k, t in now.items()}
-    comp = least_reachable(prints, [(a, b) for a in prints for b in prints if a < b and (prints[a] ^ prints[b]).bit_count() <= 3])
+    key_bits, width = simhash.plan_wide(len(now))
+    prints = {k: [int(x) for x in simhash.wide_fingerprint(t, 5, width)] for k, t in now.items()}
+    apart = lambda a, b: sum((x ^ y).bit_count() for x, y in zip(prints[a], prints[b]))
+    comp = least_reachable(prints, [(a, b) for a in prints for b in prints if a < b and apart(a, b) <= simhash.wide_distance(0.8, width)])
     now = {k: t for k, t in now.items() if comp[k] == k}
     index = decontamination.PassageIndex([(1, item)])
     now = {k: t for k, t in now.items() if not decontamination.leaks_of(t, index)}
