@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from ..session import release, settle, settle_laid, shared_dir, ship
 
-__all__ = ["ASCII_SPACE", "id_and_text", "lower_ascii", "map_texts", "pieces", "read", "release", "settle", "settle_laid", "shared_dir", "ship", "small_batches", "store", "text_of"]
+__all__ = ["ASCII_SPACE", "id_and_text", "lower_ascii", "map_texts", "pieces", "read", "release", "settle", "settle_laid", "shared_dir", "ship", "small_batches", "store", "stretch", "text_of"]
 
 #: The white space that several contracts strip or split at: [\x20\x09-\x0D].
 ASCII_SPACE = " \t\n\x0b\x0c\r"
@@ -44,6 +44,12 @@ def id_and_text(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
 
 
+def stretch(text: Column, most: int) -> Column:
+    """The text, or of a longer one `most` characters from a place given by its hash; bounds what training rows weigh."""
+    room = F.char_length(text) - F.lit(most)
+    return F.when(room <= 0, text).otherwise(F.substring(text, F.pmod(F.xxhash64(text), F.greatest(room, F.lit(1))).cast("int") + 1, F.lit(most)))
+
+
 def map_texts(docs: DataFrame, make: Callable[[], Callable[[list], dict]], schema: str, key: str = "long") -> DataFrame:
     """Rows (doc_id, text) to rows (doc_id, columns of `schema`), one for one.
 

@@ -6,8 +6,10 @@ centroids, found by spherical k-means over a bounded sample of labelled texts. T
 the closest centroid by cosine is predicted; a text farther from it than training texts of that
 language ever are, by a margin, is rejected.
 
-Training rows are sampled by a hash of the id, about `per_language` of each label (the bound on
-what the driver holds); prediction covers every whole text.
+Training rows are sampled by a hash of the id, about `per_language` of each label, fewer where
+there are more than MOST_ROWS of them in all; of a text longer than MOST_CHARS a stretch at a
+hashed place trains. Labels beyond the MOST_LANGUAGES most frequent can't be predicted.
+Prediction covers every whole text.
 
 Defined results: null texts and texts without a letter are `und`, score 0, rejected; without any
 labelled row everything is `und`; repeated rows repeat; null ids can't train but are predicted;
@@ -23,9 +25,11 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import id_and_text, map_texts, ship, small_batches
+from .common import id_and_text, map_texts, ship, small_batches, stretch
 
-BINS, CENTROIDS, PER_LANGUAGE, MOST_LANGUAGES = 8192, 4, 400, 200
+BINS, CENTROIDS, PER_LANGUAGE = 8192, 4, 400
+#: Bounds of what the driver holds: languages (the most frequent ones), training rows of all of them, characters of a row.
+MOST_LANGUAGES, MOST_ROWS, MOST_CHARS = 1000, 16_000, 20_000
 #: A text is rejected below this share of the lowest training cosines of its language.
 MARGIN = 0.25
 _LETTER = re.compile(r"[^\W\d_]")
@@ -40,7 +44,8 @@ def gram_counts(text: str) -> np.ndarray:
 
 
 def has_letter(text: str | None) -> bool:
-    return bool(text) and _LETTER.search(text) is not None
+    """Is any character a letter? Fractions, superscripts and number signs aren't."""
+    return bool(text) and any(m.group().isalpha() for m in _LETTER.finditer(text))
 
 
 @dataclass
@@ -111,11 +116,13 @@ def train(docs: DataFrame, per_language: int = PER_LANGUAGE) -> Centroids:
     sizes = {r.lang: r.n for r in rows.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(MOST_LANGUAGES).collect()}
     if not sizes:
         return fit([])
+    per_language = max(1, min(per_language, MOST_ROWS // len(sizes)))
     share = F.lit(0.0)
     for lang, n in sizes.items():
         share = F.when(F.col("lang") == lang, min(1.0, per_language / n)).otherwise(share)
     dice = F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) / float(1 << 30)
-    return fit([(r.text, r.lang) for r in rows.where(dice < share).select("text", "lang").limit(2 * per_language * len(sizes)).collect()])
+    drawn = rows.withColumn("dice", dice).where(F.col("dice") < share).select("dice", "doc_id", "lang", stretch(F.col("text"), MOST_CHARS).alias("text"))
+    return fit([(r.text, r.lang) for r in drawn.orderBy("dice", "doc_id").limit(2 * per_language * len(sizes)).collect()])
 
 
 def identify(docs: DataFrame, model: Centroids | None = None) -> DataFrame:
