@@ -5,11 +5,13 @@ The other comes from toxic texts, of which only the stretches that ordinary ones
 to it, and is used behind the ordinary one, so that both know ordinary text alike. A text is
 cut into overlapping windows, each is compressed under either dictionary, and the bytes that the
 toxic one saves are the window's evidence. A logistic curve over a few statistics of all windows
-(strongest, second, next, how many stand out, weakest, number of windows), fitted on the
-training texts, is the calibrated threshold.
+(strongest, second, next, how many stand out, weakest, number of windows) is the calibrated
+threshold. It is fitted out of fold: the training texts are dealt into FOLDS by hash, each fold is
+compressed under dictionaries trained on the others, and on this evidence the curve and its
+middle are chosen; the dictionaries in use are then trained on all of them.
 
-Training rows are a bounded hashed sample of labelled texts (`per_label`, the bound on what the
-driver holds); scoring covers every whole text.
+Training rows are a bounded hashed sample of labelled texts (`per_label` rows of MOST_CHARS
+characters, of a longer text a stretch at a hashed place); scoring covers every whole text.
 
 Defined results: null, empty and white-space texts count as one window without evidence;
 without labelled rows of both kinds every score is 0; repeated rows repeat; extra columns are
@@ -28,11 +30,13 @@ import zstandard as zstd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_and_text, map_texts, ship
+from .common import id_and_text, map_texts, ship, stretch
 
 WINDOW, STRIDE = 96, 64
-#: Added to the curve's intercept: an ordinary text marked toxic costs more than one missed.
-CAUTION = -0.5
+#: Folds of the training texts, and how many missed toxic texts an ordinary one marked is worth (as shares of each kind).
+FOLDS, CAUTION = 3, 20
+#: Characters of one training text.
+MOST_CHARS = 20_000
 PER_LABEL, DICTIONARY_BYTES, TOXIC_BYTES = 1500, 12_000, 1000
 #: Windows that train the ordinary dictionary at most.
 MOST_WINDOWS = 20_000
@@ -140,19 +144,45 @@ def _left_over(toxic: list[str], plain: list[str]) -> list[bytes]:
     return out
 
 
-def fit(toxic: list[str], plain: list[str]) -> Scorer:
-    if not toxic or not plain:
-        return Scorer()
+def _dictionaries(toxic: list[str], plain: list[str]) -> Scorer:
     toxic, plain = sorted(toxic), sorted(plain)
     ordinary = _dictionary(_spread([w for t in plain for w in windows(t)]))
     left = _left_over(toxic, plain)
     own_part = _dictionary(left, TOXIC_BYTES, k=16, d=6) if left else b""
     # both begin with the ordinary dictionary; the toxic one goes on with its own, the other with as many idle bytes
     idle = bytes((k * 97 + k // 61 * 31) % 29 + 1 for k in range(len(own_part)))
-    own = Scorer(toxic=ordinary + own_part, plain=ordinary + idle)
-    y = np.array([1] * len(toxic) + [0] * len(plain))
-    own.curve = _logistic(np.array([own.evidence(t) for t in toxic + plain], dtype=np.float64), y)
-    return own
+    return Scorer(toxic=ordinary + own_part, plain=ordinary + idle)
+
+
+def fit(toxic: list[str], plain: list[str], folds: int = FOLDS) -> Scorer:
+    if not toxic or not plain:
+        return Scorer()
+    fold = lambda t: zlib.crc32(t.encode("utf-8", "surrogatepass")) % folds
+    texts, y = [*toxic, *plain], np.array([1] * len(toxic) + [0] * len(plain))
+    own = np.array([fold(t) for t in texts])
+    evidence = np.zeros((len(texts), len(Scorer(b" ", b" ").evidence(""))))
+    for k in range(folds):
+        rest = [[t for t, x, f in zip(texts, y, own) if x == kind and f != k] for kind in (1, 0)]
+        scorer = _dictionaries(*rest) if all(rest) else _dictionaries(toxic, plain)
+        for i in np.flatnonzero(own == k):
+            evidence[i] = scorer.evidence(texts[i])
+    out = _dictionaries(toxic, plain)
+    centre, scale, weights = _logistic(evidence, y)
+    out.curve = centre, scale, _middle((evidence - centre) / scale @ weights[:-1], y, weights)
+    return out
+
+
+def _middle(z: np.ndarray, y: np.ndarray, weights: np.ndarray) -> np.ndarray:
+    """The weights with the intercept that misses fewest toxic texts and, CAUTION times as dear, marks fewest ordinary ones."""
+    order = np.argsort(z, kind="stable")
+    z, y = z[order], y[order]
+    missed, marked = np.cumsum(y) / max(1, y.sum()), 1 - np.cumsum(1 - y) / max(1, (1 - y).sum())
+    cost = missed + CAUTION * marked  # of a cut just above each text
+    cost = np.where(np.append(z[1:] > z[:-1], True), cost, np.inf)
+    best = np.flatnonzero(cost <= cost.min() + 1e-12)
+    k = int(best[len(best) // 2])
+    cut = (z[k] + z[k + 1]) / 2 if k + 1 < len(z) else z[k]
+    return np.append(weights[:-1], -cut)
 
 
 def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.01, steps: int = 50) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -165,7 +195,6 @@ def _logistic(x: np.ndarray, y: np.ndarray, ridge: float = 0.01, steps: int = 50
         slope = z.T @ (balance * (p - y)) / len(y) + ridge * np.r_[w[:-1], 0]
         bend = (z * (balance * p * (1 - p))[:, None]).T @ z / len(y) + ridge * np.eye(len(w))
         w -= np.linalg.solve(bend, slope)
-    w[-1] += CAUTION
     return centre, scale, w
 
 
@@ -178,8 +207,9 @@ def train(docs: DataFrame, labels: DataFrame, per_label: int = PER_LABEL) -> Sco
     sizes = {r.toxic: r.n for r in marks.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
     share = F.when(F.col("toxic") == 1, min(1.0, per_label / max(1, sizes.get(1, 0)))).otherwise(min(1.0, per_label / max(1, sizes.get(0, 0))))
     dice = F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)) / float(1 << 30)
-    chosen = marks.where(dice < share).limit(4 * per_label)  # bounded, so that it may be broadcast
-    rows = id_and_text(docs).where("text is not null").join(F.broadcast(chosen), "doc_id").select("text", "toxic").collect()
+    chosen = marks.withColumn("dice", dice).where(F.col("dice") < share).orderBy("dice", "doc_id", "toxic").limit(4 * per_label)  # bounded, so that it may be broadcast
+    rows = id_and_text(docs).where("text is not null").join(F.broadcast(chosen), "doc_id").select("dice", "doc_id", "toxic", stretch(F.col("text"), MOST_CHARS).alias("text"))
+    rows = rows.orderBy("dice", "doc_id", "toxic", "text").limit(4 * per_label).collect()  # an id may have many rows
     return fit([r.text for r in rows if r.toxic == 1], [r.text for r in rows if r.toxic == 0])
 
 
