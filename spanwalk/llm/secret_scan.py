@@ -5,9 +5,10 @@ method adds spans of kinds that a form can't prove, only after decoding them:
 
 - `jwt`: three base64url parts whose first decodes to a JSON object with an `alg` entry and
   whose second decodes to a JSON object;
-- `pem`: an armoured block whose body decodes to DER with lengths that nest exactly;
-- `der`: a base64 or hexadecimal run that decodes to DER holding a key (PKCS#1, PKCS#8, SEC1 or
-  a public key), lengths nested exactly;
+- `pem`: an armoured block, with or without header lines, whose body decodes to DER with lengths
+  that nest exactly, or to whole cipher blocks where its headers say that it is encrypted;
+- `der`: a base64 run (on one line or wrapped) or a hexadecimal run that decodes to DER holding a
+  key (PKCS#1, PKCS#8, encrypted PKCS#8, SEC1, DSA or a public key), lengths nested exactly;
 - `sshkey`: an OpenSSH private or public key whose length-prefixed fields fill the blob exactly.
 
 Defined results: null and empty texts have no spans; overlapping spans of different kinds are
@@ -31,14 +32,17 @@ from .common import id_and_text, map_texts
 _ASSIGN = re.compile(r"""(?:password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII)
 _ACCESS = re.compile(r"AKIA[A-Z0-9]{16,}")
 _HEX = re.compile(r"(?<![0-9a-f])[0-9a-f]{24,}")
-_JWT = re.compile(r"(?<![A-Za-z0-9_-])eyJ[A-Za-z0-9_-]{5,}\.[A-Za-z0-9_-]{4,}\.[A-Za-z0-9_-]*")
-_PEM = re.compile(r"-----BEGIN ([A-Z0-9 ]{1,40})-----([A-Za-z0-9+/=\s]+)-----END \1-----")
+#: A header is a JSON object, perhaps after white space.
+_JWT = re.compile(r"(?<![A-Za-z0-9_-])(?:e[w-z]|[CDI][A-Za-z0-9])[A-Za-z0-9_-]{6,}\.[A-Za-z0-9_-]{4,}\.[A-Za-z0-9_-]*")
+_PEM = re.compile(r"-----BEGIN ([A-Z0-9 ]{1,40})-----\s*((?:[A-Za-z][A-Za-z0-9-]{0,40}: [^\n]{0,200}\n)*)([A-Za-z0-9+/=\s]+)-----END \1-----")
+_WRAPPED = re.compile(r"(?<![A-Za-z0-9+/=_-])M[A-Za-z0-9+/]{59,75}\r?\n(?:[A-Za-z0-9+/]{60,76}\r?\n)*[A-Za-z0-9+/]{1,76}={0,2}(?![A-Za-z0-9+/=])")
 _RUN64 = re.compile(r"(?<![A-Za-z0-9+/_-])[A-Za-z0-9+/_-]{40,}={0,2}")
 _HEXDER = re.compile(r"(?<![0-9A-Fa-f])30[0-9A-Fa-f]{46,}")
 #: Kinds in the order in which spans that start together are listed; the first three are the base.
 KINDS = ("assign", "access", "hex", "jwt", "pem", "der", "sshkey")
-#: Object identifiers of key algorithms in DER: rsaEncryption, ecPublicKey, Ed25519, X25519.
-_KEY_OIDS = (bytes.fromhex("2a864886f70d010101"), bytes.fromhex("2a8648ce3d0201"), bytes.fromhex("2b6570"), bytes.fromhex("2b656e"))
+#: Object identifiers in DER, fixed values: rsaEncryption, RSA-PSS, DSA, ecPublicKey, X25519, X448, Ed25519, Ed448; and what those of encrypted keys begin with.
+_KEY_OIDS = tuple(map(bytes.fromhex, ("2a864886f70d010101", "2a864886f70d01010a", "2a8648ce380401", "2a8648ce3d0201", "2b656e", "2b656f", "2b6570", "2b6571")))
+_LOCKED_OIDS = tuple(map(bytes.fromhex, ("2a864886f70d0105", "2a864886f70d010c01")))
 
 
 def _unbase64(run: str) -> bytes | None:
@@ -89,9 +93,12 @@ def der_holds_key(data: bytes) -> bool:
         return False
     tags = [t for t, _, _ in parts]
 
-    def algorithm(part) -> bool:
+    def identifier(part) -> bytes:
         inner = der_children(data, part[1], part[2]) if part[0] == 0x30 else None
-        return bool(inner) and inner[0][0] == 0x06 and data[inner[0][1] : inner[0][2]] in _KEY_OIDS
+        return data[inner[0][1] : inner[0][2]] if inner and inner[0][0] == 0x06 else b""
+
+    def algorithm(part) -> bool:
+        return identifier(part) in _KEY_OIDS
 
     if len(tags) >= 9 and set(tags[:9]) == {0x02}:  # PKCS#1: version and eight integers
         return data[parts[1][1] : parts[1][2]].lstrip(b"\0") != b"" and parts[1][2] - parts[1][1] >= 32
@@ -99,6 +106,10 @@ def der_holds_key(data: bytes) -> bool:
         return True
     if len(tags) >= 2 and tags[:2] == [0x02, 0x04] and parts[0][2] - parts[0][1] == 1 and parts[1][2] - parts[1][1] in (20, 24, 28, 32, 48, 66):  # SEC1
         return True
+    if tags == [0x30, 0x04] and identifier(parts[0]).startswith(_LOCKED_OIDS):  # encrypted PKCS#8
+        return parts[1][2] - parts[1][1] >= 16
+    if tags == [0x02] * 6 and parts[0][2] - parts[0][1] == 1 and parts[1][2] - parts[1][1] >= 64:  # DSA: version, p, q, g, y, x
+        return True
     if tags == [0x30, 0x03] and algorithm(parts[0]):  # public key
         return True
     return tags == [0x02, 0x02] and parts[0][2] - parts[0][1] >= 64  # PKCS#1 public
@@ -156,16 +167,22 @@ def base_spans(text: str) -> list[tuple[str, int, int]]:
 def confirmed_spans(text: str) -> list[tuple[str, int, int]]:
     """Spans that decode to what they seem to be."""
     out = []
-    if "eyJ" in text:
+    if "." in text:
         for m in _JWT.finditer(text):
             head, body, _ = m.group().split(".")
             if isinstance((_json_object(head) or {}).get("alg"), str) and _json_object(body) is not None:
                 out.append(("jwt", m.start(), m.end()))
     if "-----BEGIN " in text:
         for m in _PEM.finditer(text):
-            raw = _unbase64("".join(m.group(2).split()))
-            if raw and (der_holds_key(raw) or ssh_holds_key(raw)):
+            raw = _unbase64("".join(m.group(3).split()))
+            locked = raw and "DEK-Info: " in m.group(2) and "ENCRYPTED" in m.group(2) and len(raw) % 8 == 0
+            if raw and (locked or der_holds_key(raw) or ssh_holds_key(raw)):
                 out.append(("pem", m.start(), m.end()))
+    armoured = [(a, b) for _, a, b in out if text.startswith("-----BEGIN", a)]
+    for m in _WRAPPED.finditer(text):
+        raw = _unbase64("".join(m.group().split()))
+        if raw and der_holds_key(raw) and not any(a < m.start() < b for a, b in armoured):
+            out.append(("der", m.start(), m.end()))
     for m in _RUN64.finditer(text):
         raw = _unbase64(m.group())
         if raw and raw[0] == 0x30 and der_holds_key(raw):
