@@ -74,7 +74,8 @@ def build_index(counts: dict[str, int], n: int, rare: int = RARE) -> list[tuple]
         words, must = body.split(), phrase.split()
         at = next(i for i in range(len(words)) if words[i : i + len(must)] == must)
         idf = {w: math.log((n + 1) / (counts.get(w, 0) + 1)) + 1e-6 for w in words}
-        chosen = set(sorted(range(len(words)), key=lambda p: (-idf[words[p]], p))[:rare])
+        # a word that no document holds can't vouch for a placement
+        chosen = set(sorted((p for p in range(len(words)) if counts.get(words[p])), key=lambda p: (-idf[words[p]], p))[:rare])
         for p, w in enumerate(words):
             inside = at <= p < at + len(must)
             if p in chosen or inside:
@@ -82,22 +83,25 @@ def build_index(counts: dict[str, int], n: int, rare: int = RARE) -> list[tuple]
     return out
 
 
-def _rarest(index: list[tuple], template: int, n: int = 3) -> list[str]:
-    own = sorted(((-p[5], p[4], p[3]) for p in index if p[0] == template))
-    return [w for _, _, w in own[:n]]
+def anchors_of(index: list[tuple], counts: dict[str, int]) -> list[str]:
+    """For each template the mandatory word that fewest documents hold: no placement can do without it."""
+    must: dict[int, list[str]] = {}
+    for k, _, _, word, _, _, inside in index:
+        if inside:
+            must.setdefault(k, []).append(word)
+    return sorted({min(words, key=lambda w: (counts.get(w, 0), w)) for words in must.values()})
 
 
 def scan_licenses(docs: DataFrame, rare: int = RARE, agree: float = AGREE) -> DataFrame:
     """(doc_id, n_words, places, base_labels, labels, score); places are (start, label, kind, score)."""
     docs, spark = id_and_text(docs), docs.sparkSession
     vocabulary = sorted({w for _, _, body in TEMPLATES for w in body.split()})
-    index = build_index(*document_counts(docs, vocabulary), rare)
+    counts, n = document_counts(docs, vocabulary)
+    index = build_index(counts, n, rare)
     postings = spark.createDataFrame(index, "template int, label string, kind string, word string, place int, weight double, must boolean")
     indexed = sorted({p[3] for p in index})
     words = words_of(text_of())
-    # at AGREE above one half no placement can do without all three rarest words of its template
-    anchors = sorted({"license", *(w for k, _, kind, *_ in index if kind == "template" for w in _rarest(index, k))})
-    anchored = F.arrays_overlap(words, F.array(*map(F.lit, anchors)))
+    anchored = F.arrays_overlap(words, F.array(*map(F.lit, anchors_of(index, counts))))
     hits = F.when(~anchored, F.array().cast("array<struct<i:int,w:string>>")).otherwise(F.filter(F.transform(words, lambda w, i: F.when(w.isin(*indexed), F.struct(i.alias("i"), w.alias("w")))), lambda x: x.isNotNull()))
     rows = settle(docs.select("doc_id", F.struct(F.size(words).cast("long").alias("n_words"), hits.alias("hits")).alias("x")).select("doc_id", "x.*").withColumn("row", F.monotonically_increasing_id()))
     need = postings.groupBy("template").agg(F.sum("weight").alias("whole"), F.sum(F.col("must").cast("int")).alias("n_must"))

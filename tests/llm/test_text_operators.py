@@ -8,6 +8,7 @@ import re
 import zlib
 
 import pytest
+from pyspark.sql import functions as F
 
 from spanwalk.llm import bpe, langid, license_scan, line_dedup, secret_scan, toxicity
 from spanwalk.llm.common import lower_ascii
@@ -95,11 +96,52 @@ def test_secret_confirmation(spark):
     assert got[0].spans == "" and got[0].n_hex == 0
 
 
+def test_more_kinds_of_keys():
+    r = random.Random(8)
+    noise = bytes(r.randrange(256) for _ in range(400))
+    b64 = lambda b: base64.b64encode(b).decode()
+    rsa = der(0x30, der(2, b"\0") + b"".join(der(2, b"\x01" + noise[:64]) for _ in range(8)))
+    dsa = der(0x30, der(2, b"\0") + b"".join(der(2, b"\x01" + noise[:n]) for n in (128, 20, 128, 128, 20)))
+    locked = der(0x30, der(0x30, der(6, bytes.fromhex("2a864886f70d01050d")) + der(0x30, b"")) + der(4, noise[:64]))
+    wrapped = "\n".join(b64(rsa)[k : k + 64] for k in range(0, len(b64(rsa)), 64))
+    loose = base64.urlsafe_b64encode(b'{ "alg": "none"}').decode().rstrip("=") + "." + base64.urlsafe_b64encode(b'\n{"sub":1}').decode().rstrip("=") + "."
+    headed = f"-----BEGIN RSA PRIVATE KEY-----\nProc-Type: 4,ENCRYPTED\nDEK-Info: AES-128-CBC,00FF\n\n{b64(noise[:128])}\n-----END RSA PRIVATE KEY-----"
+    for kind, t in (("der", b64(dsa)), ("der", b64(locked)), ("der", wrapped), ("jwt", loose), ("pem", headed)):
+        (span,) = secret_scan.confirmed_spans(f"see {t} there")
+        assert span == (kind, 4, 4 + len(t)), (kind, t[:40])
+    for t in (headed.replace("DEK-Info", "Other"), wrapped.replace("\n", "\n\n", 1), b64(dsa[:-1]), loose.replace(".", ":", 1)):
+        assert not [s for s in secret_scan.confirmed_spans(f"see {t} there") if s[0] != "der" or s[2] - s[1] > 500]
+
+
 def corpus(seed, n, words, extra=()):
     r = random.Random(seed)
     return [" ".join([*(r.choice(words) for _ in range(r.randint(20, 60))), *r.sample(list(extra), min(len(extra), 2))]).capitalize() + "." for _ in range(n)]
 
 
+def test_letters():
+    assert not any(map(langid.has_letter, [None, "", "½", "² ₃", "Ⅷ", "1234 _-", "٣"])) and all(map(langid.has_letter, ["a", "½ é", "日", "ß"]))
+
+
+def test_stretches(spark):
+    from spanwalk.llm.common import stretch
+
+    texts = [None, "", "short", "x" * 50, "abcdefghij" * 30]
+    got = [r.s for r in frame(spark, texts).orderBy("doc_id").select(stretch(F.col("text"), 50).alias("s")).collect()]
+    assert got[:4] == texts[:4] and len(got[4]) == 50 and got[4] in texts[4]
+
+
+def test_repeated_rows_empty_tables_and_null_ids(spark):
+    long = "token = abcdefgh " + "word and " * 20_000 + "MIT License"
+    rows = [(1, "password = hunter22", "en"), (1, "password = hunter22", "en"), (None, "MIT License", "en"), (2, long, None)]
+    docs = spark.createDataFrame([(*x, "clash", 1, 1.0) for x in rows], "doc_id long, text string, lang string, key string, row long, score double")
+    labels = spark.createDataFrame([(1, 0)], "doc_id long, toxic int")
+    jobs = [lambda d: bpe.digest(bpe.encode_documents(d)), lambda d: secret_scan.digest(secret_scan.scan_secrets(d)), lambda d: license_scan.digest(license_scan.scan_licenses(d)), lambda d: langid.digest(langid.identify(d)), lambda d: toxicity.digest(toxicity.score_documents(d, labels))]
+    for job in jobs:
+        got = sorted(map(tuple, job(docs).collect()), key=str)
+        assert len(got) == 4 and len(set(got)) == 3 and sum(x[0] is None for x in got) == 1
+        assert job(docs.limit(0)).collect() == []
+
+
 def test_language(spark):
     sets = {"aa": ["the", "thing", "other", "with", "that", "and"], "bb": ["der", "schule", "und", "nicht", "über", "ein"], "cc": ["que", "été", "nous", "leur", "dans", "une"]}
     rows = [(k, t, lang) for k, (t, lang) in enumerate((t, lang) for s, lang in enumerate(sets) for t in corpus(s, 150, sets[lang]))]
@@ -161,6 +203,7 @@ def plain_words(text):
 
 def test_licenses(spark):
     notices = ["Released under the MIT License.", "MIT-license; apache\nLICENSE", "Licensed under the Apache License, Version 2.0.", "This work is licensed under the GNU General Public License, version 3.", "general public licence", "mit license mit license", "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met:", "Licensed under CC BY-NC 4.0.", "a mit of license", "permission and use of the source"]
+    notices += ["redistribution and use in source and binary forms with or without modification are permitted provided", "the software is provided as is without warranty of any kind express"]
     texts = [*ODD, *notices, *corpus(3, 30, ["and", "use", "in", "the", "license", "under"]), "one " * 3000 + "MIT License"]
     got = {r.doc_id: r for r in license_scan.digest(license_scan.scan_licenses(frame(spark, texts))).collect()}
     for k, t in enumerate(texts):
@@ -171,6 +214,23 @@ def test_licenses(spark):
         r = got[k]
         assert (r.n_words, r.n_base, r.first_word, r.last_word, r.base_labels) == (len(w), len(found), min(found)[0] if found else None, max(found)[0] if found else None, ",".join(sorted({x for _, x in found}))), (k, t)
         assert set(r.base_labels.split(",")) <= set(r.labels.split(",")) | {""} and 0 <= r.score <= 1
+    # the method's labels against every place of every template
+    for rare, agree in ((license_scan.RARE, license_scan.AGREE), (20, 0.3)):
+        wordy = [plain_words(t) for t in texts]
+        counts = {x: sum(x in set(w) for w in wordy) for x in {y for _, _, body in license_scan.TEMPLATES for y in body.split()}}
+        index = license_scan.build_index(counts, len(texts), rare)
+        labelled = {r.doc_id: r.labels for r in license_scan.digest(license_scan.scan_licenses(frame(spark, texts), rare, agree)).collect()}
+        for k, w in enumerate(wordy):
+            want = set()
+            for n in {p[0] for p in index}:
+                own = [p for p in index if p[0] == n]
+                for at in range(-40, len(w)):
+                    there = [p for p in own if 0 <= at + p[4] < len(w) and w[at + p[4]] == p[3]]
+                    whole = sum(p[5] for p in own)
+                    share = 1.0 if own[0][2] == "phrase" else round(sum(p[5] for p in there) / whole, 6) if whole else 0
+                    if sum(p[6] for p in there) == sum(p[6] for p in own) and share >= agree:
+                        want.add(own[0][1])
+            assert labelled[k] == ",".join(sorted(want)), (k, texts[k][:80])
     by = lambda text: got[texts.index(text)].labels
     assert by(notices[6]) == "bsd" and by(notices[7]) == "cc-by,cc-by-nc" and by(notices[8]) == "" and by(notices[9]) == ""
     assert license_scan.scan_licenses(frame(spark, texts).limit(0)).collect() == []
