@@ -2,22 +2,23 @@
 
 A vertex without an index is scanned. For an indexed one the share of its edges that the query
 should match is estimated from its histogram (or counted, or averaged, in the baselines); at or
-below the threshold the index answers, above it the list is scanned.
+below the threshold (or where a cost model says so) the index answers, above it the list is
+scanned. All path methods take `access`: `lay` fetches a window's edges in the way named.
 """
 
 from __future__ import annotations
 
-from collections.abc import Callable
-from dataclasses import dataclass
+import math
+from dataclasses import dataclass, replace
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.predicates import Ordering, Window
+from ..functions.predicates import Window
 from ..plans import histogram as hist
 from ..plans import index as idx
-from ..session import settle
-from .edgemap import window_edges
+from ..session import settle, settle_sorted
+from .edgemap import FrontierEdges, window_edges
 from .graph import TemporalGraph
 
 THETA = 0.20
@@ -26,7 +27,11 @@ MODES = ("scan", "index", "auto", "oracle", "uniform", "global_scan", "global_ra
 
 @dataclass(frozen=True)
 class AccessPlan:
-    """Index and histogram of a graph's high-degree vertices, built once and used by many queries."""
+    """Index and histogram of a graph's high-degree vertices, built once and used by many queries.
+
+    `light` holds the edges of vertices without an index and `heavy` those of indexed ones, both
+    in order of the axis that the heap is on; `inward` is the same for lookups by the other end.
+    """
 
     index: idx.DualAxisIndex
     histogram: hist.Histogram
@@ -34,12 +39,31 @@ class AccessPlan:
     mode: str = "threshold"  # or "cost"
     c: float = 1.0
     c_scan: float = 1.0
+    light: DataFrame | None = None
+    heavy: DataFrame | None = None
+    inward: AccessPlan | None = None
 
+    def side(self, direction: str) -> AccessPlan:
+        if direction == "out":
+            return self
+        if self.inward is None:
+            raise ValueError("plan_access(..., directions=('out', 'in')) builds the index of in-edges")
+        return self.inward
 
-def plan_access(graph: TemporalGraph, cutoff: int = idx.CUTOFF, theta: float = THETA, bins: int = hist.BINS, block_rows: int = idx.BLOCK_ROWS, **how) -> AccessPlan:
+
+def plan_access(graph: TemporalGraph, cutoff: int = idx.CUTOFF, theta: float = THETA, bins: int = hist.BINS, block_rows: int = idx.BLOCK_ROWS, directions: tuple[str, ...] = ("out",), **how) -> AccessPlan:
+    """Out-edges have the largest start on top of the heap, in-edges the least end: what forward and backward paths bound."""
     edges = graph.walkable()
-    index = idx.build_index(edges, cutoff, "t_start", "max", block_rows)
-    return AccessPlan(index, hist.build_histogram(edges, index.catalog, bins), theta, **how)
+    made = {}
+    for direction in directions:
+        key, axis, mode = ("src", "t_start", "max") if direction == "out" else ("dst", "t_end", "min")
+        index = idx.build_index(edges, cutoff, axis, mode, block_rows, direction)
+        weight = F.col("weight") if "weight" in edges.columns else F.lit(1.0).alias("weight")
+        rows = edges.select("src", "dst", "t_start", "t_end", weight)
+        own = F.col(key) == F.col("v")
+        parts = [settle_sorted(rows.join(index.catalog.select("v"), own, kind), axis) for kind in ("left_anti", "left_semi")]
+        made[direction] = AccessPlan(index, hist.build_histogram(edges, index.catalog, bins, direction), theta, light=parts[0], heavy=parts[1], **how)
+    return replace(made["out"], inward=made.get("in")) if "out" in made else AccessPlan(made["in"].index, made["in"].histogram, theta, inward=made["in"], **how)
 
 
 def index_cost(m: Column, k: Column, c: float = 1.0) -> Column:
@@ -52,19 +76,19 @@ def scan_cost(m: Column, c: float = 1.0) -> Column:
     return c * m.cast("double")
 
 
-def true_matches(edges: DataFrame, asked: DataFrame) -> DataFrame:
+def true_matches(edges: DataFrame, asked: DataFrame, direction: str = "out") -> DataFrame:
     """(v, a, b, k): edges of v with start >= a and end <= b, counted."""
-    pairs = asked.select("v", "a", "b").join(edges.select(F.col("src").alias("v"), "t_start", "t_end"), "v", "left")
+    pairs = asked.select("v", "a", "b").join(edges.select(F.col("src" if direction == "out" else "dst").alias("v"), "t_start", "t_end"), "v", "left")
     inside = (F.col("t_start") >= F.col("a")) & (F.col("t_end") <= F.col("b"))
     return pairs.groupBy("v", "a", "b").agg(F.sum(F.when(inside, 1).otherwise(0)).alias("k"))
 
 
-def choose_access(asked: DataFrame, plan: AccessPlan, how: str = "auto", edges: DataFrame | None = None) -> DataFrame:
+def choose_access(asked: DataFrame, plan: AccessPlan, how: str = "auto", edges: DataFrame | None = None, direction: str = "out") -> DataFrame:
     """(v, a, b, m, k_hat, beta, access) of distinct asked (v, a, b); m is null where v has no index."""
     asked = asked.select("v", "a", "b").distinct()
     known = asked.join(plan.index.catalog, "v", "left")
     if how == "oracle":
-        counts = true_matches(edges, asked.join(plan.index.catalog.select("v"), "v", "left_semi")).withColumnRenamed("k", "k_hat")
+        counts = true_matches(edges, asked.join(plan.index.catalog.select("v"), "v", "left_semi"), direction).withColumnRenamed("k", "k_hat")
     else:
         counts = hist.estimate(plan.histogram, asked).drop("m")
     out = known.join(counts, ["v", "a", "b"], "left").withColumn("k_hat", F.when(F.col("m").isNotNull(), F.coalesce("k_hat", F.lit(0.0)).cast("double")))
@@ -81,42 +105,60 @@ def choose_access(asked: DataFrame, plan: AccessPlan, how: str = "auto", edges:
     return out.withColumn("access", F.when(F.col("m").isNotNull() & use, "index").otherwise("scan"))
 
 
-def finder(graph: TemporalGraph, window: Window, predicate: Ordering, access: str = "scan", plan: AccessPlan | None = None) -> Callable[[DataFrame], DataFrame]:
-    """A function from a frontier (source, v, label) to (source, v, label, dst, t_start, t_end)."""
+@dataclass(frozen=True)
+class WholeTable:
+    """Time as a plain attribute: the edge table is read and filtered in every round."""
+
+    edges: DataFrame
+    key: str
+    label: str | None = None  # narrow the whole table to starts (ends) from the frontier's least (to its largest) label
+
+    def meet(self, frontier: DataFrame) -> DataFrame:
+        own = self.edges
+        if self.label is not None and "label" in frontier.columns:
+            bound = frontier.agg((F.min if self.key == "src" else F.max)("label")).head()[0]
+            if bound is not None:
+                own = own.where(F.col("t_start") >= bound if self.key == "src" else F.col("t_end") <= bound)
+        return frontier.join(own, F.col("v") == F.col(self.key))
+
+
+def window_rows(graph: TemporalGraph, window: Window, how: str, plan: AccessPlan, direction: str = "out") -> DataFrame:
+    """(src, dst, t_start, t_end, weight): the window's edges, each vertex's by index or by scan.
+
+    The choice is made once for each indexed vertex, for the whole window: rounds then meet only
+    what was fetched.
+    """
+    own, key = plan.side(direction), "src" if direction == "out" else "dst"
+    inside = window.contains()
+    if how == "index":
+        by_index, others = own.index.catalog.select("v"), None
+    else:
+        asked = own.index.catalog.select("v").withColumns({"a": F.lit(window.start).cast("long"), "b": F.lit(window.end).cast("long")})
+        chosen = settle(choose_access(asked, own, how, graph.walkable(), direction).select("v", "access"))
+        by_index, others = chosen.where("access = 'index'").select("v"), chosen.where("access = 'scan'").select("v")
+    rows = own.light.where(inside)
+    if others is None or not by_index.isEmpty():
+        found = idx.query_window(own.index, by_index, window.start, window.end)
+        ends = (F.col("v").alias("src"), F.col("nbr").alias("dst")) if direction == "out" else (F.col("nbr").alias("src"), F.col("v").alias("dst"))
+        rows = rows.unionByName(found.select(*ends, "t_start", "t_end", "weight"))
+    if others is not None and not others.isEmpty():
+        rows = rows.unionByName(own.heavy.where(inside).join(others, F.col(key) == F.col("v"), "left_semi"))
+    return rows
+
+
+def lay(graph: TemporalGraph, window: Window, direction: str = "out", access: str = "scan", plan: AccessPlan | None = None, columns: tuple[str, ...] = ("src", "dst", "t_start", "t_end")) -> FrontierEdges | WholeTable:
+    """The window's edges for lookups by `src` (direction "out") or `dst`, fetched in the way named."""
     if access not in MODES:
         raise ValueError(f"access must be one of {MODES}")
-    columns = ["source", "v", "label", "dst", "t_start", "t_end"]
-    follows = lambda: predicate.follows_label(F.col("label"), F.col("t_start"))
     if access in ("global_scan", "global_range"):
-        # time as a plain attribute: the edge table is read and filtered in every round
-        edges = graph.walkable().select("src", "dst", "t_start", "t_end")
-        inside = window.contains()
-        if access == "global_range":
-            edges = settle(edges.sort("t_start"))
-
-        def whole(frontier: DataFrame) -> DataFrame:
-            own = edges.where(inside)
-            if access == "global_range":  # one range for all vertices: from the earliest label on
-                first = frontier.agg(F.min("label")).head()[0]
-                own = own.where(F.col("t_start") >= first) if first is not None else own
-            return frontier.join(own, F.col("v") == F.col("src")).where(follows()).select(*columns)
-
-        return whole
-    edges = window_edges(graph.restrict(window).walkable())
-    scan = lambda frontier: edges.meet(frontier).where(follows()).select(*columns)
+        edges, key = graph.walkable().select(*columns).where(window.contains()), "src" if direction == "out" else "dst"
+        if access == "global_scan":
+            return WholeTable(edges, key)
+        return WholeTable(settle_sorted(edges, "t_start" if direction == "out" else "t_end"), key, "label")
     if access == "scan":
-        return scan
-    plan = plan or plan_access(graph)
-    every = graph.walkable()
-
-    def mixed(frontier: DataFrame) -> DataFrame:
-        rows = frontier.select("source", "v", "label").withColumns({"a": (F.col("label") + 1) if predicate is Ordering.STRICTLY_SUCCEEDS else F.col("label"), "b": F.lit(window.end).cast("long")})
-        chosen = choose_access(rows, plan, access, every).select("v", "a", "b", "access")
-        rows = settle(rows.join(chosen, ["v", "a", "b"]))
-        by_index = idx.query_index(plan.index, rows.where("access = 'index'").select("source", "v", "label"), predicate.three_sided(F.col("label"), window.end))
-        return by_index.withColumnRenamed("nbr", "dst").select(*columns).unionByName(scan(rows.where("access = 'scan'").select("source", "v", "label")))
-
-    return mixed
+        return window_edges(graph.restrict(window).walkable(), direction, columns)
+    rows = window_rows(graph, window, access, plan or plan_access(graph, directions=("out", direction) if direction == "in" else ("out",)), direction)
+    return window_edges(settle(rows.select(*columns)), direction, columns)
 
 
 def explain_access(graph: TemporalGraph, plan: AccessPlan, window: Window, how: str = "auto") -> DataFrame:
@@ -138,7 +180,5 @@ def calibrate(graph: TemporalGraph, plan: AccessPlan, windows: list[Window]) ->
         if k:
             ratios.append(opened / (k + m))
     c = sum(ratios) / len(ratios) if ratios else 1.0
-    import math
-
     theta = max(0.0, 1.0 / c - math.log2(mean_m) / mean_m) if mean_m else 0.0
     return c, 1.0, theta

@@ -2,7 +2,8 @@
 
 A valid path takes distinct edges inside the window, each ordered after the one before it by the
 predicate; the empty path belongs to its source alone. Methods take many sources at once and
-carry `source` as a key. Vertices that no valid path reaches are absent.
+carry `source` as a key. Vertices that no valid path reaches are absent. `access` and `plan` say how
+the window's edges are fetched (see `access.lay`); results don't depend on them.
 """
 
 from __future__ import annotations
@@ -13,7 +14,7 @@ from pyspark.sql import functions as F
 from ..functions.predicates import Ordering, Window
 from ..plans.fixpoint import pareto_fixpoint, reach_fixpoint, scalar_fixpoint
 from ..session import settle
-from . import access as access_paths
+from .access import lay
 from .edgemap import FrontierEdges, expand_backward, expand_forward, expand_states, window_edges
 from .graph import TemporalGraph, with_edge_ids
 
@@ -31,12 +32,12 @@ def _seeds(sources: DataFrame, label: int) -> DataFrame:
 def _forward_labels(graph: TemporalGraph, sources, window: Window, predicate: Ordering, access: str, max_hops: int | None, targets: list[int] | None = None, plan=None) -> DataFrame:
     spark = graph.edges.sparkSession
     seeds = _seeds(source_frame(spark, sources), predicate.seed(window.start))
-    finder = access_paths.finder(graph, window, predicate, access, plan)
+    edges = lay(graph, window, "out", access, plan)
     stop = None
     if targets is not None:
         pairs = seeds.select("source").distinct().count() * len(set(targets))
         stop = lambda state: state.where(F.col("v").isin(*targets)).select("source", "v").distinct().count() == pairs
-    return scalar_fixpoint(seeds, lambda d: finder(d).select("source", F.col("dst").alias("v"), F.col("t_end").alias("label")), max_rounds=max_hops, stop=stop)
+    return scalar_fixpoint(seeds, lambda d: expand_forward(d, edges, predicate).select("source", F.col("dst").alias("v"), F.col("t_end").alias("label")), max_rounds=max_hops, stop=stop)
 
 
 def earliest_arrival(graph: TemporalGraph, sources, window: Window, predicate: Ordering | None = None, access: str = "scan", max_hops: int | None = None, plan=None) -> DataFrame:
@@ -89,12 +90,12 @@ def arrival_by_edges(graph: TemporalGraph, sources, window: Window, predicate: O
     return _with_source(found, graph.edges.sparkSession, sources, {"arrival": window.start})
 
 
-def latest_departure(graph: TemporalGraph, targets, window: Window, predicate: Ordering | None = None) -> DataFrame:
+def latest_departure(graph: TemporalGraph, targets, window: Window, predicate: Ordering | None = None, access: str = "scan", plan=None) -> DataFrame:
     """(target, v, departure): largest start of a valid path from v; the target itself has the window's end."""
     predicate = predicate or graph.predicate
     if not predicate.one_sided:
         raise ValueError("latest departure has scalar labels for one-sided predicates only")
-    edges = window_edges(graph.restrict(window).walkable(), "in")
+    edges = lay(graph, window, "in", access, plan)
     label = window.end + 1 if predicate is Ordering.STRICTLY_SUCCEEDS else window.end
     seeds = _seeds(source_frame(graph.edges.sparkSession, targets), label)
     step = lambda d: expand_backward(d, edges, predicate).select("source", F.col("src").alias("v"), F.col("t_start").alias("label"))
@@ -102,7 +103,7 @@ def latest_departure(graph: TemporalGraph, targets, window: Window, predicate: O
     return found.select(F.col("source").alias("target"), "v", F.when(F.col("v") == F.col("source"), F.lit(window.end).cast("long")).otherwise(F.col("label")).alias("departure"))
 
 
-def fastest(graph: TemporalGraph, sources, window: Window, predicate: Ordering | None = None, strategy: str = "pareto") -> DataFrame:
+def fastest(graph: TemporalGraph, sources, window: Window, predicate: Ordering | None = None, strategy: str = "pareto", access: str = "scan", plan=None) -> DataFrame:
     """(source, v, duration, departure, arrival): least time from first start to last end, latest departure on ties.
 
     `pareto` keeps for each vertex the departures and arrivals that none dominates;
@@ -111,7 +112,7 @@ def fastest(graph: TemporalGraph, sources, window: Window, predicate: Ordering |
     predicate = predicate or graph.predicate
     if not predicate.one_sided:
         raise ValueError("fastest paths take one-sided predicates")
-    edges = window_edges(graph.restrict(window).walkable())
+    edges = lay(graph, window, "out", access, plan)
     first = _first_edges(graph, sources, edges)
     if strategy == "pareto":
         seed = first.select("source", F.col("dst").alias("v"), (-F.col("t_start")).alias("x"), F.col("t_end").alias("y"))
@@ -127,12 +128,12 @@ def fastest(graph: TemporalGraph, sources, window: Window, predicate: Ordering |
     return _with_source(found, graph.edges.sparkSession, sources, {"duration": 0, "departure": window.start, "arrival": window.start})
 
 
-def shortest_duration(graph: TemporalGraph, sources, window: Window, predicate: Ordering | None = None, cost: str = "duration") -> DataFrame:
+def shortest_duration(graph: TemporalGraph, sources, window: Window, predicate: Ordering | None = None, cost: str = "duration", access: str = "scan", plan=None) -> DataFrame:
     """(source, v, cost): least sum of edge durations, or of non-negative weights with cost="weight"."""
     predicate = predicate or graph.predicate
     if not predicate.one_sided:
         raise ValueError("shortest paths take one-sided predicates")
-    edges = window_edges(graph.restrict(window).walkable(), columns=("src", "dst", "t_start", "t_end", "weight"))
+    edges = lay(graph, window, "out", access, plan, ("src", "dst", "t_start", "t_end", "weight"))
     price = (F.col("t_end") - F.col("t_start")) if cost == "duration" else F.col("weight")
     seed = _first_edges(graph, sources, edges).select("source", F.col("dst").alias("v"), F.col("t_end").alias("x"), price.alias("y"))
     step = lambda d: expand_forward(d.withColumnRenamed("x", "label"), edges, predicate).select("source", F.col("dst").alias("v"), F.col("t_end").alias("x"), (F.col("y") + price).alias("y"))
@@ -142,7 +143,7 @@ def shortest_duration(graph: TemporalGraph, sources, window: Window, predicate:
     return found.unionByName(empty)
 
 
-def temporal_bfs(graph: TemporalGraph, sources, window: Window, predicate: Ordering | None = None, mode: str = "time_respecting") -> DataFrame:
+def temporal_bfs(graph: TemporalGraph, sources, window: Window, predicate: Ordering | None = None, mode: str = "time_respecting", access: str = "scan", plan=None) -> DataFrame:
     """(source, v, hops): fewest edges of a valid path, or of any path inside the window (mode "window").
 
     The arrival of the best path of at most h edges is carried from round to round, so the
@@ -150,23 +151,23 @@ def temporal_bfs(graph: TemporalGraph, sources, window: Window, predicate: Order
     """
     predicate = predicate or graph.predicate
     if mode == "window":
-        edges = window_edges(graph.restrict(window).walkable())
+        edges = lay(graph, window, "out", access, plan)
         seed = source_frame(graph.edges.sparkSession, sources).select("source", F.col("source").alias("v"))
         step = lambda d: edges.meet(d).select("source", F.col("dst").alias("v"))
         return reach_fixpoint(seed, step, ["source", "v"]).select("source", "v", (F.col("round") - 1).cast("long").alias("hops"))
     if predicate.one_sided:
-        found = _forward_labels(graph, sources, window, predicate, "scan", None)
+        found = _forward_labels(graph, sources, window, predicate, access, None, plan=plan)
         return found.select("source", "v", F.col("round").cast("long").alias("hops"))
     states, edges = edge_states(graph, sources, window, predicate)
     found = states.join(edges, "edge_id").groupBy("source", F.col("dst").alias("v")).agg(F.min("round").cast("long").alias("hops"))
     return _with_source(found, graph.edges.sparkSession, sources, {"hops": 0})
 
 
-def reachable(graph: TemporalGraph, sources, window: Window, predicate: Ordering | None = None, max_hops: int | None = None, targets: list[int] | None = None) -> DataFrame:
+def reachable(graph: TemporalGraph, sources, window: Window, predicate: Ordering | None = None, max_hops: int | None = None, targets: list[int] | None = None, access: str = "scan", plan=None) -> DataFrame:
     """(source, v) of all reached vertices; with `targets` only those, stopping once all are settled."""
     predicate = predicate or graph.predicate
     if predicate.one_sided:
-        found = _forward_labels(graph, sources, window, predicate, "scan", max_hops, targets)
+        found = _forward_labels(graph, sources, window, predicate, access, max_hops, targets, plan)
     else:
         states, edges = edge_states(graph, sources, window, predicate, max_hops)
         found = _with_source(states.join(edges, "edge_id").select("source", F.col("dst").alias("v")).distinct(), graph.edges.sparkSession, sources, {})

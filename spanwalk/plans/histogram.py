@@ -18,10 +18,15 @@ BINS = 100
 
 @dataclass(frozen=True)
 class Histogram:
-    cells: DataFrame  # v, bx, by, n
+    columns: DataFrame  # v, bx, total, cells (array of by, n): the filled cells of a column of equal starts
     meta: DataFrame  # v, m, s_lo, s_hi, d_lo, d_hi
     bins: int
 
+    @property
+    def cells(self) -> DataFrame:
+        """(v, bx, by, n) of the filled cells."""
+        return self.columns.select("v", "bx", F.explode("cells").alias("p")).select("v", "bx", "p.by", "p.n")
+
 
 def build_histogram(edges: DataFrame, indexed: DataFrame, bins: int = BINS, orientation: str = "out") -> Histogram:
     """Equal-width cells in integer arithmetic; a range of width zero is one cell."""
@@ -30,7 +35,8 @@ def build_histogram(edges: DataFrame, indexed: DataFrame, bins: int = BINS, orie
     meta = settle(own.groupBy("v").agg(F.count("*").alias("m"), F.min("s").alias("s_lo"), F.max("s").alias("s_hi"), F.min("d").alias("d_lo"), F.max("d").alias("d_hi")))
     cell = lambda x, lo, hi: F.expr(f"CASE WHEN {hi} = {lo} THEN 0 ELSE least({bins - 1}, ({x} - {lo}) * {bins} DIV ({hi} - {lo})) END").cast("long")
     cells = own.join(meta, "v").select("v", cell("s", "s_lo", "s_hi").alias("bx"), cell("d", "d_lo", "d_hi").alias("by")).groupBy("v", "bx", "by").agg(F.count("*").alias("n"))
-    return Histogram(settle(cells), meta, bins)
+    columns = cells.groupBy("v", "bx").agg(F.sum("n").alias("total"), F.array_sort(F.collect_list(F.struct("by", "n"))).alias("cells"))
+    return Histogram(settle(columns), meta, bins)
 
 
 def corners(bins: int) -> list[str]:
@@ -59,16 +65,24 @@ def estimate(histogram: Histogram, asked: DataFrame, cell: str = "uniform") -> D
     """(v, a, b, m, k_hat): edges of v expected inside [a, b].
 
     `cell` says how a partly covered cell counts: by its share, wholly ("full", an upper bound)
-    or not at all ("none", a lower bound).
+    or not at all ("none", a lower bound). Columns of cells that start before `a` are left out by
+    number, a column that lies inside the range as a whole counts by its total, and only the
+    others are taken apart.
     """
-    joined = asked.select("v", "a", "b").join(histogram.meta, "v").join(histogram.cells, "v")
-    wide = joined.selectExpr("v", "m", "n", "a", "b", *corners(histogram.bins))
-    share = wide.selectExpr("v", "m", "n", *clipped()).selectExpr("v", "m", "n", "a", "b", "s0", "s1", "d0", "d1", f"CAST({covered()} AS DOUBLE) AS share")
+    joined = asked.select("v", "a", "b").join(histogram.meta, "v").join(histogram.columns, "v")
+    first = F.expr(f"CASE WHEN s_hi = s_lo THEN 0 ELSE least({histogram.bins - 1}, (a - s_lo) * {histogram.bins} DIV (s_hi - s_lo)) - 1 END")
+    joined = joined.where(F.col("bx") >= first)
+    start, stop = corners(histogram.bins)[:2]
+    inside = joined.selectExpr("*", start, stop).withColumn("whole", (F.col("s0") < F.col("s1")) & (F.col("s0") >= F.col("a")) & (F.col("s1") + F.col("d_hi") <= F.col("b")))
+    parts = inside.withColumn("p", F.explode(F.when(F.col("whole"), F.array(F.struct(F.lit(0).cast("long").alias("by"), F.col("total").alias("n")))).otherwise(F.col("cells"))))
+    wide = parts.select("v", "m", "whole", "a", "b", "bx", "s_lo", "s_hi", "d_lo", "d_hi", "p.by", "p.n").selectExpr("v", "m", "n", "whole", "a", "b", *corners(histogram.bins))
+    share = wide.selectExpr("v", "m", "n", "whole", *clipped()).selectExpr("v", "m", "n", "whole", "a", "b", "s0", "s1", "d0", "d1", f"CAST({covered()} AS DOUBLE) AS share")
     if cell == "full":
         share = share.withColumn("share", F.when((F.col("s1") >= F.col("a")) & (F.col("s0") + F.col("d0") <= F.col("b")), 1.0).otherwise(0.0))
     elif cell == "none":
         share = share.withColumn("share", F.when((F.col("s0") >= F.col("a")) & (F.col("s1") + F.col("d1") <= F.col("b")), 1.0).otherwise(0.0))
-    return share.groupBy("v", "a", "b", "m").agg(F.sum(F.col("n") * F.col("share")).alias("k_hat"))
+    counted = share.groupBy("v", "a", "b").agg(F.sum(F.col("n") * F.when(F.col("whole"), 1.0).otherwise(F.col("share"))).alias("k_hat"))
+    return asked.select("v", "a", "b").join(histogram.meta.select("v", "m"), "v").join(counted, ["v", "a", "b"], "left").na.fill(0.0, ["k_hat"]).select("v", "a", "b", "m", "k_hat")
 
 
 def prefix_counts(histogram: Histogram) -> DataFrame:

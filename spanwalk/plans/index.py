@@ -7,9 +7,13 @@ the tree axis on both; a node can hold results only if its best key meets the he
 its range meets the tree bounds, and if it can't, neither can any node below it.
 
 The build has no recursion: ranks on the tree axis give every edge its path, and each level
-takes the best edges of every prefix. One shuffle by (v, shard) serves all levels. Vertices with
-more than `shard_rows` edges are divided by quantiles of the tree axis first, so a hub is never
-one task.
+takes the best edges of every prefix. Edges are laid out by (v, shard) once, which serves all
+levels. Vertices with more than `shard_rows` edges are divided by quantiles of the tree axis
+first, so a hub is never one task.
+
+Nodes are kept in order of their best heap key. A query narrows them by headers (best key and
+range of the tree axis) with literal bounds that reach the file scan, so edges are read of nodes
+that may hold results only.
 """
 
 from __future__ import annotations
@@ -22,7 +26,7 @@ from pyspark.sql import Window as W
 
 from ..functions.predicates import ThreeSided
 from ..operators.graph import degrees
-from ..session import settle
+from ..session import release, settle, settle_laid, settle_partitioned, settle_sorted
 from .shards import SHARD_ROWS, with_shards
 
 CUTOFF, BLOCK_ROWS = 2000, 64
@@ -52,8 +56,8 @@ class DualAxisIndex:
         return key >= bound if self.heap_mode == "max" else key <= bound
 
     def save(self, path: str) -> None:
-        """Node rows sorted so that equality on v and bounds on the axes prune row groups."""
-        self.nodes.repartition("v").sortWithinPartitions("v", "shard", "level", "tree_lo").write.mode("overwrite").parquet(path + "/nodes")
+        """Node rows in order of their best heap key, so that bounds prune files and pages; a hub's nodes are spread over many files."""
+        self.nodes.repartitionByRange("heap_best", "v").sortWithinPartitions("heap_best", "v").write.mode("overwrite").parquet(path + "/nodes")
         self.catalog.write.mode("overwrite").parquet(path + "/catalog")
 
 
@@ -68,13 +72,15 @@ def build_index(edges: DataFrame, cutoff: int = CUTOFF, heap_axis: str = "t_star
     catalog = settle(select_indexed_vertices(edges, cutoff, orientation))
     weight = F.col("weight") if "weight" in edges.columns else F.lit(1.0)
     own = edges.select(F.col(v).alias("v"), F.col(nbr).alias("nbr"), "t_start", "t_end", weight.alias("weight")).join(catalog, "v")
-    own = with_shards(own, tree_axis, shard_rows).withColumn("key", sign * F.col(heap_axis)).repartition("v", "shard")
+    own = with_shards(own, tree_axis, shard_rows).withColumn("key", sign * F.col(heap_axis))
+    own = settle_partitioned(own, int(edges.sparkSession.conf.get("spark.sql.shuffle.partitions")), "v", "shard")
     group = W.partitionBy("v", "shard")
     content = ["nbr", "weight"]
     ranked = own.withColumns({"size": F.count("*").over(group), "rank": F.row_number().over(group.orderBy(tree_axis, "key", *content)) - 1})
     depth = F.greatest(F.lit(0), F.ceil(F.log2(F.col("size") / float(block_rows)))).cast("int")
     left = ranked.withColumn("depth", depth).withColumn("path", F.floor(F.col("rank") * F.pow(F.lit(2.0), F.col("depth")) / F.col("size")).cast("long"))
-    left = settle(left)
+    left = settle_laid(left)
+    release(own)
     deepest = left.agg(F.max("depth")).head()[0]
     placed = []
     for level in range((deepest if deepest is not None else -1) + 1):
@@ -83,7 +89,7 @@ def build_index(edges: DataFrame, cutoff: int = CUTOFF, heap_axis: str = "t_star
         place = F.row_number().over(W.partitionBy("v", "shard", "prefix").orderBy("key", "rank"))
         here = here.withColumn("place", place)
         takes = (F.col("place") <= block_rows) | (F.col("depth") == level)
-        tagged = settle(here.withColumn("taken", takes))
+        tagged = settle_laid(here.withColumn("taken", takes))
         placed.append(tagged.where("taken").withColumns({"level": F.lit(level), "node": (F.lit(1 << level) + F.col("prefix")).cast("long")}).drop("prefix", "place", "taken"))
         left = tagged.where("not taken").drop("prefix", "place", "taken")
     if not placed:
@@ -96,17 +102,39 @@ def build_index(edges: DataFrame, cutoff: int = CUTOFF, heap_axis: str = "t_star
         F.min("key").alias("best"), F.max("key").alias("worst"), F.min(tree_axis).alias("tree_lo"), F.max(tree_axis).alias("tree_hi"), F.count("*").alias("n"),
         F.array_sort(F.collect_list(F.struct("key", "nbr", "t_start", "t_end", "weight"))).alias("edges"),
     ).select("v", "shard", "node", "level", (sign * F.col("best")).alias("heap_best"), (sign * F.col("worst")).alias("heap_worst"), "tree_lo", "tree_hi", "n", "edges")
-    return DualAxisIndex(settle(nodes), catalog, orientation, heap_axis, heap_mode)
+    return DualAxisIndex(settle_sorted(nodes, "heap_best", "v"), catalog, orientation, heap_axis, heap_mode)
+
+
+def query_window(index: DualAxisIndex, vertices: DataFrame, start: int, end: int) -> DataFrame:
+    """(v, nbr, t_start, t_end, weight): edges of the asked vertices inside [start, end].
+
+    The bounds are literals: headers are filtered in the file scan, and edges are unpacked of the
+    nodes that are left.
+    """
+    heap, low, high = (start, start, end) if index.heap_axis == "t_start" and index.heap_mode == "max" else (end, start, end) if index.heap_axis == "t_end" and index.heap_mode == "min" else (None, start, end)
+    hit = index.nodes.where((F.col("tree_hi") >= low) & (F.col("tree_lo") <= high))
+    if heap is not None:
+        hit = hit.where(index.beats(F.col("heap_best"), F.lit(heap)))
+    rows = hit.join(vertices.select("v"), "v", "left_semi").select("v", F.explode("edges").alias("e")).select("v", "e.nbr", "e.t_start", "e.t_end", "e.weight")
+    return rows.where((F.col("t_start") >= start) & (F.col("t_end") <= end))
 
 
 def query_index(index: DualAxisIndex, asked: DataFrame, bounds: ThreeSided, extra: Column | None = None) -> DataFrame:
     """Rows of `asked` (with column v) joined with the edges of v that meet the bounds.
 
-    Columns of `asked` plus nbr, t_start, t_end, weight. The bounds may use columns of `asked`.
+    Columns of `asked` plus nbr, t_start, t_end, weight. The bounds may use columns of `asked`:
+    the widest of them narrow the headers first, then each row is met with headers alone, and
+    edges are fetched for the nodes that some row opens.
     """
-    nodes = index.nodes.withColumnRenamed("v", "__v").select("__v", "heap_best", "tree_lo", "tree_hi", F.col("edges").alias("__edges"))
+    worst = F.min if index.heap_mode == "max" else F.max
+    widest = asked.agg(worst(bounds.heap_bound).alias("heap"), F.min(bounds.tree_lo).alias("low"), F.max(bounds.tree_hi).alias("high")).head()
+    nodes = index.nodes.withColumnsRenamed({"v": "__v", "shard": "__shard", "node": "__node"})
+    if widest.heap is not None:
+        nodes = nodes.where(index.beats(F.col("heap_best"), F.lit(widest.heap)) & (F.col("tree_hi") >= widest.low) & (F.col("tree_lo") <= widest.high))
     meets = (F.col("v") == F.col("__v")) & index.beats(F.col("heap_best"), bounds.heap_bound) & (F.col("tree_hi") >= bounds.tree_lo) & (F.col("tree_lo") <= bounds.tree_hi)
-    hit = asked.join(nodes, meets)
+    opened = asked.join(nodes.select("__v", "__shard", "__node", "heap_best", "tree_lo", "tree_hi"), meets).select(*asked.columns, "__v", "__shard", "__node")
+    blocks = nodes.select("__v", "__shard", "__node", F.col("edges").alias("__edges"))
+    hit = opened.join(blocks, ["__v", "__shard", "__node"])
     out = hit.select(*asked.columns, F.explode("__edges").alias("__e")).select(*asked.columns, "__e.nbr", "__e.t_start", "__e.t_end", "__e.weight")
     keep = index.beats(F.col(index.heap_axis), bounds.heap_bound) & F.col(index.tree_axis).between(bounds.tree_lo, bounds.tree_hi)
     return out.where(keep if extra is None else keep & extra)

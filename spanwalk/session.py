@@ -5,6 +5,7 @@ from __future__ import annotations
 import os
 import tempfile
 import threading
+import uuid
 import zipfile
 from pathlib import Path
 
@@ -68,6 +69,14 @@ def settle_partitioned(df: DataFrame, partitions: int, *keys: str) -> DataFrame:
     return settle_laid(df.repartition(max(2, partitions), *keys))
 
 
+def settle_sorted(df: DataFrame, *keys: str) -> DataFrame:
+    """Write `df` as Parquet in the shared folder in order of `keys`, so that bounds on them prune files and pages, and read it again."""
+    spark = df.sparkSession
+    path = f"{shared_dir(spark)}/sorted-{uuid.uuid4().hex}"
+    df.repartitionByRange(*keys).sortWithinPartitions(*keys).write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
+
+
 def release(*frames: DataFrame | None) -> None:
     """Delete the files of settled frames that nothing will read any more."""
     for df in frames:

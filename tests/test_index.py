@@ -95,12 +95,41 @@ def test_point_mass(spark):
 @pytest.mark.parametrize("kind", [Ordering.SUCCEEDS, Ordering.STRICTLY_SUCCEEDS])
 def test_all_accesses_agree(spark, edges, kind):
     g, w = TemporalGraph(edges), Window(100, 900)
-    plan = access.plan_access(g, 60, bins=10, block_rows=8)
+    plan = access.plan_access(g, 60, bins=10, block_rows=8, directions=("out", "in"))
     want = sorted(map(tuple, paths.earliest_arrival(g, [0, 1], w, kind).collect()))
     for how in access.MODES:
         assert sorted(map(tuple, paths.earliest_arrival(g, [0, 1], w, kind, access=how, plan=plan).collect())) == want
 
 
+@pytest.mark.parametrize("method", [paths.latest_departure, paths.fastest, paths.shortest_duration, paths.temporal_bfs, paths.reachable])
+def test_all_paths_take_the_index(spark, edges, method):
+    g, w = TemporalGraph(edges), Window(700, 900)
+    plan = access.plan_access(g, 60, theta=0.25, bins=10, block_rows=8, directions=("out", "in"))
+    want = sorted(map(tuple, method(g, [0, 1], w).collect()))
+    for how in ("index", "auto", "global_range"):
+        assert sorted(map(tuple, method(g, [0, 1], w, access=how, plan=plan).collect())) == want
+
+
+def test_costs_decide_instead_of_the_threshold(spark, edges):
+    g, w = TemporalGraph(edges), Window(300, 1100)
+    free, dear = (access.plan_access(g, 60, mode="cost", c=c) for c in (0.0, 1e9))
+    assert {r.access for r in access.explain_access(g, free, w).where("m is not null").collect()} == {"index"}
+    assert {r.access for r in access.explain_access(g, dear, w).collect()} == {"scan"}
+    assert sorted(map(tuple, paths.earliest_arrival(g, [0], w, access="auto", plan=free).collect())) == sorted(map(tuple, paths.earliest_arrival(g, [0], w, access="auto", plan=dear).collect()))
+
+
+def test_bounds_reach_the_nodes(spark, edges):
+    """Headers are filtered in the file scan, and only nodes that may hold results are unpacked."""
+    ix = index.build_index(edges, 60, block_rows=8)
+    spark.conf.set("spark.sql.maxMetadataStringLength", "1000")
+    found = index.query_window(ix, ix.catalog.select("v"), 900, 2000)
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    assert "GreaterThanOrEqual(heap_best,900)" in plan and "GreaterThanOrEqual(tree_hi,900)" in plan and "LessThanOrEqual(tree_lo,2000)" in plan
+    asked = ix.catalog.select("v").withColumns({"a": F.lit(900).cast("long"), "b": F.lit(2000).cast("long")})
+    opened = index.nodes_read(ix, asked, index.ThreeSided(F.col("a"), F.col("a"), F.col("b"))).agg(F.sum("nodes")).head()[0]
+    assert opened < 0.5 * ix.nodes.count()
+
+
 def test_choice_at_worked_values(spark):
     """theta .3 and beta .2 choose the index; beta at theta does too; costs of 8 edges and 3 matches are 6 and 8."""
     rows = [(0, 1, t, t) for t in range(10)]
