@@ -27,11 +27,15 @@ def exact_percentile(df: DataFrame, column: str, p: float, most: int = 50_000) -
             break
         share = (rank - below) / n
         a, b = inside.agg(F.percentile_approx(column, [max(0.0, share - 0.001), min(1.0, share + 0.001)], 10_000).alias("q")).head().q
-        before = df.where(F.col(column) < a).count()
-        upto = df.where(F.col(column) <= b).count()
-        if not before < rank <= upto or (a, b) == (low, high):
-            break
-        low, high, below = a, b, before
+        if (a, b) == (low, high):  # the sketch can't part them: halve the range
+            b = (low + high) // 2
+        before, upto = below + inside.where(F.col(column) < a).count(), below + inside.where(F.col(column) <= b).count()
+        if rank <= before:
+            high = a - 1
+        elif rank > upto:
+            low, below = b + 1, upto
+        else:
+            low, high, below = a, b, before
     counts = inside.groupBy(column).agg(F.count("*").alias("n")).orderBy(column)
     for row in counts.collect():  # at most `most` values
         below += row.n

@@ -5,10 +5,12 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
+from pyspark.sql import Window as W
 
 from ..functions.predicates import Ordering, Window
 from ..plans.fixpoint import reach_fixpoint, scalar_fixpoint
-from ..session import settle
+from ..session import settle, settle_partitioned
+from .edgemap import window_edges
 from .graph import TemporalGraph
 from .paths import _seeds, source_frame
 
@@ -19,15 +21,15 @@ def message_passing_arrival(graph: TemporalGraph, sources, window: Window, predi
     (source, v, arrival), and (round, messages).
     """
     predicate = predicate or graph.predicate
-    edges = settle(graph.walkable().select("src", "dst", "t_start", "t_end").repartition("src"))
+    edges = window_edges(graph.walkable())  # all edges, laid out once; only messages move
     sent = []
 
     def superstep(delta: DataFrame) -> DataFrame:
-        messages = delta.select("source", "v", "label").join(edges, F.col("v") == F.col("src"))
+        messages = edges.meet(delta.select("source", "v", "label"))
         sent.append(messages.agg(F.count("*").alias("messages")).withColumn("round", F.lit(len(sent) + 1)))
         return messages.where(window.contains() & predicate.follows_label(F.col("label"), F.col("t_start"))).select("source", F.col("dst").alias("v"), F.col("t_end").alias("label"))
 
-    found = scalar_fixpoint(_seeds(source_frame(edges.sparkSession, sources), predicate.seed(window.start)), superstep)
+    found = scalar_fixpoint(_seeds(source_frame(graph.edges.sparkSession, sources), predicate.seed(window.start)), superstep)
     counts = sent[0]
     for s in sent[1:]:
         counts = counts.unionByName(s)
@@ -49,10 +51,12 @@ def time_expanded(graph: TemporalGraph, window: Window, predicate: Ordering | No
     nodes = out.unionByName(arrive)
     copy = lambda v, t, side: F.struct(F.col(v).alias("v"), F.col(t).alias("t"), F.lit(side).alias("side"))
     travel = e.select(copy("src", "t_start", 1).alias("a"), copy("dst", "t_end", 0).alias("b")).distinct()
-    later = F.col("t") < F.col("t2") if predicate is Ordering.STRICTLY_SUCCEEDS else F.col("t") <= F.col("t2")
-    departures = out.select(F.col("v").alias("v2"), F.col("t").alias("t2"))
-    first = arrive.join(departures, (F.col("v") == F.col("v2")) & later).groupBy("v", "t").agg(F.min("t2").alias("t2"))
-    follow = out.join(departures, (F.col("v") == F.col("v2")) & (F.col("t") < F.col("t2"))).groupBy("v", "t").agg(F.min("t2").alias("t2"))
+    # the next departure of every copy, in one sweep of a vertex's times from the last to the first
+    gap = 1 if predicate is Ordering.STRICTLY_SUCCEEDS else 0
+    departs = F.min(F.when(F.col("side") == 1, F.col("t")))
+    back = W.partitionBy("v").orderBy(-F.col("t"))
+    ahead = nodes.withColumn("t2", F.when(F.col("side") == 0, departs.over(back.rangeBetween(W.unboundedPreceding, -gap))).otherwise(departs.over(back.rangeBetween(W.unboundedPreceding, -1)))).where("t2 is not null")
+    first, follow = ahead.where("side = 0"), ahead.where("side = 1")
     wait = first.select(copy("v", "t", 0).alias("a"), copy("v", "t2", 1).alias("b")).unionByName(follow.select(copy("v", "t", 1).alias("a"), copy("v", "t2", 1).alias("b")))
     return nodes, travel.unionByName(wait)
 
@@ -60,7 +64,7 @@ def time_expanded(graph: TemporalGraph, window: Window, predicate: Ordering | No
 def time_expanded_arrival(graph: TemporalGraph, sources, window: Window, predicate: Ordering | None = None) -> DataFrame:
     """(source, v, arrival) by a static search of the expanded graph."""
     nodes, arcs = time_expanded(graph, window, predicate)
-    nodes, arcs = settle(nodes), settle(arcs.repartition("a"))
+    nodes, arcs = settle(nodes), settle_partitioned(arcs, int(graph.edges.sparkSession.conf.get("spark.sql.shuffle.partitions")), "a")
     src = source_frame(arcs.sparkSession, sources)
     begin = src.join(nodes.where("side = 1"), F.col("source") == F.col("v")).groupBy("source", "v", "side").agg(F.min("t").alias("t"))
     seed = begin.select("source", F.struct("v", "t", "side").alias("at"))

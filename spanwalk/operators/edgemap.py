@@ -36,14 +36,14 @@ class FrontierEdges:
         return salted.join(self.df, (F.col("v") == F.col(self.key)) & (F.col("__salt") == F.col("__own"))).drop("__salt", "__own")
 
 
-def window_edges(edges: DataFrame, direction: str = "out", columns: tuple[str, ...] = ("src", "dst", "t_start", "t_end"), hub_rows: int = HUB_ROWS) -> FrontierEdges:
-    """Lay the edges out for lookups by `src` (direction "out") or `dst` ("in")."""
+def window_edges(edges: DataFrame, direction: str = "out", columns: tuple[str, ...] = ("src", "dst", "t_start", "t_end"), hub_rows: int = HUB_ROWS, partitions: int | None = None) -> FrontierEdges:
+    """Lay the edges out for lookups by `src` (direction "out") or `dst` ("in"); `partitions` fixes their number."""
     key = "src" if direction == "out" else "dst"
     rows = edges.select(*columns)
     sizes = rows.groupBy(F.col(key).alias("v")).agg(F.count("*").alias("m"))
     total, most = sizes.agg(F.coalesce(F.sum("m"), F.lit(0)), F.coalesce(F.max("m"), F.lit(0))).head()
     usual = int(edges.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    partitions = min(math.ceil(total / SMALL_ROWS), max(usual, math.ceil(total / PARTITION_ROWS)))
+    partitions = partitions or min(math.ceil(total / SMALL_ROWS), max(usual, math.ceil(total / PARTITION_ROWS)))
     if most <= hub_rows:
         return FrontierEdges(settle_partitioned(rows, partitions, key), key, None)
     hubs = settle(sizes.where(F.col("m") > hub_rows).select("v", F.ceil(F.col("m") / hub_rows).cast("int").alias("salts")))

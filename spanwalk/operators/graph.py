@@ -107,10 +107,10 @@ class TemporalGraph:
 
 
 def with_edge_ids(edges: DataFrame) -> DataFrame:
-    """A content-derived id; equal edges are told apart by their number among equals."""
+    """A content-derived id of two hashes (128 bits) and the edge's number among equal ones."""
     content = [c for c in COLUMNS if c in edges.columns]
     nth = F.row_number().over(W.partitionBy(*content).orderBy(F.lit(0)))
-    return edges.withColumn("edge_id", F.xxhash64(*content, nth))
+    return edges.withColumn("edge_id", F.struct(F.xxhash64(*content).alias("h1"), F.xxhash64(F.lit("second"), *content).alias("h2"), nth.alias("nth")))
 
 
 def vertex_map(vertices: VertexSet, properties: DataFrame, keep: Column, updates: dict[str, Column] | None = None) -> DataFrame:

@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.predicates import Ordering, Window
-from ..session import settle
+from ..session import settle, settle_partitioned
 from .graph import TemporalGraph, with_edge_ids
 
 
@@ -18,7 +18,8 @@ def match_pattern(graph: TemporalGraph, pattern: list[tuple[str, str]], window:
     Edges of a match are distinct. Joins go left-deep in the given order, each on the variables
     that it shares with what is bound already; predicates are residual range conditions.
     """
-    edges = settle(with_edge_ids(graph.restrict(window).walkable().select("src", "dst", "t_start", "t_end")).repartition("src"))
+    rows_by_src = with_edge_ids(graph.restrict(window).walkable().select("src", "dst", "t_start", "t_end"))
+    edges = settle_partitioned(rows_by_src, int(rows_by_src.sparkSession.conf.get("spark.sql.shuffle.partitions")), "src")
     bound: list[str] = []
     rows = None
     for k, (a, b) in enumerate(pattern):

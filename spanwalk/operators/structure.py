@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
 from ..functions.predicates import Ordering, Window
-from ..session import settle
+from ..session import release, settle, settle_laid, settle_partitioned
+from .edgemap import FrontierEdges, window_edges
 from .graph import TemporalGraph, with_edge_ids
 
 
@@ -18,29 +19,48 @@ def _incidences(graph: TemporalGraph, window: Window, degree: str) -> DataFrame:
     return both if degree == "edges" else both.where("u <> v").distinct()
 
 
+def _partitions(df: DataFrame) -> int:
+    return int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+
+
+def _laid(pairs: DataFrame) -> FrontierEdges:
+    """Pairs (v, u) laid out by v once, hubs dealt out."""
+    return window_edges(pairs.select(F.col("v").alias("src"), F.col("u").alias("dst")), columns=("src", "dst"), partitions=_partitions(pairs))
+
+
 def k_core(graph: TemporalGraph, window: Window, k: int, degree: str = "edges") -> DataFrame:
-    """(v) of the largest part in which every vertex has degree k or more: peeled to a fixpoint."""
-    ends = settle(_incidences(graph, window, degree).repartition("v"))
+    """(v) of the largest part in which every vertex has degree k or more: peeled to a fixpoint.
+
+    Degrees are kept by vertex; a round moves the pairs of the vertices peeled in it, and each
+    vertex is peeled once, so all rounds together move every pair at most once.
+    """
+    ends = _laid(_incidences(graph, window, degree))
+    left = settle_laid(ends.df.groupBy(F.col("src").alias("v")).agg(F.count("*").alias("d")))
     while True:
-        weak = settle(ends.groupBy("v").agg(F.count("*").alias("d")).where(F.col("d") < k).select("v"))
+        weak = left.where(F.col("d") < k).select("v")
         if weak.isEmpty():
-            return ends.select("v").distinct()
-        ends = settle(ends.join(weak, "v", "left_anti").join(weak.withColumnRenamed("v", "u"), "u", "left_anti").select("v", "u"))
+            return left.select("v")
+        lost = ends.meet(weak).groupBy(F.col("dst").alias("v")).agg(F.count("*").alias("lost"))
+        new = settle_laid(left.where(F.col("d") >= k).join(lost, "v", "left").select("v", (F.col("d") - F.coalesce("lost", F.lit(0))).alias("d")))
+        release(left)
+        left = new
 
 
 def coreness(graph: TemporalGraph, window: Window, degree: str = "edges") -> DataFrame:
     """(v, coreness): every vertex takes the h-index of its neighbours' values, from its degree down.
 
-    Only counts by (v, value) are kept for a vertex, never its list of neighbours.
+    Only counts by (v, value) are kept for a vertex, never its list of neighbours; pairs stay
+    where they are, a round moves values and those counts.
     """
-    ends = settle(_incidences(graph, window, degree).repartition("u"))
-    value = settle(ends.groupBy("v").agg(F.count("*").alias("c")))
+    ends = _laid(_incidences(graph, window, degree))
+    value = settle_laid(ends.df.groupBy(F.col("src").alias("v")).agg(F.count("*").alias("c")))
     while True:
-        seen = ends.join(value.select(F.col("v").alias("u"), F.col("c").alias("cu")), "u").join(value, "v")
-        counts = seen.groupBy("v", "c", F.least("c", "cu").alias("x")).agg(F.count("*").alias("n"))
+        told = ends.meet(value.withColumnRenamed("c", "cu")).groupBy(F.col("dst").alias("v"), "cu").agg(F.count("*").alias("n"))
+        counts = told.join(value, "v").groupBy("v", "c", F.least("c", "cu").alias("x")).agg(F.sum("n").alias("n"))
         at_least = F.sum("n").over(W.partitionBy("v").orderBy(F.desc("x")))
         new = counts.withColumn("at_least", at_least).groupBy("v").agg(F.first("c").alias("old"), F.max(F.least("x", "at_least")).alias("c"))
-        new = settle(new)
+        new = settle_laid(new)
+        release(value)
         value = new.select("v", "c")
         if new.where("c < old").isEmpty():
             return value.select("v", F.col("c").alias("coreness"))
@@ -49,22 +69,29 @@ def coreness(graph: TemporalGraph, window: Window, degree: str = "edges") -> Dat
 def pagerank(graph: TemporalGraph, window: Window, damping: float = 0.85, max_iter: int = 100, tol: float | None = None, weighted: bool = False) -> DataFrame:
     """(v, rank) over the window's edges; mass of vertices without out-edges is spread evenly.
 
-    Parallel edges are folded into transition shares once; a round moves only ranks.
+    Parallel edges are folded into transition shares and laid out by tail once; ranks are kept in
+    the same partitions, so a round moves only partial sums of the flow.
     """
     e = graph.restrict(window).walkable()
+    parts = _partitions(e)
     amount = F.sum("weight") if weighted else F.count("*")
-    pairs = e.groupBy("src", "dst").agg(amount.cast("double").alias("w"))
-    shares = settle(pairs.join(pairs.groupBy("src").agg(F.sum("w").alias("all")), "src").select("src", "dst", (F.col("w") / F.col("all")).alias("p")).repartition("src"))
-    nodes = settle(shares.select(F.explode(F.array("src", "dst")).alias("v")).distinct().join(shares.select(F.col("src").alias("v"), F.lit(True).alias("out")).distinct(), "v", "left"))
+    pairs = settle(e.groupBy("src", "dst").agg(amount.cast("double").alias("w")))
+    shares = window_edges(pairs.join(pairs.groupBy("src").agg(F.sum("w").alias("all")), "src").select("src", "dst", (F.col("w") / F.col("all")).alias("p")), columns=("src", "dst", "p"), partitions=parts)
+    nodes = shares.df.groupBy(F.col("src").alias("v")).agg(F.lit(True).alias("out")).unionByName(shares.df.select(F.col("dst").alias("v"), F.lit(None).cast("boolean").alias("out")))
+    nodes = settle_laid(nodes.groupBy("v").agg(F.max("out").alias("out")))
+    release(pairs)
     n = nodes.count()
-    rank = settle(nodes.select("v", "out", F.lit(1.0 / max(1, n)).alias("rank")))
+    rank = settle_partitioned(nodes.select("v", "out", F.lit(1.0 / max(1, n)).alias("rank")), parts, "v")
+    loose = rank.where("out is null").agg(F.sum("rank")).head()[0] or 0.0
     for _ in range(max_iter):
-        loose = rank.where("out is null").agg(F.coalesce(F.sum("rank"), F.lit(0.0)).alias("loose"))
-        flow = rank.join(shares, F.col("v") == F.col("src")).groupBy(F.col("dst").alias("v")).agg(F.sum(F.col("rank") * F.col("p")).alias("inflow"))
-        new = rank.withColumnRenamed("rank", "old").join(flow, "v", "left").crossJoin(F.broadcast(loose))
-        new = settle(new.select("v", "out", "old", ((1 - damping) / n + damping * (F.coalesce("inflow", F.lit(0.0)) + F.col("loose") / n)).alias("rank")))
+        flow = shares.meet(rank.where("out").select("v", "rank")).groupBy(F.col("dst").alias("v")).agg(F.sum(F.col("rank") * F.col("p")).alias("inflow"))
+        new = rank.withColumnRenamed("rank", "old").join(flow, "v", "left")
+        new = settle_laid(new.select("v", "out", "old", ((1 - damping) / max(1, n) + damping * (F.coalesce("inflow", F.lit(0.0)) + F.lit(loose / max(1, n)))).alias("rank")))
+        release(rank)
         rank = new.drop("old")
-        if tol is not None and (new.agg(F.sum(F.abs(F.col("rank") - F.col("old")))).head()[0] or 0.0) < tol:
+        loose, moved = new.agg(F.sum(F.when(F.col("out").isNull(), F.col("rank"))), F.sum(F.abs(F.col("rank") - F.col("old")))).head()
+        loose = loose or 0.0
+        if tol is not None and (moved or 0.0) < tol:
             break
     return rank.select("v", "rank")
 
@@ -81,10 +108,12 @@ def betweenness(graph: TemporalGraph, window: Window, sources: DataFrame | None
     edges = graph.restrict(window).walkable().select("src", "dst", "t_start", "t_end")
     if not edges.where("t_end <= t_start").isEmpty():
         raise ValueError("betweenness needs edges of positive duration")
-    edges = settle(with_edge_ids(edges).withColumn("d", F.col("t_end") - F.col("t_start")).repartition("src"))
-    a = edges.select(F.col("edge_id").alias("p"), F.col("dst").alias("at"), F.col("t_start").alias("p_start"), F.col("t_end").alias("p_end"))
-    follows = (F.col("at") == F.col("src")) & predicate.column("p_start", "p_end", "t_start", "t_end") & (F.col("p") != F.col("edge_id"))
-    next_to = settle(a.join(edges, follows).select("p", F.col("edge_id").alias("e"), "d").repartition("p"))
+    laid = window_edges(settle(with_edge_ids(edges).withColumn("d", F.col("t_end") - F.col("t_start"))), columns=("src", "dst", "t_start", "t_end", "edge_id", "d"), partitions=_partitions(edges))
+    edges = laid.df.select("src", "dst", "t_start", "t_end", "edge_id", "d")
+    a = edges.select(F.col("edge_id").alias("p"), F.col("dst").alias("v"), F.col("t_start").alias("p_start"), F.col("t_end").alias("p_end"))
+    follows = predicate.column("p_start", "p_end", "t_start", "t_end") & (F.col("p") != F.col("edge_id"))
+    # successions are found at hubs salt by salt and laid out by the edge they follow
+    next_to = settle_partitioned(laid.meet(a).where(follows).select("p", F.col("edge_id").alias("e"), "d"), _partitions(edges), "p")
     some = edges.select(F.col("src").alias("source")).distinct() if sources is None else sources.select(F.col(sources.columns[0]).alias("source"))
     first = some.join(edges, F.col("source") == F.col("src")).select("source", F.col("edge_id").alias("e"), F.col("d").alias("cost"))
     best = settle(first)

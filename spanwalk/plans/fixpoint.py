@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from ..session import settle
+from ..session import release, settle
 
 COMPACT = 8
 
@@ -32,7 +32,7 @@ def scalar_fixpoint(seed: DataFrame, step: Callable[[DataFrame], DataFrame], lar
     best = F.max if largest else F.min
     better = (lambda new, old: new > old) if largest else (lambda new, old: new < old)
     delta = settle(seed.select("source", "v", "label").withColumns({"round": F.lit(0), "settled": F.lit(0)}))
-    parts, n = [delta], 0
+    parts, n, compacted = [delta], 0, None
     sign = -1 if largest else 1
 
     def compact(frames: list[DataFrame]) -> DataFrame:
@@ -50,6 +50,8 @@ def scalar_fixpoint(seed: DataFrame, step: Callable[[DataFrame], DataFrame], lar
         parts.append(delta)
         if len(parts) > COMPACT:
             parts = [settle(compact(parts))]
+            release(compacted)
+            compacted = parts[0]
         if stop is not None and stop(_union(parts)):
             break
     return compact(parts)
@@ -63,23 +65,32 @@ def pareto(df: DataFrame, keys: list[str], x: str = "x", y: str = "y") -> DataFr
 
 
 def pareto_fixpoint(seed: DataFrame, step: Callable[[DataFrame], DataFrame]) -> DataFrame:
-    """(source, v, x, y): for each key all labels that none dominates."""
+    """(source, v, x, y): for each key all labels that none dominates.
+
+    Rounds append what no earlier label dominates; labels that a later one dominates stay until
+    the parts are compacted and do no harm.
+    """
     keys = ["source", "v"]
     delta = settle(pareto(seed.select("source", "v", "x", "y").distinct(), keys))
-    state = delta
-    while not delta.isEmpty():
+    parts, compacted = [delta], None
+    while True:
         found = pareto(step(delta).distinct(), keys)
-        old = state.select(F.col("source").alias("s0"), F.col("v").alias("v0"), F.col("x").alias("x0"), F.col("y").alias("y0"))
+        old = _union(parts).select(F.col("source").alias("s0"), F.col("v").alias("v0"), F.col("x").alias("x0"), F.col("y").alias("y0"))
         fresh = found.join(old, (F.col("source") == F.col("s0")) & (F.col("v") == F.col("v0")) & (F.col("x0") <= F.col("x")) & (F.col("y0") <= F.col("y")), "left_anti")
         delta = settle(fresh)
-        state = settle(pareto(state.unionByName(delta), keys))
-    return state
+        if delta.isEmpty():
+            return settle(pareto(_union(parts), keys))
+        parts.append(delta)
+        if len(parts) > COMPACT:
+            parts = [settle(pareto(_union(parts), keys))]
+            release(compacted)
+            compacted = parts[0]
 
 
 def reach_fixpoint(seed: DataFrame, step: Callable[[DataFrame], DataFrame], keys: list[str], max_rounds: int | None = None) -> DataFrame:
     """(keys, round): every state reached, each once, with the first round that reached it."""
     delta = settle(seed.select(*keys).distinct().withColumn("round", F.lit(1)))
-    parts, n = [delta], 1
+    parts, n, compacted = [delta], 1, None
     while not delta.isEmpty() and (max_rounds is None or n < max_rounds):
         n += 1
         fresh = step(delta).select(*keys).distinct().join(_union(parts).select(*keys), keys, "left_anti")
@@ -87,4 +98,6 @@ def reach_fixpoint(seed: DataFrame, step: Callable[[DataFrame], DataFrame], keys
         parts.append(delta)
         if len(parts) > COMPACT:
             parts = [settle(_union(parts))]
+            release(compacted)
+            compacted = parts[0]
     return _union(parts)

@@ -253,6 +253,13 @@ def m08(spark, sf):
     return structure.betweenness(g, w).select("v", F.round("score", 6).alias("score"))
 
 
+@query("m08a_bc_given_sources", t.betweenness("relay", 0.03, "src <> dst", "src % 5 = 0"))
+def m08a_given(spark, sf):
+    g, w, _ = setting(spark, sf, "relay", 0.03, where="src <> dst")
+    given = g.edges.where("src % 5 = 0").select(F.col("src").alias("source")).distinct()
+    return structure.betweenness(g, w, given).select("v", F.round("score", 6).alias("score"))
+
+
 @query("m08a_sampled_bc")
 def m08a(spark, sf):
     g, w, _ = setting(spark, sf, "relay", 0.03, where="src <> dst")
@@ -305,7 +312,7 @@ def m11_triangle(spark, sf):
 
 
 @query("m11_pattern_basket", f"""WITH {t.base('basket', 0.03)} SELECT a.src AS x, a.dst AS y, b.dst AS z, a.t_start AS s0, a.t_end AS e0, b.t_start AS s1, b.t_end AS e1
-  FROM ew AS a JOIN ew AS b ON a.dst = b.src AND a.t_end < b.t_start WHERE a.src <> b.dst AND a.src <> a.dst AND b.src <> b.dst AND b.t_end - a.t_start <= 40""")
+  FROM (SELECT * FROM ew WHERE t_end - t_start <= 40) AS a JOIN (SELECT * FROM ew WHERE t_end - t_start <= 40) AS b ON a.dst = b.src AND a.t_end < b.t_start WHERE a.src <> b.dst AND a.src <> a.dst AND b.src <> b.dst AND b.t_end - a.t_start <= 40""")
 def m11_basket(spark, sf):
     g, w, _ = setting(spark, sf, "basket", 0.03)
     return patterns.match_pattern(g, [("x", "y"), ("y", "z")], w, [(0, 1, STRICT)], 40)
@@ -437,15 +444,26 @@ def x09(spark, sf):
     return h.cells.withColumnRenamed("by", "by_cell")
 
 
-def _estimate_sql(share: str, digits: int = 4) -> str:
-    left = "greatest(s0, least(s1, CAST(a AS DOUBLE)))"
-    return f"""WITH {t.base('nations')}, {_HIST},
+def _corner(x: str) -> str:
+    """Area of the triangle that the line start + duration = b cuts off above a corner at distance x before it."""
+    return f"power(greatest({x}, 0.0), 2) / 2"
+
+
+#: Expected share of a cell inside [a, b] from areas: the triangle at the lower left corner less those beyond the right and upper sides.
+_SHARE = f"""CASE WHEN s1 = s0 AND d1 = d0 THEN CASE WHEN s0 >= a AND s0 + d0 <= b THEN 1.0 ELSE 0.0 END
+  WHEN s1 = s0 THEN CASE WHEN s0 >= a THEN greatest(0.0, least(1.0, (b - s0 - d0) / (d1 - d0))) ELSE 0.0 END
+  WHEN d1 = d0 THEN greatest(0.0, least(s1, b - d0) - greatest(s0, a)) / (s1 - s0)
+  WHEN s1 <= a THEN 0.0 ELSE ({_corner('b - greatest(s0, a) - d0')} - ({_corner('b - s1 - d0')}) - ({_corner('b - greatest(s0, a) - d1')}) + {_corner('b - s1 - d1')}) / ((s1 - s0) * (d1 - d0)) END"""
+
+
+def _estimate_sql(share: str, digits: int = 4, window: float = 0.05, cutoff: int = 1000) -> str:
+    return f"""WITH {t.base('nations', window)}, {_HIST.replace(">= 1000", f">= {cutoff}")},
       c AS (SELECT v, m, n, ta AS a, tb AS b, s_lo + (s_hi - s_lo) * CAST(bx AS DOUBLE) / 100 AS s0, s_lo + (s_hi - s_lo) * CAST(bx + 1 AS DOUBLE) / 100 AS s1, d_lo + (d_hi - d_lo) * CAST(by_ AS DOUBLE) / 100 AS d0, d_lo + (d_hi - d_lo) * CAST(by_ + 1 AS DOUBLE) / 100 AS d1 FROM cells JOIN meta USING (v), w),
-      q AS (SELECT *, {left} AS l, d1 - d0 AS h, greatest({left}, least(s1, b - d1)) AS u1, greatest({left}, least(s1, b - d0)) AS u2 FROM c)
-      SELECT v, a, b, m, round(sum(n * CAST({share} AS DOUBLE)), {digits}) AS k_hat FROM q GROUP BY v, a, b, m"""
+      q AS (SELECT v, m, n, CAST(a AS DOUBLE) AS a, CAST(b AS DOUBLE) AS b, s0, s1, d0, d1 FROM c)
+      SELECT v, CAST(a AS BIGINT) AS a, CAST(b AS BIGINT) AS b, m, round(sum(n * CAST({share} AS DOUBLE)), {digits}) AS k_hat FROM q GROUP BY v, a, b, m"""
 
 
-for _cell, _share in (("uniform", histogram.covered()), ("full", "CASE WHEN s1 >= a AND s0 + d0 <= b THEN 1.0 ELSE 0.0 END"), ("none", "CASE WHEN s0 >= a AND s1 + d1 <= b THEN 1.0 ELSE 0.0 END")):
+for _cell, _share in (("uniform", _SHARE), ("full", "CASE WHEN s1 >= a AND s0 + d0 <= b THEN 1.0 ELSE 0.0 END"), ("none", "CASE WHEN s0 >= a AND s1 + d1 <= b THEN 1.0 ELSE 0.0 END")):
     def _estimate(spark, sf, cell=_cell):
         g, w, _ = setting(spark, sf, "nations")
         indexed = index.select_indexed_vertices(g.edges, 1000)
@@ -455,11 +473,14 @@ for _cell, _share in (("uniform", histogram.covered()), ("full", "CASE WHEN s1 >
     query(f"x09a_estimate_{_cell}", _estimate_sql(_share))(_estimate)
 
 
-@query("x09b_prefix_counts", f"WITH {t.base('nations')}, {_HIST} SELECT v, max(n_upto) AS whole FROM (SELECT v, CAST(sum(n) OVER (PARTITION BY v) AS BIGINT) AS n_upto FROM cells) AS z GROUP BY v")
+@query("x09b_prefix_counts", f"""WITH {t.base('nations')}, {_HIST}, grid AS (SELECT * FROM (SELECT DISTINCT v, bx FROM cells) AS r JOIN (SELECT DISTINCT v, by_ FROM cells) AS c USING (v)),
+  filled AS (SELECT grid.v, grid.bx, grid.by_, coalesce(n, 0) AS n FROM grid LEFT JOIN cells ON cells.v = grid.v AND cells.bx = grid.bx AND cells.by_ = grid.by_),
+  down AS (SELECT v, bx, by_, sum(n) OVER (PARTITION BY v, by_ ORDER BY bx ROWS UNBOUNDED PRECEDING) AS n FROM filled)
+  SELECT v, bx, by_ AS by_cell, CAST(sum(n) OVER (PARTITION BY v, bx ORDER BY by_ ROWS UNBOUNDED PRECEDING) AS BIGINT) AS upto FROM down""")
 def x09b(spark, sf):
     g, _, _ = setting(spark, sf, "nations")
-    h = histogram.build_histogram(g.edges, index.select_indexed_vertices(g.edges, 1000), bins=20)
-    return histogram.prefix_counts(h).groupBy("v").agg(F.max("upto").alias("whole"))
+    h = histogram.build_histogram(g.edges, index.select_indexed_vertices(g.edges, 1000))
+    return histogram.prefix_counts(h).withColumnRenamed("by", "by_cell")
 
 
 @query("x08_access_choice", f"""WITH {t.base('nations', 0.1)}, k AS (SELECT src AS v, count(*) AS m, count(*) FILTER (WHERE t_start >= ta AND t_end <= tb) AS k FROM edges, w GROUP BY src)
@@ -469,6 +490,13 @@ def x08(spark, sf):
     return access.explain_access(g, access.plan_access(g, 2000), w).select("v", "access")
 
 
+@query("x08_cost_choice", f"""WITH {t.base('nations', 0.1)}, k AS (SELECT src AS v, count(*) AS m, count(*) FILTER (WHERE t_start >= ta AND t_end <= tb) AS k FROM edges, w GROUP BY src)
+  SELECT v, CASE WHEN m >= 1000 AND 9 * (log2(m) + k) < m THEN 'index' ELSE 'scan' END AS access FROM k""")
+def x08_cost(spark, sf):
+    g, w, _ = setting(spark, sf, "nations", 0.1)
+    return access.explain_access(g, access.plan_access(g, 1000, mode="cost", c=9.0), w, "oracle").select("v", "access")
+
+
 _CUTS = [500, 1000, 2000, 4000]
 
 
@@ -494,7 +522,22 @@ for _n, _mode in (("b01_scan", "scan"), ("b02_index", "index"), ("b03_oracle", "
     query(_n, t.arrival("nations", "strictly_succeeds"))(_access)
 
 _paths("b06_messages", lambda g, s, w: baselines.message_passing_arrival(g, s, w)[0], t.arrival("relay", "strictly_succeeds"), "relay")
-_paths("b06_message_counts", lambda g, s, w: baselines.message_passing_arrival(g, s, w)[1], None, "relay")
+_paths("b06_message_counts", lambda g, s, w: baselines.message_passing_arrival(g, s, w)[1], f"""WITH RECURSIVE {t.base('relay')}, o AS (SELECT src AS v, count(*) AS m FROM edges GROUP BY src),
+  vs AS (SELECT src AS v FROM edges UNION SELECT dst FROM edges),
+  st(it, v, label, fresh) AS (SELECT 0, v, CASE WHEN v IN (SELECT source FROM s) THEN ta - 1 END, v IN (SELECT source FROM s) FROM vs, w
+    UNION ALL (WITH c AS (SELECT ew.dst AS v, min(ew.t_end) AS label FROM st JOIN ew ON ew.src = st.v AND ew.t_start > st.label WHERE st.fresh GROUP BY ew.dst)
+      SELECT st.it + 1, st.v, least(st.label, c.label), coalesce(c.label < coalesce(st.label, c.label + 1), FALSE) FROM st LEFT JOIN c ON c.v = st.v WHERE EXISTS (SELECT 1 FROM st AS f WHERE f.fresh)))
+  SELECT it + 1 AS round, CAST(coalesce(sum(m), 0) AS BIGINT) AS messages FROM st LEFT JOIN o USING (v) WHERE fresh GROUP BY it""", "relay")
+for _n, _method, _twin in (
+    ("m02_ld_trade_auto", paths.latest_departure, t.departure("trade", "strictly_succeeds")), ("m03_fastest_trade_auto", paths.fastest, t.fastest("trade", "strictly_succeeds")),
+    ("m04_short_trade_auto", paths.shortest_duration, t.shortest("trade", "strictly_succeeds")), ("m05_bfs_trade_auto", paths.temporal_bfs, t.hops("trade", "strictly_succeeds")),
+):
+    def _by_choice(spark, sf, method=_method):
+        """Vertices of 80 edges and more are indexed; a theta between their selectivities sends some to the index and some to a scan."""
+        g, w, s = setting(spark, sf, "trade")
+        return method(g, s, w, access="auto", plan=access.plan_access(g, 80, theta=0.02, directions=("out", "in") if method is paths.latest_departure else ("out",)))
+
+    query(_n, _twin)(_by_choice)
 for _k, _short in ((STRICT, "strict"), (SUCCEEDS, "succeeds")):
     _paths(f"b07_time_expanded_{_short}", baselines.time_expanded_arrival, t.arrival("relay", _k.value), "relay", predicate=_k)
     _paths(f"b08_one_pass_{_short}", baselines.one_pass_arrival, t.arrival("trade", _k.value, 0.05, 10), "trade", 0.05, 10, predicate=_k)
@@ -507,7 +550,17 @@ def c06(spark, sf):
     return metrics.decision_accuracy(g, access.plan_access(g, 1000), w).select((F.col("tp") + F.col("fn")).alias("should_use"))
 
 
-@query("c06_accuracy_sweep")
+def _accuracy_sql(cutoff: int, share: float) -> str:
+    """Decisions from independent estimates against counts."""
+    return f"""SELECT {cutoff} AS cutoff, {share}::DOUBLE AS share, count(*) FILTER (WHERE did AND should) AS tp, count(*) FILTER (WHERE NOT did AND NOT should) AS tn, count(*) FILTER (WHERE did AND NOT should) AS fp, count(*) FILTER (WHERE NOT did AND should) AS fn,
+      round(avg(CASE WHEN did = should THEN 1.0 ELSE 0.0 END), 6) AS accuracy FROM (SELECT e.k_hat / e.m <= 0.2 AS did, k.k::DOUBLE / e.m <= 0.2 AS should FROM ({_estimate_sql(_SHARE, 9, share, cutoff)}) AS e
+      JOIN (WITH {t.base('nations', share)} SELECT src AS v, count(*) FILTER (WHERE t_start >= ta AND t_end <= tb) AS k FROM edges, w GROUP BY src) AS k ON k.v = e.v) AS z"""
+
+
+_SWEEP = [(c, x) for c in (1000, 2000, 4000) for x in (0.005, 0.05, 0.2)]
+
+
+@query("c06_accuracy_sweep", " UNION ALL ".join(f"({_accuracy_sql(c, x)})" for c, x in _SWEEP))
 def c06_sweep(spark, sf):
     """(cutoff, share, accuracy...) over cutoffs and windows."""
     edges = settle(load_graph(spark, sf, "nations"))
@@ -515,13 +568,13 @@ def c06_sweep(spark, sf):
     for cutoff in (1000, 2000, 4000):
         plan = access.plan_access(g, cutoff)
         for share in (0.005, 0.05, 0.2):
-            row = metrics.decision_accuracy(g, plan, window_recent(edges, share)).select(F.lit(cutoff).alias("cutoff"), F.lit(share).alias("share"), "*")
+            row = metrics.decision_accuracy(g, plan, window_recent(edges, share)).select(F.lit(cutoff).alias("cutoff"), F.lit(share).alias("share"), "tp", "tn", "fp", "fn", F.round("accuracy", 6).alias("accuracy"))
             out = row if out is None else out.unionByName(row)
     return out
 
 
 @query("c07_estimate_error", f"""WITH {t.base('nations')}, k AS (SELECT src AS v, count(*) FILTER (WHERE t_start >= ta AND t_end <= tb) AS k FROM edges, w GROUP BY src)
-  SELECT e.v, e.m, k.k, round(e.k_hat, 3) AS k_hat, round(abs(e.k_hat - k.k) / e.m, 5) AS error, round(greatest(greatest(k.k, 1) / greatest(e.k_hat, 1), greatest(e.k_hat, 1) / greatest(k.k, 1)), 4) AS q_error FROM ({_estimate_sql(histogram.covered(), 12)}) AS e JOIN k ON k.v = e.v""")
+  SELECT e.v, e.m, k.k, round(e.k_hat, 3) AS k_hat, round(abs(e.k_hat - k.k) / e.m, 5) AS error, round(greatest(greatest(k.k, 1) / greatest(e.k_hat, 1), greatest(e.k_hat, 1) / greatest(k.k, 1)), 4) AS q_error FROM ({_estimate_sql(_SHARE, 12)}) AS e JOIN k ON k.v = e.v""")
 def c07(spark, sf):
     g, w, _ = setting(spark, sf, "nations", 0.05)
     rows = metrics.estimate_error(g, access.plan_access(g, 1000), w)

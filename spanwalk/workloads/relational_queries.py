@@ -44,11 +44,11 @@ for _kind in ("parquet", "orc", "csv", "json", "text"):
     query(f"o_source_{_kind}", f"SELECT src, count(*) AS m, CAST(sum(t_end) AS BIGINT) AS ends FROM ({_RELAY}) AS g GROUP BY src")(_round_trip)
 
 
-@query("o_sink_slices", f"SELECT src, dst, t_start, t_end FROM ({_TRADE}) AS g WHERE t_start >= 9000 AND t_start < 9100")
+@query("o_sink_slices", f"SELECT src, dst, t_start, t_end FROM ({_TRADE}) AS g WHERE t_start >= 9900 AND t_start < 10000")
 def o_sink_slices(spark, sf):
     path = _scratch(spark)
     write_edges(load_graph(spark, sf, "trade"), path, slice_width=100)
-    return spark.read.parquet(path).where("slice = 90 and t_start >= 9000 and t_start < 9100").select("src", "dst", "t_start", "t_end")
+    return spark.read.parquet(path).where("slice = 99 and t_start >= 9900 and t_start < 10000").select("src", "dst", "t_start", "t_end")
 
 
 @query("o_sink_bucketed", f"SELECT src, count(*) AS m FROM ({_TRADE}) AS g GROUP BY src")
@@ -106,9 +106,9 @@ def o_isolated(spark, sf):
 
 # ---- aggregation ----------------------------------------------------------------------------
 
-@query("o_aggregates", f"SELECT src, count(*) AS m, count(DISTINCT dst) AS neighbours, min(t_start) AS first, max(t_end) AS last, arg_max(dst, t_start) AS latest, round(avg(weight), 4) AS mean_weight FROM ({_RELAY}) AS g GROUP BY src")
+@query("o_aggregates", f"SELECT src, count(*) AS m, count(DISTINCT dst) AS neighbours, min(t_start) AS first, max(t_end) AS last, arg_max(dst, t_start) AS latest, CAST(sum(CAST(round(weight * 100) AS BIGINT)) AS BIGINT) AS cents, round(CAST(sum(CAST(round(weight * 100) AS BIGINT)) AS BIGINT) / (count(*) * 100), 4) AS mean_weight FROM ({_RELAY}) AS g GROUP BY src")
 def o_aggregates(spark, sf):
-    return load_graph(spark, sf, "relay").groupBy("src").agg(F.count("*").alias("m"), F.countDistinct("dst").alias("neighbours"), F.min("t_start").alias("first"), F.max("t_end").alias("last"), F.max_by("dst", "t_start").alias("latest"), F.round(F.avg("weight"), 4).alias("mean_weight"))
+    return load_graph(spark, sf, "relay").groupBy("src").agg(F.count("*").alias("m"), F.countDistinct("dst").alias("neighbours"), F.min("t_start").alias("first"), F.max("t_end").alias("last"), F.max_by("dst", "t_start").alias("latest"), F.sum(F.round(F.col("weight") * 100).cast("long")).alias("cents"), F.round(F.sum(F.round(F.col("weight") * 100).cast("long")) / (F.count("*") * 100), 4).alias("mean_weight"))
 
 
 @query("o_approx_distinct")
@@ -228,6 +228,11 @@ def o_arrays_json(spark, sf):
     return packed.select("user_id", F.size("ks").cast("long").alias("n"), F.aggregate("ks", F.lit(0).cast("long"), lambda a, x: a + x).alias("k_sum"), F.array_max(F.array_sort("ks")).alias("k_max"))
 
 
+@query("o_sampling_by_id", f"SELECT src, dst, t_start, t_end FROM ({_TRADE}) AS g WHERE src % 10 = 3")
+def o_sampling_by_id(spark, sf):
+    return load_graph(spark, sf, "trade").where("src % 10 = 3").select("src", "dst", "t_start", "t_end")
+
+
 @query("o_sampling")
 def o_sampling(spark, sf):
     """The same tenth of the vertices on every run, and all their edges."""

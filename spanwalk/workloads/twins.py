@@ -100,9 +100,9 @@ def pagerank(graph: str, share: float, rounds: int) -> str:
     SELECT v, round(rank, 6) AS rank FROM r WHERE it = {rounds}"""
 
 
-def betweenness(graph: str, share: float, where: str) -> str:
+def betweenness(graph: str, share: float, where: str, from_where: str = "TRUE") -> str:
     return f"""WITH RECURSIVE {base(graph, share, 1, where)}, ids AS (SELECT row_number() OVER () AS id, * FROM ew),
-    r(s, v, t_end, cost, inner_vs) AS (SELECT src, dst, t_end, t_end - t_start, CAST([] AS BIGINT[]) FROM ids
+    r(s, v, t_end, cost, inner_vs) AS (SELECT src, dst, t_end, t_end - t_start, CAST([] AS BIGINT[]) FROM ids WHERE {from_where}
       UNION ALL SELECT r.s, i.dst, i.t_end, r.cost + i.t_end - i.t_start, list_append(r.inner_vs, r.v) FROM r JOIN ids AS i ON i.src = r.v AND i.t_start > r.t_end WHERE i.dst <> r.s AND r.v <> r.s),
     b AS (SELECT s, v, min(cost) AS cost FROM r WHERE s <> v GROUP BY s, v),
     t AS (SELECT r.s, r.v, r.inner_vs, count(*) OVER (PARTITION BY r.s, r.v) AS n FROM r JOIN b ON r.s = b.s AND r.v = b.v AND r.cost = b.cost),
