@@ -83,6 +83,13 @@ def true_matches(edges: DataFrame, asked: DataFrame, direction: str = "out") ->
     return pairs.groupBy("v", "a", "b").agg(F.sum(F.when(inside, 1).otherwise(0)).alias("k"))
 
 
+def _by_index(plan: AccessPlan) -> Column:
+    """Does the index answer, by columns m, k_hat and beta?"""
+    if plan.mode == "cost":
+        return index_cost(F.col("m"), F.col("k_hat"), plan.c) < scan_cost(F.col("m"), plan.c_scan)
+    return F.col("beta") <= plan.theta
+
+
 def choose_access(asked: DataFrame, plan: AccessPlan, how: str = "auto", edges: DataFrame | None = None, direction: str = "out") -> DataFrame:
     """(v, a, b, m, k_hat, beta, access) of distinct asked (v, a, b); m is null where v has no index."""
     asked = asked.select("v", "a", "b").distinct()
@@ -98,10 +105,7 @@ def choose_access(asked: DataFrame, plan: AccessPlan, how: str = "auto", edges:
         out = out.crossJoin(F.broadcast(total)).withColumn("beta", F.when(F.col("m").isNotNull(), F.col("__beta"))).drop("__beta")
     else:
         out = out.withColumn("beta", beta)
-    small = F.col("beta") <= plan.theta
-    if plan.mode == "cost":
-        small = index_cost(F.col("m"), F.col("k_hat"), plan.c) < scan_cost(F.col("m"), plan.c_scan)
-    use = F.lit(True) if how == "index" else small
+    use = F.lit(True) if how == "index" else _by_index(plan)
     return out.withColumn("access", F.when(F.col("m").isNotNull() & use, "index").otherwise("scan"))
 
 
@@ -133,15 +137,24 @@ def window_rows(graph: TemporalGraph, window: Window, how: str, plan: AccessPlan
     if how == "index":
         by_index, others = own.index.catalog.select("v"), None
     else:
-        asked = own.index.catalog.select("v").withColumns({"a": F.lit(window.start).cast("long"), "b": F.lit(window.end).cast("long")})
-        chosen = settle(choose_access(asked, own, how, graph.walkable(), direction).select("v", "access"))
-        by_index, others = chosen.where("access = 'index'").select("v"), chosen.where("access = 'scan'").select("v")
+        if how == "auto":  # estimates of a whole window take no joins
+            chosen = hist.estimate_window(own.histogram, window.start, window.end).withColumn("beta", F.col("k_hat") / F.col("m"))
+            chosen = chosen.withColumn("access", F.when(_by_index(own), "index").otherwise("scan"))
+        else:
+            asked = own.index.catalog.select("v").withColumns({"a": F.lit(window.start).cast("long"), "b": F.lit(window.end).cast("long")})
+            chosen = choose_access(asked, own, how, graph.walkable(), direction)
+        chosen = settle(chosen.select("v", "access"))
+        sizes = {r.access: r.n for r in chosen.groupBy("access").agg(F.count("*").alias("n")).collect()}
+        by_index = chosen.where("access = 'index'").select("v") if sizes.get("index") else None
+        others = chosen.where("access = 'scan'").select("v") if sizes.get("scan") else None
     rows = own.light.where(inside)
-    if others is None or not by_index.isEmpty():
+    if by_index is not None:
         found = idx.query_window(own.index, by_index, window.start, window.end)
         ends = (F.col("v").alias("src"), F.col("nbr").alias("dst")) if direction == "out" else (F.col("nbr").alias("src"), F.col("v").alias("dst"))
         rows = rows.unionByName(found.select(*ends, "t_start", "t_end", "weight"))
-    if others is not None and not others.isEmpty():
+    if others is not None and by_index is None:
+        rows = rows.unionByName(own.heavy.where(inside))
+    elif others is not None:
         rows = rows.unionByName(own.heavy.where(inside).join(others, F.col(key) == F.col("v"), "left_semi"))
     return rows
 

@@ -11,14 +11,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from ..session import settle
+from ..session import settle, settle_partitioned
 
 BINS = 100
 
 
 @dataclass(frozen=True)
 class Histogram:
-    columns: DataFrame  # v, bx, total, cells (array of by, n): the filled cells of a column of equal starts
+    columns: DataFrame  # v, bx, total, cells (array of by, n), and v's meta: the filled cells of a column of equal starts, laid out by v
     meta: DataFrame  # v, m, s_lo, s_hi, d_lo, d_hi
     bins: int
 
@@ -36,7 +36,7 @@ def build_histogram(edges: DataFrame, indexed: DataFrame, bins: int = BINS, orie
     cell = lambda x, lo, hi: F.expr(f"CASE WHEN {hi} = {lo} THEN 0 ELSE least({bins - 1}, ({x} - {lo}) * {bins} DIV ({hi} - {lo})) END").cast("long")
     cells = own.join(meta, "v").select("v", cell("s", "s_lo", "s_hi").alias("bx"), cell("d", "d_lo", "d_hi").alias("by")).groupBy("v", "bx", "by").agg(F.count("*").alias("n"))
     columns = cells.groupBy("v", "bx").agg(F.sum("n").alias("total"), F.array_sort(F.collect_list(F.struct("by", "n"))).alias("cells"))
-    return Histogram(settle(columns), meta, bins)
+    return Histogram(settle_partitioned(columns.join(meta, "v"), int(edges.sparkSession.conf.get("spark.sql.shuffle.partitions")), "v"), meta, bins)
 
 
 def corners(bins: int) -> list[str]:
@@ -61,6 +61,23 @@ def covered() -> str:
     )
 
 
+def _expected(columns: DataFrame, bins: int, cell: str) -> DataFrame:
+    """(v, a, b, m, k_hat) of rows of `Histogram.columns` with their (a, b)."""
+    first = F.expr(f"CASE WHEN s_hi = s_lo THEN 0 ELSE least({bins - 1}, (a - s_lo) * {bins} DIV (s_hi - s_lo)) - 1 END")
+    start, stop = corners(bins)[:2]
+    inside = columns.selectExpr("*", start, stop).withColumn("whole", (F.col("s0") < F.col("s1")) & (F.col("s0") >= F.col("a")) & (F.col("s1") + F.col("d_hi") <= F.col("b")))
+    taken = F.when(F.col("bx") < first, F.array().cast("array<struct<by:bigint,n:bigint>>")).when(F.col("whole"), F.array(F.struct(F.lit(0).cast("long").alias("by"), F.col("total").alias("n")))).otherwise(F.col("cells"))
+    parts = inside.withColumn("p", F.explode_outer(taken))
+    wide = parts.select("v", "m", "whole", "a", "b", "bx", "s_lo", "s_hi", "d_lo", "d_hi", "p.by", "p.n").selectExpr("v", "m", "n", "whole", "a", "b", *corners(bins))
+    share = wide.selectExpr("v", "m", "n", "whole", *clipped()).selectExpr("v", "m", "n", "whole", "a", "b", "s0", "s1", "d0", "d1", f"CAST({covered()} AS DOUBLE) AS share")
+    if cell == "full":
+        share = share.withColumn("share", F.when((F.col("s1") >= F.col("a")) & (F.col("s0") + F.col("d0") <= F.col("b")), 1.0).otherwise(0.0))
+    elif cell == "none":
+        share = share.withColumn("share", F.when((F.col("s0") >= F.col("a")) & (F.col("s1") + F.col("d1") <= F.col("b")), 1.0).otherwise(0.0))
+    counted = F.sum(F.when(F.col("n").isNull(), 0.0).otherwise(F.col("n") * F.when(F.col("whole"), 1.0).otherwise(F.col("share"))))
+    return share.groupBy("v", "a", "b", "m").agg(counted.alias("k_hat"))
+
+
 def estimate(histogram: Histogram, asked: DataFrame, cell: str = "uniform") -> DataFrame:
     """(v, a, b, m, k_hat): edges of v expected inside [a, b].
 
@@ -69,20 +86,12 @@ def estimate(histogram: Histogram, asked: DataFrame, cell: str = "uniform") -> D
     number, a column that lies inside the range as a whole counts by its total, and only the
     others are taken apart.
     """
-    joined = asked.select("v", "a", "b").join(histogram.meta, "v").join(histogram.columns, "v")
-    first = F.expr(f"CASE WHEN s_hi = s_lo THEN 0 ELSE least({histogram.bins - 1}, (a - s_lo) * {histogram.bins} DIV (s_hi - s_lo)) - 1 END")
-    joined = joined.where(F.col("bx") >= first)
-    start, stop = corners(histogram.bins)[:2]
-    inside = joined.selectExpr("*", start, stop).withColumn("whole", (F.col("s0") < F.col("s1")) & (F.col("s0") >= F.col("a")) & (F.col("s1") + F.col("d_hi") <= F.col("b")))
-    parts = inside.withColumn("p", F.explode(F.when(F.col("whole"), F.array(F.struct(F.lit(0).cast("long").alias("by"), F.col("total").alias("n")))).otherwise(F.col("cells"))))
-    wide = parts.select("v", "m", "whole", "a", "b", "bx", "s_lo", "s_hi", "d_lo", "d_hi", "p.by", "p.n").selectExpr("v", "m", "n", "whole", "a", "b", *corners(histogram.bins))
-    share = wide.selectExpr("v", "m", "n", "whole", *clipped()).selectExpr("v", "m", "n", "whole", "a", "b", "s0", "s1", "d0", "d1", f"CAST({covered()} AS DOUBLE) AS share")
-    if cell == "full":
-        share = share.withColumn("share", F.when((F.col("s1") >= F.col("a")) & (F.col("s0") + F.col("d0") <= F.col("b")), 1.0).otherwise(0.0))
-    elif cell == "none":
-        share = share.withColumn("share", F.when((F.col("s0") >= F.col("a")) & (F.col("s1") + F.col("d1") <= F.col("b")), 1.0).otherwise(0.0))
-    counted = share.groupBy("v", "a", "b").agg(F.sum(F.col("n") * F.when(F.col("whole"), 1.0).otherwise(F.col("share"))).alias("k_hat"))
-    return asked.select("v", "a", "b").join(histogram.meta.select("v", "m"), "v").join(counted, ["v", "a", "b"], "left").na.fill(0.0, ["k_hat"]).select("v", "a", "b", "m", "k_hat")
+    return _expected(asked.select("v", "a", "b").join(histogram.columns, "v"), histogram.bins, cell)
+
+
+def estimate_window(histogram: Histogram, start: int, end: int) -> DataFrame:
+    """The same for one range and all vertices: no join, and no move, columns lie by vertex."""
+    return _expected(histogram.columns.withColumns({"a": F.lit(start).cast("long"), "b": F.lit(end).cast("long")}), histogram.bins, "uniform")
 
 
 def prefix_counts(histogram: Histogram) -> DataFrame:
