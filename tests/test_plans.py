@@ -5,6 +5,7 @@ from pyspark.sql import functions as F
 from spanwalk.functions.predicates import Ordering, Window
 from spanwalk.operators.edgemap import expand_forward, window_edges
 from spanwalk.operators.graph import TemporalGraph
+from spanwalk.session import release, settle_partitioned
 from spanwalk.sources.files import read_edges, write_edges
 from spanwalk.sources.graphs import edges_frame
 
@@ -38,6 +39,29 @@ def test_only_the_frontier_moves(spark):
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
 
 
+def test_ranks_and_shares_lie_together(spark):
+    """What PageRank joins in every round is laid out alike: neither side moves."""
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        shares = window_edges(edges_frame(spark, [(k % 9, k % 7, k, k + 3) for k in range(500)]), columns=("src", "dst"), partitions=parts)
+        rank = settle_partitioned(spark.range(9).select(F.col("id").alias("v"), F.lit(0.5).alias("rank")), parts, "v")
+        plan = plan_of(shares.meet(rank))
+        assert "Join" in plan and "Exchange" not in plan, plan
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+def test_released_frames_leave_no_files(spark):
+    import os
+
+    frame = settle_partitioned(spark.range(50).toDF("v"), 2, "v")
+    path = frame._jdf.queryExecution().analyzed().collectLeaves().apply(0).rdd().getCheckpointFile().get().replace("file:", "")
+    assert os.path.isdir(path)
+    release(frame.select("v"))
+    assert not os.path.exists(path)
+
+
 def test_hubs_are_dealt_out(spark):
     rows = edges_frame(spark, [(0 if k % 3 else k % 11, k % 7, k, k + 3) for k in range(600)])
     plain, dealt = window_edges(rows), window_edges(rows, hub_rows=50)
