@@ -5,10 +5,11 @@ from __future__ import annotations
 import math
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from ..functions.predicates import Ordering
+from ..plans.inspection import counted
 from ..session import settle, settle_partitioned
 
 #: Edges of one vertex that one task may hold, and the usual number in a partition of a large window.
@@ -57,6 +58,13 @@ def expand_forward(frontier: DataFrame, edges: FrontierEdges, predicate: Orderin
     return edges.meet(frontier).where(predicate.follows_label(F.col("label"), F.col("t_start")))
 
 
+def expand_counted(frontier: DataFrame, edges: FrontierEdges, predicate: Ordering) -> tuple[DataFrame, Observation]:
+    """`expand_forward`, and counters of the job that runs it: edges `examined` and `admitted`."""
+    follows = predicate.follows_label(F.col("label"), F.col("t_start"))
+    met, seen = counted(edges.meet(frontier), examined=F.count(F.lit(1)), admitted=F.count_if(follows))
+    return met.where(follows), seen
+
+
 def expand_backward(frontier: DataFrame, edges: FrontierEdges, predicate: Ordering) -> DataFrame:
     """Frontier (source, v, label) joined with the in-edges that may come before its labels."""
     return edges.meet(frontier).where(predicate.precedes_label(F.col("label"), F.col("t_end")))

@@ -14,11 +14,12 @@ from ..operators.temporal_joins import asof_join, interval_join, sessions, top_p
 from ..session import settle, shared_dir, ship
 from ..sources.files import read_edges, write_bucketed, write_edges
 from ..sources.graphs import graph_sql, load_graph
-from ..streaming import contacts
+from ..streaming import contacts, histograms
 from .graph_queries import query
 
 _RELAY = graph_sql("relay", "duckdb")
 _TRADE = graph_sql("trade", "duckdb")
+_DAY = 86_400_000_000
 _US = "timestampdiff(MICROSECOND, TIMESTAMP_NTZ'1970-01-01 00:00:00', ts)"
 
 
@@ -318,3 +319,31 @@ def o_stream_stateful(spark, sf):
     ship(spark)
     found = contacts.run_to_end(contacts.longest_gaps(_stream(spark, sf)), "update")
     return found.groupBy("user_id").agg(F.max("longest_gap").alias("longest_gap"))
+
+
+@query("o_stream_late", f"""WITH t AS (SELECT *, epoch_us(ts) AS u FROM events), c AS (SELECT (min(u) + max(u)) // 2 AS cut, max(u) AS hi FROM t)
+  SELECT epoch_us(time_bucket(INTERVAL 1 DAY, ts)) AS start_us, event_type, count(*) AS n FROM t, c WHERE (event_id % 2 = 0 OR u >= cut - 2 * {_DAY}) AND epoch_us(time_bucket(INTERVAL 1 DAY, ts)) + {_DAY} <= hi - 3600000000 GROUP BY ALL""")
+def o_stream_late(spark, sf):
+    """Events of odd ids of the first half of the time, but for its last two days, arrive when their windows are closed: they count nowhere."""
+    path = _scratch(spark)
+    timed = _table(spark, sf, "events").withColumn("u", F.expr(_US))
+    ends = timed.agg(F.min("u").alias("lo"), F.max("u").alias("hi")).head()
+    cut = (ends.lo + ends.hi) // 2
+    late = (F.col("event_id") % 2 == 1) & (F.col("u") < cut - 2 * _DAY)
+    for k, part in enumerate(((F.col("u") < cut) & ~late, F.col("u") >= cut, late)):
+        timed.where(part).drop("u").coalesce(1).write.parquet(f"{path}/{k}")
+    done = contacts.run_to_end(contacts.tumbling_counts(contacts.event_stream(spark, f"{path}/*")))
+    return done.select(F.unix_micros("w.start").alias("start_us"), "event_type", "n")
+
+
+@query("o_stream_histogram", f"""WITH g AS ({graph_sql('nations', 'duckdb')}), r AS (SELECT src AS v, min(t_start) AS s_lo, max(t_start) AS s_hi, min(t_end - t_start) AS d_lo, max(t_end - t_start) AS d_hi FROM g GROUP BY src HAVING count(*) >= 1000),
+  k AS (SELECT v, min(i) FILTER (WHERE (s_hi >> i) - (s_lo >> i) < 100) AS x, min(i) FILTER (WHERE (d_hi >> i) - (d_lo >> i) < 100) AS y FROM r, (SELECT unnest(range(63)) AS i) AS p GROUP BY v)
+  SELECT v, CAST(x AS INTEGER) AS kx, CAST(y AS INTEGER) AS ky, CAST(t_start >> x AS BIGINT) AS bx, CAST((t_end - t_start) >> y AS BIGINT) AS by_cell, count(*) AS n FROM g JOIN k ON v = src GROUP BY ALL""")
+def o_stream_histogram(spark, sf):
+    """Histograms of vertices of 1000 edges and more, after a stream of edges in three batches."""
+    path, upkeep = _scratch(spark), histograms.HistogramUpkeep(spark)
+    edges = load_graph(spark, sf, "nations").select("src", "dst", "t_start", "t_end")
+    edges.repartition(3).write.parquet(path)
+    stream = spark.readStream.schema(edges.schema).option("maxFilesPerTrigger", 1).parquet(path)
+    stream.writeStream.foreachBatch(upkeep).option("checkpointLocation", f"{path}-progress").trigger(availableNow=True).start().awaitTermination()
+    return upkeep.current().at_least(1000).cells.withColumnRenamed("by", "by_cell")
