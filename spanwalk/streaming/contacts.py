@@ -8,8 +8,9 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupStateTimeout
+from pyspark.sql.types import StructType
 
-from ..session import shared_dir
+from ..session import remove, shared_dir
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -61,13 +62,44 @@ def longest_gaps(events: DataFrame) -> DataFrame:
     return timed.groupBy("user_id").applyInPandasWithState(update, "user_id long, longest_gap long", "last long, largest long", "update", GroupStateTimeout.NoTimeout)
 
 
+class FileSink:
+    """Rows of a stream as Parquet in the shared folder (foreachBatch); none of them pass through the driver.
+
+    Every batch has a folder of its own, so one that is retried is written over. In complete mode a
+    batch holds all rows, and the one before it is deleted.
+    """
+
+    def __init__(self, spark: SparkSession, root: str, schema: StructType, mode: str):
+        self.spark, self.root, self.schema, self.mode = spark, root, schema, mode
+        self.batches: list[int] = []
+
+    def _path(self, batch_id: int) -> str:
+        return f"{self.root}/batch-{batch_id}"
+
+    def __call__(self, batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(self._path(batch_id))
+        if self.mode == "complete":
+            for old in self.batches:
+                if old != batch_id:
+                    remove(self.spark, self._path(old))
+            self.batches = []
+        if batch_id not in self.batches:
+            self.batches.append(batch_id)
+
+    def rows(self) -> DataFrame:
+        if not self.batches:
+            return self.spark.createDataFrame([], self.schema)
+        return self.spark.read.schema(self.schema).parquet(*map(self._path, self.batches))
+
+
 def run_to_end(stream: DataFrame, mode: str = "append") -> DataFrame:
     """Process what the sources hold now and return the sink's rows."""
     spark = stream.sparkSession
-    name = f"spanwalk_{uuid.uuid4().hex}"
-    started = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{shared_dir(spark)}/stream-{name}").trigger(availableNow=True).start()
+    path = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
+    sink = FileSink(spark, f"{path}-rows", stream.schema, mode)
+    started = stream.writeStream.foreachBatch(sink).outputMode(mode).option("checkpointLocation", path).trigger(availableNow=True).start()
     started.awaitTermination()
-    return spark.table(name)
+    return sink.rows()
 
 
 class OnlineArrival:

@@ -78,3 +78,25 @@ def test_counters_and_plans(spark):
     moved = spark.range(10).groupBy((F.col("id") % 3).alias("g")).count()
     assert len(exchanges(moved)) == 1 and exchanges(moved)[0].startswith("hashpartitioning(") and exchanges(spark.range(3).toDF("x")) == []
     assert "HashAggregate" in plan_text(moved)
+
+
+def contact_files(spark, folder):
+    for k, rows in enumerate(([(10, 1), (10, 2)], [(11, 1)], [(10, 2), (12, 0)])):
+        events(spark, rows, str(folder / str(k)))
+    return contacts.event_stream(spark, str(folder / "*"))
+
+
+def hours(df, t):
+    return sorted((r.d, r.h) for r in df.select(F.dayofmonth(t).alias("d"), F.hour(t).alias("h")).collect())
+
+
+def test_rows_of_a_stream_stay_off_the_driver(spark, tmp_path):
+    """The sink's rows are read from files: the last batch's when complete, all batches' otherwise."""
+    stream = contact_files(spark, tmp_path)
+    sessions = contacts.run_to_end(contacts.session_counts(stream, late="10 days"), "complete")
+    counts = contacts.run_to_end(stream.groupBy("user_id").agg(F.count("*").alias("n")), "update")
+    for done in (sessions, counts):
+        assert "Scan parquet" in plan_text(done)
+    assert hours(sessions, "w.start") == [(10, 1), (10, 2), (11, 1), (12, 0)]
+    assert sorted(r.n for r in sessions.collect()) == [1, 1, 1, 2] and sorted(r.n for r in counts.collect()) == [2, 3, 5]
+    assert contacts.run_to_end(stream.where("false")).count() == 0
