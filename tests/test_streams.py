@@ -100,3 +100,9 @@ def test_rows_of_a_stream_stay_off_the_driver(spark, tmp_path):
     assert hours(sessions, "w.start") == [(10, 1), (10, 2), (11, 1), (12, 0)]
     assert sorted(r.n for r in sessions.collect()) == [1, 1, 1, 2] and sorted(r.n for r in counts.collect()) == [2, 3, 5]
     assert contacts.run_to_end(stream.where("false")).count() == 0
+
+
+def test_kept_rows_stay_off_the_driver(spark, tmp_path):
+    once = contacts.run_to_end(contacts.without_repeats(contact_files(spark, tmp_path), ["ts"], late="10 days"))
+    assert "Scan parquet" in plan_text(once)
+    assert hours(once, "ts") == [(10, 1), (10, 2), (11, 1), (12, 0)]
