@@ -162,3 +162,15 @@ def test_layout(spark, edges):
     for _, first, m in offsets:
         assert first == at
         at += m
+
+
+def test_choices_take_no_index(edges, monkeypatch):
+    """Decisions at several cutoffs come from one histogram, without an index, and are those of full plans."""
+    g, w = TemporalGraph(edges), Window(10, 600)
+    want = {c: metrics.decision_accuracy(g, access.plan_access(g, c), w).head() for c in (60, 200)}
+    monkeypatch.setattr(index, "build_index", None)
+    plans = access.plan_choices(g, [60, 200])
+    assert {c: metrics.decision_accuracy(g, p, w).head() for c, p in plans.items()} == want
+    assert want[60].tn + want[60].tp > want[200].tn + want[200].tp > 0
+    counts = {r.v: r.k for r in access.window_matches(edges, plans[60].index.catalog, w).collect()}
+    assert counts == {v: sum(e[0] == v and e[2] >= 10 and e[3] <= 600 for e in some_edges()) for v in counts}
