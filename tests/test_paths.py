@@ -6,6 +6,7 @@ from pyspark.sql import functions as F
 from spanwalk.functions.predicates import Ordering, Window
 from spanwalk.operators import baselines, paths, structure
 from spanwalk.operators.graph import InvalidEdges, TemporalGraph
+from spanwalk.plans import fixpoint
 from spanwalk.sources.graphs import TINY, edges_frame, tiny
 
 from . import brute
@@ -127,3 +128,25 @@ def test_edge_cases(spark):
 def test_undirected(spark):
     g = TemporalGraph(edges_frame(spark, [(1, 0, 1, 2), (2, 1, 3, 4)]), directed=False)
     assert got(paths.earliest_arrival(g, [0], Window(0, 9)), "arrival") == {(0, 1): 2, (0, 2): 4}
+
+
+def test_expanded_search_along_a_chain(spark, monkeypatch):
+    """150 touching edges, some of length zero, are hundreds of arcs deep: one task finishes what a dozen rounds leave; rounds alone agree."""
+    rows = [(k, k + 1, k - k % 3, k + 1 - (k + 1) % 3) for k in range(150)] + [(0, 40, 500, 501), (200, 3, 30, 31), (300, 301, 9, 10)]
+    g, w = TemporalGraph(edges_frame(spark, rows)), Window(0, 600)
+    rounds, keep = [], fixpoint.settle
+    monkeypatch.setattr(fixpoint, "settle", lambda df: rounds.append(1) or keep(df))
+    found = baselines.time_expanded_arrival(g, [0, 200], w, Ordering.SUCCEEDS)
+    best = {0: {}, 200: {}}
+    for s, own in best.items():
+        own[s], again = 0, True
+        while again:
+            again = False
+            for u, v, x, y in rows:
+                if own.get(u, 999) <= x and y < own.get(v, 999):
+                    own[v] = y
+                    again = True
+    assert {(r.source, r.v): r.arrival for r in found.collect()} == {(s, v): t for s, own in best.items() for v, t in own.items()}
+    assert set(range(151)) <= best[0].keys() and len(rounds) < 20
+    short = TemporalGraph(edges_frame(spark, rows[:9]))
+    assert {r.v: r.arrival for r in baselines.time_expanded_arrival(short, [0], w, Ordering.SUCCEEDS, task_arcs=0).collect()} == {k: k - k % 3 for k in range(10)}
