@@ -45,3 +45,13 @@ def test_online_arrival(spark, tmp_path):
     q = stream.writeStream.foreachBatch(online).option("checkpointLocation", str(tmp_path / "cp")).trigger(availableNow=True).start()
     q.awaitTermination()
     assert {(r.v, r.arrival) for r in online.arrivals().collect()} == {(0, 0), (1, 3), (2, 5), (3, 6), (4, 6), (5, 11), (6, 14)}
+
+
+@pytest.mark.skipif(not os.path.isdir(DATA), reason="needs the given tables")
+def test_synthetic_edges_of_given_events(spark):
+    """One edge for every event, among the users of the table."""
+    events = spark.read.parquet(f"{DATA}/events.parquet")
+    found = entry.queries()["g_synthetic"](spark, DATA).cache()
+    users = {r[0] for r in events.select("user_id").distinct().collect()}
+    assert found.count() == events.count()
+    assert {r.src for r in found.collect()} | {r.dst for r in found.collect()} <= users
