@@ -55,3 +55,12 @@ def test_synthetic_edges_of_given_events(spark):
     users = {r[0] for r in events.select("user_id").distinct().collect()}
     assert found.count() == events.count()
     assert {r.src for r in found.collect()} | {r.dst for r in found.collect()} <= users
+
+
+@pytest.mark.skipif(not os.path.isdir(DATA), reason="needs the given tables")
+def test_recursion_over_a_given_table(spark):
+    """The last level holds what the table gives in one sum."""
+    total = spark.read.parquet(f"{DATA}/lineitem.parquet").selectExpr("cast(sum(l_quantity * l_quantity) as bigint)").head()[0]
+    rows = {r.n: r.s for r in entry.queries()["o_recursive_cte"](spark, DATA).collect()}
+    assert rows[max(rows)] == total
+    test_twins(spark, "o_recursive_cte")
