@@ -64,3 +64,11 @@ def test_recursion_over_a_given_table(spark):
     rows = {r.n: r.s for r in entry.queries()["o_recursive_cte"](spark, DATA).collect()}
     assert rows[max(rows)] == total
     test_twins(spark, "o_recursive_cte")
+
+
+@pytest.mark.skipif(not os.path.isdir(DATA), reason="needs the given tables")
+def test_table_function_over_a_given_table(spark):
+    """Five windows for every user, back from the last event."""
+    users = spark.read.parquet(f"{DATA}/events.parquet").select("user_id").distinct().count()
+    assert entry.queries()["o_udtf_windows"](spark, DATA).count() == 5 * users
+    test_twins(spark, "o_udtf_windows")
