@@ -145,3 +145,15 @@ def test_synthetic_is_repeatable(spark):
     assert one.agg(key).head()[0] == synthetic_edges(spark, 50, 2000, sigma=1.2, burst=0.5).repartition(3).agg(key).head()[0]
     degrees = sorted((r["count"] for r in one.groupBy("src").count().collect()), reverse=True)
     assert degrees[0] > 4 * degrees[len(degrees) // 2]
+
+
+def test_coreness_along_a_path(spark, monkeypatch):
+    """Values fall one edge a round along a path: one task finishes what some rounds leave; rounds alone agree."""
+    rows = [(k, k + 1, k, k + 1) for k in range(60)] + [(0, 1, 5, 6), (5, 5, 1, 2), (7, 9, 3, 4)]
+    rounds, keep = [], structure.settle_laid
+    monkeypatch.setattr(structure, "settle_laid", lambda df: rounds.append(1) or keep(df))
+    w = Window(0, 300)
+    got = {x.v: x.coreness for x in structure.coreness(TemporalGraph(edges_frame(spark, rows)), w).collect()}
+    assert got == {v: 2 if v <= 9 else 1 for v in range(61)} and len(rounds) < 20
+    few = TemporalGraph(edges_frame(spark, [e for e in rows if e[1] <= 12]))
+    assert {x.v: x.coreness for x in structure.coreness(few, w, task_pairs=0).collect()} == {v: 2 if v <= 9 else 1 for v in range(13)}
