@@ -30,7 +30,10 @@ def session_counts(events: DataFrame, gap: str = "30 minutes", late: str = "1 ho
     return events.withWatermark("ts", late).groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count("*").alias("n"))
 
 
-def without_repeats(events: DataFrame, keys: list[str], late: str = "1 hour") -> DataFrame:
+def without_repeats(events: DataFrame, keys: list[str], late: str | None = "1 hour") -> DataFrame:
+    """One row for each value of `keys`. Without `late` none is dropped for its time, and the state holds every value to the end."""
+    if late is None:
+        return events.dropDuplicates(keys)
     return events.withWatermark("ts", late).dropDuplicatesWithinWatermark(keys)
 
 

@@ -10,6 +10,7 @@ from spanwalk.functions.predicates import Ordering
 from spanwalk.plans.inspection import exchanges, plan_text
 from spanwalk.sources.graphs import edges_frame
 from spanwalk.streaming import contacts, histograms
+from spanwalk.workloads.relational_queries import o_stream_dedup
 
 
 def events(spark, rows, path):
@@ -106,3 +107,16 @@ def test_kept_rows_stay_off_the_driver(spark, tmp_path):
     once = contacts.run_to_end(contacts.without_repeats(contact_files(spark, tmp_path), ["ts"], late="10 days"))
     assert "Scan parquet" in plan_text(once)
     assert hours(once, "ts") == [(10, 1), (10, 2), (11, 1), (12, 0)]
+
+
+def test_no_file_of_the_stream_is_late(spark, tmp_path):
+    """Later files hold earlier times, ids that are used again, nulls and pairs of other files."""
+    parts = [[(1, 25, 1, "click"), (2, 26, 1, "click")], [(3, 27, 2, "view")], [(4, 1, 3, "click"), (5, 2, 1, "click")], [(1, 1, 4, "view"), (None, 2, None, None), (None, None, 5, None)]]
+    for rows in parts:
+        made = [(k, day and datetime(2024, 1, day), user, kind, 1.0, "{}") for k, day, user, kind in rows]
+        spark.createDataFrame(made, contacts.EVENTS).coalesce(1).write.mode("append").parquet(str(tmp_path / "events.parquet"))
+    kinds = ["user_id", "event_type"]
+    by_file = contacts.event_stream(spark, str(tmp_path / "events.parquet")).select(*kinds)
+    for done in (o_stream_dedup(spark, str(tmp_path)), contacts.run_to_end(contacts.without_repeats(by_file, kinds, late=None))):
+        got = [tuple(r) for r in done.collect()]
+        assert len(got) == len(set(got)) and set(got) == {(user, kind) for rows in parts for _, _, user, kind in rows}
